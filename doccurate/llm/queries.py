@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from doccurate.llm.decontaminate import op8_decontamination
 from doccurate.llm.packing import op3_packing
 from doccurate.llm.token_counts import op7_token_counts
 from doccurate.llm.token_store import op5_token_store
@@ -14,6 +15,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_packing": op3_packing,
     "op5_token_store": op5_token_store,
     "op7_token_counts": op7_token_counts,
+    "op8_decontamination": op8_decontamination,
 }
 
 ORACLES: dict[str, str] = {}
