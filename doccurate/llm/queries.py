@@ -8,10 +8,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 from doccurate.llm.decontaminate import op8_decontamination
 from doccurate.llm.packing import op3_packing
+from doccurate.llm.substring_dedup import op1_substring_dedup
 from doccurate.llm.token_counts import op7_token_counts
 from doccurate.llm.token_store import op5_token_store
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_substring_dedup": op1_substring_dedup,
     "op3_packing": op3_packing,
     "op5_token_store": op5_token_store,
     "op7_token_counts": op7_token_counts,
