@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from doccurate.llm.decontaminate import op8_decontamination
 from doccurate.llm.packing import op3_packing
+from doccurate.llm.simhash import op9_simhash
 from doccurate.llm.substring_dedup import op1_substring_dedup
 from doccurate.llm.token_counts import op7_token_counts
 from doccurate.llm.token_store import op5_token_store
@@ -18,6 +19,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op5_token_store": op5_token_store,
     "op7_token_counts": op7_token_counts,
     "op8_decontamination": op8_decontamination,
+    "op9_simhash": op9_simhash,
 }
 
 ORACLES: dict[str, str] = {}
