@@ -24,7 +24,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from doccurate.llm.common import docs_of, materialise, table
-from doccurate.llm.tokens import encoder
+from doccurate.llm.tokens import rank_encoder
 
 
 @dataclass(frozen=True)
@@ -147,12 +147,12 @@ def pieces(docs: DataFrame, vocabulary: str, capacity: int = 2048, end_id: int =
     kinds = [pa.int64(), pa.int32(), pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int64()]
 
     def run(batches):
-        ids_of, part = encoder(vocabulary), TaskContext.get().partitionId()
+        ids_of, part = rank_encoder(vocabulary), TaskContext.get().partitionId()
         end, seen = np.array([end_id], ids_of.dtype).tobytes(), np.zeros(capacity + 1, np.int64)
         for b in batches:
             rows = []
             for key, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                ids = np.frombuffer(ids_of.ids(text.as_py()) + end, ids_of.dtype).astype("<u4")
+                ids = np.frombuffer(ids_of.one(text.as_py()) + end, ids_of.dtype).astype("<u4")
                 for k, start in enumerate(range(0, len(ids), capacity)):
                     piece = ids[start : start + capacity]
                     rows.append((key, k, start, len(piece), zlib.crc32(piece), part, int(seen[len(piece)])))

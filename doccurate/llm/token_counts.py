@@ -11,16 +11,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from doccurate.llm.common import docs_of, table
-from doccurate.llm.tokens import encoder
+from doccurate.llm.tokens import encoder, in_steps
 
 
 def count_tokens(docs: DataFrame, vocabulary: str, limit: int = 2048) -> DataFrame:
     """doc_id, n_bytes, n_tokens and over_limit (more than ``limit`` tokens) of each row of docs(doc_id, text)."""
 
     def run(batches):
-        count = encoder(vocabulary).count
+        counts = encoder(vocabulary).counts
         for b in batches:
-            numbers = pa.array([count(t.as_py()) for t in b.column(2)], pa.int64())
+            numbers = pa.array([n for some in in_steps(b.column(2)) for n in counts(some)], pa.int64())
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), numbers], ["doc_id", "n_bytes", "n_tokens"])
 
     rows = docs_of(docs).select("doc_id", F.coalesce(F.octet_length("text"), F.lit(0)).cast("long").alias("n_bytes"), "text")

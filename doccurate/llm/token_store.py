@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
 from doccurate.llm.common import docs_of, shared_dir, table
-from doccurate.llm.tokens import encoder
+from doccurate.llm.tokens import rank_encoder
 
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
@@ -105,14 +105,14 @@ def write_store(spark: SparkSession, docs: DataFrame, vocabulary: str, folder: s
     system.create_dir(root, recursive=True)
 
     def run(batches):
-        number, enc = TaskContext.get().partitionId(), encoder(vocabulary)
+        number, enc = TaskContext.get().partitionId(), rank_encoder(vocabulary)
         end, width = np.array([end_id], enc.dtype).tobytes(), enc.dtype.itemsize
         put = _Put(folder, f"ids-{number}.bin")
         keys, lengths = [], []
         for b in batches:
             keys += b.column(0).to_pylist()
             for text in b.column(1):
-                payload = enc.ids(text.as_py()) + end
+                payload = enc.one(text.as_py()) + end
                 put.stream.write(payload)
                 lengths.append(len(payload) // width)
         put.close()
