@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from doccurate.llm.decontaminate import op8_decontamination
 from doccurate.llm.packing import op3_packing
+from doccurate.llm.pii import op6_pii
 from doccurate.llm.simhash import op9_simhash
 from doccurate.llm.substring_dedup import op1_substring_dedup
 from doccurate.llm.token_counts import op7_token_counts
@@ -17,6 +18,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
     "op3_packing": op3_packing,
     "op5_token_store": op5_token_store,
+    "op6_pii": op6_pii,
     "op7_token_counts": op7_token_counts,
     "op8_decontamination": op8_decontamination,
     "op9_simhash": op9_simhash,
