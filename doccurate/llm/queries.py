@@ -13,9 +13,11 @@ from doccurate.llm.simhash import op9_simhash
 from doccurate.llm.substring_dedup import op1_substring_dedup
 from doccurate.llm.token_counts import op7_token_counts
 from doccurate.llm.token_store import op5_token_store
+from doccurate.llm.toxicity import op2_toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
+    "op2_toxicity": op2_toxicity,
     "op3_packing": op3_packing,
     "op5_token_store": op5_token_store,
     "op6_pii": op6_pii,
