@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from doccurate.llm.decontaminate import op8_decontamination
+from doccurate.llm.multiset import op4_fingerprints
 from doccurate.llm.packing import op3_packing
 from doccurate.llm.pii import op6_pii
 from doccurate.llm.simhash import op9_simhash
@@ -19,6 +20,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
     "op2_toxicity": op2_toxicity,
     "op3_packing": op3_packing,
+    "op4_fingerprints": op4_fingerprints,
     "op5_token_store": op5_token_store,
     "op6_pii": op6_pii,
     "op7_token_counts": op7_token_counts,
