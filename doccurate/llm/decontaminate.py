@@ -18,6 +18,7 @@ from itertools import count
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -162,3 +163,36 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
         "doc_id", "n_words", n_hit.alias("n_hit"), F.size("items").cast("long").alias("n_items"),
         F.sha2(F.array_join("items", ",").cast("binary"), 256).alias("items_sha256"), (F.size("runs") > 0).alias("contaminated"),
     )
+
+
+def cleaned(spark: SparkSession, docs: DataFrame, items: DataFrame, width: int = 10) -> DataFrame:
+    """docs with the removal spans cut out of ``text`` and ``n_chars``, where there is one, counted anew; all rows stay."""
+    bench = items.select("item_id", F.col("text").cast("string").alias("text"))
+    total = bench.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+    blocks = max(1, -(-total // BLOCK_BYTES))
+    for k in range(blocks):  # a block's phrases are searched in what the blocks before left
+        some = bench if blocks == 1 else bench.filter(F.pmod(F.xxhash64(F.col("item_id").cast("string")), F.lit(blocks)) == k)
+        docs = _cut(docs, phrases_of([tuple(r) for r in some.collect()], width))
+        if blocks > 1:
+            docs = materialise(spark, docs, "cut")
+    return docs
+
+
+def _cut(docs: DataFrame, phrases: Phrases) -> DataFrame:
+    sent, schema, at = docs.sparkSession.sparkContext.broadcast(phrases), docs.schema, docs.columns.index("text")
+    counted = docs.columns.index("n_chars") if "n_chars" in docs.columns else None
+
+    def run(batches):
+        for batch in batches:
+            for part in slices(batch, "text", SHARD_BYTES):
+                texts = part.column(at)
+                flags, _ = Shard(texts.cast(pa.binary()).to_pylist()).hits(sent.value)
+                columns = list(part.columns)
+                if any(f.any() for f in flags):
+                    cut = [remove_spans(t.as_py(), _runs(f)) if f.any() else t.as_py() for t, f in zip(texts, flags, strict=True)]
+                    columns[at] = pa.array(cut, pa.string())
+                    if counted is not None:
+                        columns[counted] = pa.compute.utf8_length(columns[at]).cast(columns[counted].type)
+                yield pa.RecordBatch.from_arrays(columns, part.schema.names)
+
+    return docs.mapInArrow(run, schema)

@@ -15,6 +15,7 @@ from doccurate.llm.substring_dedup import op1_substring_dedup
 from doccurate.llm.token_counts import op7_token_counts
 from doccurate.llm.token_store import op5_token_store
 from doccurate.llm.toxicity import op2_toxicity
+from doccurate.llm.url_filter import op10_url_filter
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_substring_dedup": op1_substring_dedup,
@@ -26,6 +27,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op7_token_counts": op7_token_counts,
     "op8_decontamination": op8_decontamination,
     "op9_simhash": op9_simhash,
+    "op10_url_filter": op10_url_filter,
 }
 
 ORACLES: dict[str, str] = {}

@@ -24,6 +24,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from doccurate.llm.common import docs_of, materialise, table
+from doccurate.llm.token_store import mix
 
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 #: Shingles whose bits are counted at once; nodes of a shard that is cut again; points compared directly.
@@ -88,7 +89,11 @@ def _sharded(nodes: DataFrame, masks: list[int], *also: str) -> DataFrame:
 
 
 def near(points: np.ndarray, radius: int) -> list[tuple[int, int]]:
-    """Spanning forest (indexes) of the links within the radius: a vantage-point tree with overlapping boundaries."""
+    """Spanning forest (indexes) of the links within the radius among rows of 64-bit words.
+
+    A vantage-point tree: points go inside or outside of the median distance from the first one, and
+    by the triangle bound only those within the radius of that boundary are compared across it.
+    """
     root = list(range(len(points)))
 
     def find(i: int) -> int:
@@ -105,19 +110,25 @@ def near(points: np.ndarray, radius: int) -> list[tuple[int, int]]:
                 root[max(p, q)] = min(p, q)
                 out.append((x, y))
 
+    def apart(a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        total = np.zeros((len(a), len(b)), np.int16)
+        for w in range(points.shape[1]):
+            total += np.bitwise_count(points[a, w][:, None] ^ points[b, w][None])
+        return total
+
     def across(a: np.ndarray, b: np.ndarray) -> None:
         for k in range(0, len(a), DIRECT):
-            i, j = np.nonzero(np.bitwise_count(points[a[k : k + DIRECT], None] ^ points[None, b]) <= radius)
+            i, j = np.nonzero(apart(a[k : k + DIRECT], b) <= radius)
             link(a[k + i], b[j])
 
     todo = [np.arange(len(points))]
     while todo:
         own = todo.pop()
         if len(own) <= DIRECT:
-            i, j = np.nonzero(np.triu(np.bitwise_count(points[own, None] ^ points[None, own]) <= radius, 1))
+            i, j = np.nonzero(np.triu(apart(own, own) <= radius, 1))
             link(own[i], own[j])
             continue
-        distance = np.bitwise_count(points[own] ^ points[own[0]]).astype(int)
+        distance = apart(own[:1], own)[0]
         middle = int(np.median(distance))
         inside = distance <= middle
         if inside.all():
@@ -131,42 +142,43 @@ def near(points: np.ndarray, radius: int) -> list[tuple[int, int]]:
     return out
 
 
-def _links(shards: DataFrame, keys: list[str], radius: int) -> DataFrame:
-    """a > b: linked fingerprints, a spanning forest of each shard."""
+def _links(shards: DataFrame, keys: list[str], radius: int, words: tuple[str, ...] = ("fp",), node: str = "fp") -> DataFrame:
+    """a > b: linked nodes, a spanning forest of each shard (rows with equal keys); words: the columns of a signature."""
+    columns = [*keys, *words, *([node] if node not in words else [])]
+    first, at = len(keys), columns.index(node)
 
     def run(batches):
-        rest: list[np.ndarray] = [np.zeros(0, np.int64) for _ in [*keys, "fp"]]
+        rest: list[np.ndarray] = [np.zeros(0, np.int64) for _ in columns]
 
-        def edges(columns: list[np.ndarray]):
-            fp = columns[-1].view(np.uint64)
-            fresh = np.zeros(len(fp), bool)
+        def edges(rows: list[np.ndarray]):
+            points = np.stack(rows[first : first + len(words)], 1).view(np.uint64)
+            fresh = np.zeros(len(points), bool)
             fresh[:1] = True
-            for c in columns[:-1]:
+            for c in rows[:first]:
                 fresh[1:] |= c[1:] != c[:-1]
-            heads = np.concatenate([np.flatnonzero(fresh), [len(fp)]])
+            heads = np.concatenate([np.flatnonzero(fresh), [len(points)]])
             sizes, a, b = np.diff(heads), [], []
             two = heads[:-1][sizes == 2]
-            two = two[np.bitwise_count(fp[two] ^ fp[two + 1]) <= radius]
+            two = two[np.bitwise_count(points[two] ^ points[two + 1]).sum(axis=1) <= radius]
             for start, size in zip(heads[:-1][sizes > 2].tolist(), sizes[sizes > 2].tolist(), strict=True):
-                for i, j in near(fp[start : start + size], radius):
+                for i, j in near(points[start : start + size], radius):
                     a.append(start + i)
                     b.append(start + j)
-            a, b = columns[-1][np.concatenate([two, a]).astype(int)], columns[-1][np.concatenate([two + 1, b]).astype(int)]
+            a, b = (rows[at][np.concatenate([two + k, x]).astype(int)] for k, x in enumerate((a, b)))
             return pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], ["a", "b"])
 
         for batch in batches:
             got = [np.concatenate([r, c.to_numpy().astype(np.int64)]) for r, c in zip(rest, batch.columns, strict=True)]
-            n = len(got[0])
-            if not n:
+            if not len(got[0]):
                 continue
-            last = np.logical_and.reduce([c == c[-1] for c in got[:-1]])
+            last = np.logical_and.reduce([c == c[-1] for c in got[:first]])
             cut = int(np.flatnonzero(last)[0])  # the last shard can go on in the next batch
             rest = [c[cut:] for c in got]
             yield edges([c[:cut] for c in got])
         yield edges(rest)
 
-    dealt = shards.select(*keys, "fp").repartition(*keys).sortWithinPartitions(*keys, "fp")
-    return dealt.mapInArrow(run, "a long, b long").distinct()
+    dealt = shards.select(*columns).repartition(*keys).sortWithinPartitions(*keys, node)
+    return dealt.mapInArrow(run, "a long, b long").filter("a > b").distinct()
 
 
 def links(spark: SparkSession, nodes: DataFrame, radius: int = 4, blocks: int = 6) -> DataFrame:
@@ -227,3 +239,74 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, words: int = 4, radius
 def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = near_duplicates(spark, table(spark, sf_dir, "documents"))
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
+
+
+#: Words of a wide signature, its bits, and how many may differ: a Jaccard similarity of 0.8 has a cosine of
+#: 8/9, hence 15.1 % of the bits differ on average; the bound is 0.9 standard deviations above.
+WIDE, WIDE_RADIUS = 4, 44
+
+
+def signature(text: bytes | None, words: int) -> np.ndarray:
+    """WIDE 64-bit SimHashes of the same shingles under different hashes."""
+    found = text.translate(_LOWER).split() if text else []
+    if not found:
+        return np.zeros(WIDE, np.uint64)
+    n = max(len(found) - words + 1, 1)
+    joined = b" ".join(found)
+    ends = np.cumsum([len(w) + 1 for w in found]) - 1
+    starts = np.concatenate([[0], ends[:-1] + 1])[:n].tolist()
+    ends = ends[min(words, len(found)) - 1 :].tolist()
+    digest, total = xxhash.xxh64_intdigest, np.zeros((WIDE, 64), np.int64)
+    hashes = (digest(joined[a:b]) for a, b in zip(starts, ends, strict=True))
+    salts = np.arange(WIDE, dtype=np.uint64)[:, None] * np.uint64(0xD6E8FEB86659FD93)
+    while len(some := np.fromiter(islice(hashes, CHUNK), np.uint64)):
+        bits = np.unpackbits(mix(some[None] + salts, 1).view(np.uint8).reshape(WIDE, -1, 8), axis=2, bitorder="little")
+        total += bits.sum(axis=1, dtype=np.int64)
+    return np.packbits(2 * total > n, axis=1, bitorder="little").view(np.uint64)[:, 0]
+
+
+def one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5, radius: int = WIDE_RADIUS) -> DataFrame:
+    """docs without near copies: of each group of texts linked by a similarity of 0.8 or more, the row of least doc_id.
+
+    Signatures of WIDE words share shards where a seeded choice of their bits is equal, in so many choices that a pair at the
+    bound meets at 95 %; in a shard, vantage-point trees on the whole signature link pairs of at most
+    ``radius`` differing bits. Null and empty texts are one group; rows with a null id yield to others.
+    """
+    from pyspark.sql.types import ArrayType, LongType, StructType
+
+    names, where = docs.columns, docs.columns.index("text")
+
+    def sign(batches):
+        for b in batches:
+            found = np.stack([signature(t.as_py(), words) for t in b.column(where).cast(pa.binary())]) if b.num_rows else np.zeros((0, WIDE), np.uint64)
+            flat = pa.array(found.view(np.int64).ravel())
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.ListArray.from_arrays(pa.array(np.arange(len(found) + 1, dtype=np.int32) * WIDE), flat)], [*names, "_sig"])
+
+    signed = docs.mapInArrow(sign, StructType([*docs.schema.fields]).add("_sig", ArrayType(LongType())))
+    rows = materialise(spark, signed.withColumn("_row", F.monotonically_increasing_id()).withColumn("_node", F.xxhash64("_sig")), "signed")
+    order = F.struct(F.col("doc_id").isNull().alias("lost"), F.col("doc_id"), F.col("_row"))
+    parts = [F.get("_sig", F.lit(k)).alias(f"s{k}") for k in range(WIDE)]
+    nodes = rows.select("_node", "doc_id", "_row", *parts).groupBy("_node", *(f"s{k}" for k in range(WIDE))).agg(F.min(order).alias("first"))
+    nodes = materialise(spark, nodes.withColumnRenamed("_node", "node"), "nodes")
+    count = nodes.count()
+    bits = max(16, (count - 1).bit_length() - 2)
+    choices = int(np.ceil(3 / (1 - 0.1514) ** bits))
+    picks = np.random.default_rng(11).permuted(np.tile(np.arange(64 * WIDE), (choices, 1)), axis=1)[:, :bits]
+
+    def deal(batches):
+        powers = 1 << np.arange(bits, dtype=np.int64)
+        for b in batches:
+            n = b.num_rows
+            if n:
+                sig = np.ascontiguousarray(np.stack([c.to_numpy() for c in b.columns[1:]], 1))
+                set_ = np.unpackbits(sig.view(np.uint8), axis=1, bitorder="little")
+                for v in range(choices):
+                    path = set_[:, picks[v]] @ powers
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(n, v, np.int32)), pa.array(path), *b.columns], ["view", "path", *b.schema.names])
+
+    signs = [f"s{k}" for k in range(WIDE)]
+    shards = nodes.select("node", *signs).mapInArrow(deal, "view int, path long, node long, " + ", ".join(f"{c} long" for c in signs))
+    roots = components(spark, _links(shards, ["view", "path"], radius, tuple(signs), "node"))
+    kept = nodes.join(roots, "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("first").alias("first"))
+    kept = materialise(spark, kept.select(F.col("first._row").alias("_row")), "kept")
+    return rows.join(kept, "_row", "left_semi").select(*names)
