@@ -4,10 +4,15 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 
+def computed(df: DataFrame, **columns: Column) -> DataFrame:
+    """df with columns that are computed once: later filters and projections can't copy their expressions below this step."""
+    return df.select("*", F.inline(F.array(F.struct(*(c.alias(k) for k, c in columns.items())))))
+
+
 def bound(value: Column, use: Callable[[Column], Column]) -> Column:
     """use(value) with value computed once: inside a lambda a free expression would be computed for every element."""
     return F.get(F.transform(F.array(value), use), F.lit(0))

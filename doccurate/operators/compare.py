@@ -133,7 +133,7 @@ def bootstrap(wide: DataFrame, key: str, x: str, y: str, times: int = 200) -> Da
     numbered = wide.select(x, y, (F.row_number().over(W.orderBy(key)) - 1).alias("k"), n.alias("n"))  # a row a model
     draws = numbered.select("n", "k", F.explode(F.sequence(F.lit(1), F.lit(times))).alias("sample"))
     drawn = draws.select("sample", F.floor(uniform(F.concat_ws("|", F.col("sample").cast("string"), F.col("k").cast("string")), "boot") * F.col("n")).cast("int").alias("k"))
-    each = drawn.join(numbered.drop("n"), "k").groupBy("sample").agg(F.corr(x, y).alias("r")).filter("r is not null and not isnan(r)")
+    each = drawn.join(numbered.drop("n"), "k").groupBy("sample").agg(F.try_divide(F.covar_pop(x, y), F.stddev_pop(x) * F.stddev_pop(y)).alias("r")).filter("r is not null and not isnan(r)")
     return each.agg(F.count("*").alias("samples"), F.round(F.percentile("r", F.lit(0.05)), 4).alias("low"), F.round(F.percentile("r", F.lit(0.5)), 4).alias("median"))
 
 

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from doccurate.functions.text import bound, edit_ratio, grams, jaccard, norm, overlap
+from doccurate.functions.text import bound, computed, edit_ratio, grams, jaccard, norm, overlap
 from doccurate.operators.langid import detect
 
 #: Reasons in the order of the cascade, cheap ones first; the paraphrase test sees survivors only.
@@ -79,13 +79,13 @@ def run_cascade(pairs: DataFrame, target: str | Column, judge: Judge | None = No
     judge = judge or same_words()
     target = F.lit(target) if isinstance(target, str) else target
     value = F.coalesce(overlap_of(F.col("question"), F.col("text"), n), F.lit(-1.0))
-    rows = pairs.withColumn("measures", F.create_map(F.lit("length"), F.length(F.trim("text")).cast("double"), F.lit("overlap"), value))
+    rows = computed(pairs, measures=F.create_map(F.lit("length"), F.length(F.trim("text")).cast("double"), F.lit("overlap"), value))
     fails = {
         "length": ~f_length(F.col("text"), min_exclusive),
         "overlap": ~f_overlap(F.nullif(F.col("measures")["overlap"], F.lit(-1.0)), threshold),
         "language": ~F.coalesce(F.col("detected") == target, F.lit(False)),
     }
-    rows = rows.withColumn("reasons", F.array_compact(F.array(*(F.when(c, F.lit(k)) for k, c in fails.items()))))
+    rows = computed(rows, reasons=F.array_compact(F.array(*(F.when(c, F.lit(k)) for k, c in fails.items()))))
     seen = rows if mode == "independent" else rows.filter(F.size("reasons") == 0)
     judged = f_paraphrase(seen.select("qa_id", "image_id", "view", "slot", "question"), judge).filter("duplicate").select("qa_id", "duplicate")
     rows = rows.join(judged, "qa_id", "left")

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from doccurate.functions.keys import uniform
+from doccurate.functions.text import computed
 
 #: Three hand-written exemplars a language (fixed values): question and answer.
 EXEMPLARS: dict[str, list[tuple[str, str]]] = {
@@ -72,27 +73,30 @@ def extractive_generator(faults: dict[str, float] | None = None) -> Generator:
         seed = F.concat_ws("|", "image_id", "view")
         ranked = F.array_sort(F.transform(sentences(F.col("text")), lambda s, i: F.struct(F.md5(F.concat(seed, F.lit("|"), i.cast("string")).cast("binary")).alias("h"), s.alias("s"))))
         lead = lambda q: F.array_join(F.slice(F.split(q, " "), 1, 2), " ")
-        rows = calls.withColumn("_ranked", ranked)
-        slot = F.when((F.col("slot") > 1) & (F.col("_fault") == "paraphrase"), F.lit(1)).otherwise(F.col("slot"))
-        draw, low, fault = uniform("call", "fault"), 0.0, None
+        draw, low, fault = F.col("_draw"), 0.0, None
         for name, rate in rates.items():
             found = (draw >= low) & (draw < low + rate)
             fault = F.when(found, F.lit(name)) if fault is None else fault.when(found, F.lit(name))
             low += rate
-        rows = rows.withColumn("_fault", fault if fault is not None else F.lit(None).cast("string"))
-        rows = rows.withColumn("_ws", F.split(F.get("_ranked", (slot - 1).cast("int")).s, " +")).withColumn("_half", F.ceil(F.size("_ws") / 2).cast("int"))
+        rows = computed(calls, _ranked=ranked, _draw=uniform("call", "fault"))
+        rows = computed(rows, _fault=fault if fault is not None else F.lit(None).cast("string"))
+        slot = F.when((F.col("slot") > 1) & (F.col("_fault") == "paraphrase"), F.lit(1)).otherwise(F.col("slot"))
+        rows = computed(rows, _ws=F.split(F.get("_ranked", (slot - 1).cast("int")).s, " +"))
+        rows = computed(rows, _half=F.ceil(F.size("_ws") / 2).cast("int"))
         first, rest = F.slice("_ws", 1, F.col("_half")), F.slice(F.col("_ws"), F.col("_half") + 1, F.greatest(F.size("_ws") - F.col("_half"), F.lit(0)))
         swapped = F.concat(F.slice(first, 2, 1), F.slice(first, 1, 1), F.slice(first, 3, 10000))
         question = F.concat(lead(F.col("ex_question")), F.lit(" "), F.array_join(F.when(F.col("_fault") == "paraphrase", swapped).otherwise(first), " "), F.lit(" ?"))
         other = F.when(F.col("lang") == "en", EXEMPLARS["de"][0][0]).otherwise(EXEMPLARS["en"][0][0])
         question = F.when(F.col("_fault") == "off_topic", F.col("ex_question")).when(F.col("_fault") == "wrong_language", other).otherwise(question)
         answer = F.array_join(rest, " ")
+        rows = computed(rows, _q=question, _a=answer)
         completion = (
-            F.when(F.col("_ws").isNull() | (F.col("_fault") == "malformed"), F.concat(F.lit("Q: "), F.coalesce(question, F.lit(""))))
+            F.when(F.col("_ws").isNull() | (F.col("_fault") == "malformed"), F.concat(F.lit("Q: "), F.coalesce("_q", F.lit(""))))
             .when(F.col("_fault") == "empty", F.lit("Q: \nA: "))
-            .otherwise(F.concat(F.lit("Q: "), question, F.lit("\nA: "), answer))
+            .otherwise(F.concat(F.lit("Q: "), "_q", F.lit("\nA: "), "_a"))
         )
-        return rows.select(*calls.columns, completion.alias("completion"), F.when(F.col("_ws").isNull(), F.lit("malformed")).otherwise(F.col("_fault")).alias("fault"))
+        done = computed(rows, completion=completion, fault=F.when(F.col("_ws").isNull(), F.lit("malformed")).otherwise(F.col("_fault")))
+        return done.select(*calls.columns, "completion", "fault")
 
     return complete
 
@@ -101,8 +105,9 @@ def parse_qa(completions: DataFrame) -> DataFrame:
     """Completions with question and answer where they follow the exemplars' format, else null, and ``well_formed``."""
     form = r"^Q: ([^\n]*[^\s][^\n]*)\nA: ([^\n]*[^\s][^\n]*)$"
     ok = F.col("completion").rlike(form) & (F.regexp_count("completion", F.lit(r"(^|\n)[QA]: ")) == 2)
-    part = lambda k: F.when(ok, F.trim(F.regexp_extract("completion", form, k)))
-    return completions.withColumns({"question": part(1), "answer": part(2), "well_formed": F.coalesce(ok, F.lit(False)), "qa_id": F.concat(F.col("image_id"), F.lit("#"), F.col("view"), F.col("slot").cast("string"))})
+    part = lambda k: F.when(F.col("well_formed"), F.trim(F.regexp_extract("completion", form, k)))
+    rows = computed(completions, well_formed=F.coalesce(ok, F.lit(False)))
+    return computed(rows, question=part(1), answer=part(2), qa_id=F.concat(F.col("image_id"), F.lit("#"), F.col("view"), F.col("slot").cast("string")))
 
 
 def split_of(key: Column, ratios: dict[str, float] = RATIOS, salt: str = "split") -> Column:

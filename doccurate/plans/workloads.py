@@ -100,15 +100,15 @@ def _plain(x: str, markdown: bool = False) -> str:
 
 
 _ARTICLE = "CASE WHEN regexp_extract(html, '(?is)<article[^>]*>(.*?)</article>', 1) <> '' THEN regexp_extract(html, '(?is)<article[^>]*>(.*?)</article>', 1) ELSE html END"
-_VIEWS = f"""views AS (SELECT page_id, 'pages:' || page_id || ':0' AS image_id, regexp_extract(html, '<html[^>]*lang="([a-z]+)"', 1) AS lang,
+_VIEWS = f"""crawl AS (SELECT page_id, 'pages:' || page_id || ':0' AS image_id, regexp_extract(html, '<html[^>]*lang="([a-z]+)"', 1) AS lang,
   {_plain(_ARTICLE)} AS plain, {_plain('html')} AS view_ocr, {_plain(_ARTICLE, True)} AS markdown FROM pages)"""
 _BARE = r"regexp_replace(regexp_replace(markdown, '\[([^\]]*)\]\([^)]*\)', '\1', 'g'), '[#*_`>]+|(?m)^- ', '', 'g')"
-_AGREE = f"""{_VIEWS}, sides AS (SELECT page_id, unnest({sql.words('plain')}) AS w, 1 AS a, 0 AS b FROM views
-  UNION ALL SELECT page_id, unnest({sql.words(_BARE)}), 0, 1 FROM views),
+_AGREE = f"""{_VIEWS}, sides AS (SELECT page_id, unnest({sql.words('plain')}) AS w, 1 AS a, 0 AS b FROM crawl
+  UNION ALL SELECT page_id, unnest({sql.words(_BARE)}), 0, 1 FROM crawl),
 agreed AS (SELECT page_id, 2 * sum(least(a, b)) / sum(a + b)::DOUBLE AS agreement FROM (SELECT page_id, w, sum(a) AS a, sum(b) AS b FROM sides GROUP BY ALL) GROUP BY page_id)"""
 
 
-@query("w03_page_views", f"WITH {_VIEWS} SELECT page_id, lang, length(plain) AS n_plain, length(view_ocr) AS n_ocr, md5(plain) AS plain, md5(view_ocr) AS ocr, md5(markdown) AS markdown FROM views")
+@query("w03_page_views", f"WITH {_VIEWS} SELECT page_id, lang, length(plain) AS n_plain, length(view_ocr) AS n_ocr, md5(plain) AS plain, md5(view_ocr) AS ocr, md5(markdown) AS markdown FROM crawl")
 def w03(spark, sf_dir):
     v = collect.page_views(table(spark, sf_dir, "pages"))
     digest = lambda c: F.md5(F.col(c).cast("binary"))
@@ -154,7 +154,7 @@ def w04_stop(spark, sf_dir):
     return docs.groupBy("lang", "detected").agg(F.count("*").alias("n"))
 
 
-@query("w05_corpus_pages", f"WITH {_AGREE} SELECT page_id, lang, length(plain) AS n_plain, round(agreement, 6) AS agreement, coalesce(agreement >= 0.8, false) AS agrees FROM views LEFT JOIN agreed USING (page_id) WHERE length(plain) >= 100")
+@query("w05_corpus_pages", f"WITH {_AGREE} SELECT page_id, lang, length(plain) AS n_plain, round(agreement, 6) AS agreement, coalesce(agreement >= 0.8, false) AS agrees FROM crawl LEFT JOIN agreed USING (page_id) WHERE length(plain) >= 100")
 def w05(spark, sf_dir):
     views = collect.min_chars(collect.page_views(table(spark, sf_dir, "pages")), "plain", 100)
     return collect.with_agreement(views).select("page_id", "lang", F.length("plain").cast("long").alias("n_plain"), F.round("agreement", 6).alias("agreement"), "agrees")
@@ -166,7 +166,7 @@ def w05_documents(spark, sf_dir):
     return views.select("image_id", "lang", F.length("view_parse").cast("long").alias("n_chars"), F.md5(F.col("view_parse").cast("binary")).alias("parse"), F.md5(F.col("view_ocr").cast("binary")).alias("ocr"))
 
 
-@query("w06_corpus_report", f"""WITH {_AGREE}, r AS (SELECT *, lang = '{TARGET}' AS ours, length(plain) >= 100 AS long, coalesce(agreement >= 0.8, false) AS ok FROM views LEFT JOIN agreed USING (page_id))
+@query("w06_corpus_report", f"""WITH {_AGREE}, r AS (SELECT *, lang = '{TARGET}' AS ours, length(plain) >= 100 AS long, coalesce(agreement >= 0.8, false) AS ok FROM crawl LEFT JOIN agreed USING (page_id))
 SELECT count(*) AS collected, count(*) FILTER (ours) AS in_language, count(*) FILTER (ours AND long) AS long_enough, count(*) FILTER (ours AND long AND ok) AS kept,
   count(DISTINCT page_id) FILTER (ours AND long AND ok) AS records_kept, round(count(*) FILTER (ours) / count(*)::DOUBLE, 6) AS share,
   round(count(*) FILTER (ours AND long AND ok) / nullif(count(DISTINCT page_id) FILTER (ours AND long AND ok), 0)::DOUBLE, 6) AS pages_per_record FROM r""")
@@ -187,7 +187,7 @@ def w07_exact(spark, sf_dir):
 @query("w07_disjoint_sets", f"""WITH {sql.DOC_PAGES}, {_VIEWS},
 t AS (SELECT 'gold' AS dataset, 0 AS p, item_id::VARCHAR AS key, text FROM benchmark
   UNION ALL SELECT 'synthetic', CASE {sql.split_case('image_id')} WHEN 'test' THEN 1 WHEN 'validation' THEN 2 ELSE 3 END, image_id, view_parse FROM doc_views WHERE lang = '{TARGET}'
-  UNION ALL SELECT 'corpus', 4, image_id, plain FROM views WHERE lang = '{TARGET}'),
+  UNION ALL SELECT 'corpus', 4, image_id, plain FROM crawl WHERE lang = '{TARGET}'),
 r AS (SELECT dataset, key, md5({sql.norm('text')}) AS fp, row_number() OVER (PARTITION BY md5({sql.norm('text')}) ORDER BY p, key) AS k FROM t)
 SELECT dataset, key, fp FROM r WHERE k = 1""")
 def w07(spark, sf_dir):
@@ -454,7 +454,7 @@ def mixtures(spark: SparkSession, sf_dir: str) -> DataFrame:
   ON r.conv_id = u.conv_id AND r.turn = u.turn + 1 AND u.role = 'user' AND r.role = 'assistant'),
 base AS (SELECT 'synthetic' AS source FROM judged WHERE kept AND split = 'train' UNION ALL SELECT 'talk_' || k FROM talk
   WHERE CASE k WHEN 0 THEN {sql.u('image_id', 'mix/talk_0')} < 1 WHEN 1 THEN {sql.u('image_id', 'mix/talk_1')} < 0.5 ELSE {sql.u('image_id', 'mix/talk_2')} < 0.25 END),
-ocr AS (SELECT image_id FROM views WHERE lang = '{TARGET}')
+ocr AS (SELECT image_id FROM crawl WHERE lang = '{TARGET}')
 SELECT b.share AS budget, source, count(*) AS n FROM (VALUES (0.0), (0.2), (1.0)) AS b(share), (SELECT source, -1.0 AS v FROM base UNION ALL SELECT 'ocr', {sql.u('image_id', 'budget')} FROM ocr) x WHERE x.v < b.share GROUP BY ALL""")
 def w18(spark, sf_dir):
     base = mixtures(spark, sf_dir)
@@ -466,7 +466,7 @@ def w18(spark, sf_dir):
     return out
 
 
-@query("w19_budget_curve", f"""WITH {_VIEWS}, o AS (SELECT image_id, plain AS text, {sql.u('image_id', 'budget')} AS v FROM views WHERE lang = '{TARGET}'),
+@query("w19_budget_curve", f"""WITH {_VIEWS}, o AS (SELECT image_id, plain AS text, {sql.u('image_id', 'budget')} AS v FROM crawl WHERE lang = '{TARGET}'),
 test AS (SELECT w, count(*) AS times FROM (SELECT unnest({sql.words('text')}) AS w FROM documents WHERE lang = '{TARGET}' AND doc_id % 2 = 1) GROUP BY w),
 tr AS (SELECT s AS budget, unnest({sql.words('text')}) AS w FROM o, (VALUES (0.0), (0.2), (1.0)) AS b(s) WHERE v < s),
 c AS (SELECT budget, w, count(*) AS n FROM tr GROUP BY ALL),
@@ -544,3 +544,13 @@ i AS (SELECT unnest(CASE WHEN kept THEN ['kept'] ELSE reasons END) AS reason FRO
 SELECT i.reason, coalesce(any_value(sequential), 0) AS sequential, count(*) AS independent FROM i LEFT JOIN f USING (reason) GROUP BY i.reason""")
     def _w24(spark, sf_dir, lang=_lang):
         return filters.attrition(judged(spark, sf_dir, lang))
+
+
+@query("op_sql_functions", f"SELECT u.conv_id, u.turn, {sql.norm('u.text')} AS n, round({sql.u('u.conv_id', 's')}, 9) AS draw FROM conversations u WHERE role = 'user'")
+def sql_functions(spark, sf_dir):
+    """The methods through SQL: registered functions in a statement."""
+    from doccurate.functions.sql import register
+
+    register(spark)
+    rows = table(spark, sf_dir, "conversations")
+    return spark.sql("SELECT conv_id, turn, norm_text(text) AS n, round(keyed_uniform(CAST(conv_id AS STRING), 's'), 9) AS draw FROM {rows} WHERE role = 'user'", rows=rows)
