@@ -93,16 +93,17 @@ def _best_fit(counts: dict[int, int], capacity: int) -> list[tuple[dict[int, int
     return [g for groups in free.values() for g in groups]
 
 
-def plan(counts: dict[int, int], capacity: int, rounds: int = 3000, offered: int = 160, rate: float = 2.0, rest: float = 0.02) -> Plan:
+def plan(counts: dict[int, int], capacity: int, rounds: int = 3000, offered: int = 160, rate: float = 0.1, rest: float = 0.02) -> Plan:
     """Configurations that hold every counted length, at nearly as few sequences as the linear program needs.
 
     rounds: most pricing rounds; offered: lengths in a round's knapsack (those of the highest weight
-    and a seeded draw); rate: how strongly lagging coverage raises a price; rest: share of tokens left to rounding.
+    and a seeded draw); rate: how strongly lagging coverage raises a price (prices start above proportion for
+    long pieces, which have fewer partners); rest: share of tokens left to rounding.
     """
     counts = {int(k): int(n) for k, n in counts.items() if n > 0}
     parts, times = [], []
     if counts.get(capacity):
-        parts, times = [{capacity: capacity // capacity}], [counts.pop(capacity)]
+        parts, times = [{capacity: 1}], [counts.pop(capacity)]
     lengths = np.array(sorted(counts), np.int64)
     total = np.array([counts[x] for x in lengths.tolist()], float)
     missing, rng = total.copy(), np.random.default_rng(7)
@@ -113,7 +114,8 @@ def plan(counts: dict[int, int], capacity: int, rounds: int = 3000, offered: int
         if not len(live) or (lengths * missing).sum() <= rest * tokens:
             break
         lag = missing[live] / total[live]
-        weights = lengths[live] / capacity * np.exp(rate * (lag - lag.max()) * lengths[live] / capacity)
+        size = lengths[live] / capacity
+        weights = size * (1 + size) * np.exp(rate * (lag - lag.max()))
         if len(live) > offered:
             first = np.argpartition(-weights, offered // 4)[: offered // 4]
             drawn = rng.permutation(len(live))[: offered - offered // 4]

@@ -120,8 +120,8 @@ def train(spark: SparkSession, docs: DataFrame, labels: DataFrame, label: str =
     return Model(np.frombuffer(found[0].at, "<i8"), np.frombuffer(found[0].weights, "<f8"))
 
 
-def scored(docs: DataFrame, model: Model) -> DataFrame:
-    """docs with a column ``score`` (the chance of label 1) from its ``text``."""
+def scored(docs: DataFrame, model: Model, into: str = "score") -> DataFrame:
+    """docs with the chance of label 1, from its ``text``, as a new column ``into``."""
     spark, schema, where = docs.sparkSession, docs.schema, docs.columns.index("text")
     sent = spark.sparkContext.broadcast(model)
 
@@ -134,11 +134,11 @@ def scored(docs: DataFrame, model: Model) -> DataFrame:
                 pairs = np.unique(doc[live] << 32 | at[live])
                 total = np.bincount(pairs >> 32, weights=w[pairs & 0xFFFFFFFF], minlength=part.num_rows) + w[-1]
                 score = 1 / (1 + np.exp(-np.clip(total, -35, 35)))
-                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(score)], [*part.schema.names, "score"])
+                yield pa.RecordBatch.from_arrays([*part.columns, pa.array(score)], [*part.schema.names, into])
 
     from pyspark.sql.types import DoubleType, StructType
 
-    return docs.mapInArrow(run, StructType([*schema.fields]).add("score", DoubleType()))
+    return docs.mapInArrow(run, StructType([*schema.fields]).add(into, DoubleType()))
 
 
 def held_out(doc_id="doc_id"):
