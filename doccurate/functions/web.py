@@ -17,7 +17,8 @@ def decode_entities(text: Column) -> Column:
 
 
 def _squeeze(text: Column) -> Column:
-    return F.trim(F.regexp_replace(F.regexp_replace(F.regexp_replace(text, r"[ \t]+", " "), r" ?\n ?", "\n"), r"\n+", "\n"))
+    lines = F.regexp_replace(F.regexp_replace(F.regexp_replace(text, r"[ \t]+", " "), r" ?\n ?", "\n"), r"\n+", "\n")
+    return F.regexp_replace(lines, r"^[ \n]+|[ \n]+\z", "")
 
 
 def _no_code(html: Column) -> Column:

@@ -125,9 +125,12 @@ _op("agg_salted", "documents", "SELECT lang, count(*) AS n, sum(n_chars)::BIGINT
     lambda d: d.groupBy("lang", F.pmod(F.xxhash64("doc_id"), F.lit(16)).alias("salt")).agg(F.count("*").alias("n"), F.sum("n_chars").alias("c")).groupBy("lang").agg(F.sum("n").alias("n"), F.sum("c").alias("chars"))
 )
 # Windows
-_CW = W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+def _cw():
+    return W.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey")
+
+
 _op("win_rank", "orders", "SELECT o_orderkey, row_number() OVER w AS k, rank() OVER w AS r, dense_rank() OVER w AS d FROM orders WINDOW w AS (PARTITION BY o_custkey ORDER BY o_totalprice DESC, o_orderkey)")(
-    lambda o: o.select("o_orderkey", F.row_number().over(_CW).alias("k"), F.rank().over(_CW).alias("r"), F.dense_rank().over(_CW).alias("d"))
+    lambda o: o.select("o_orderkey", F.row_number().over(_cw()).alias("k"), F.rank().over(_cw()).alias("r"), F.dense_rank().over(_cw()).alias("d"))
 )
 _op("win_frame_rows", "orders", "SELECT o_orderkey, round(sum(o_totalprice) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW), 2) AS running FROM orders")(
     lambda o: o.select("o_orderkey", F.round(F.sum("o_totalprice").over(W.partitionBy("o_custkey").orderBy("o_orderdate", "o_orderkey").rowsBetween(-2, 0)), 2).alias("running"))
@@ -135,20 +138,26 @@ _op("win_frame_rows", "orders", "SELECT o_orderkey, round(sum(o_totalprice) OVER
 _op("win_frame_range", "events", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY floor(epoch(ts))::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS day FROM events")(
     lambda e: e.select("event_id", F.count("*").over(W.partitionBy("user_id").orderBy(F.floor(F.unix_micros(F.col("ts").cast("timestamp")) / 1_000_000).cast("long")).rangeBetween(-86400, 0)).alias("day"))
 )
-_EW = W.partitionBy("user_id").orderBy("ts", "event_id")
+def _ew():
+    return W.partitionBy("user_id").orderBy("ts", "event_id")
+
+
 _op("win_analytic", "events", "SELECT event_id, coalesce(lag(event_id) OVER w, -1) AS before, coalesce(lead(event_id) OVER w, -1) AS after, first_value(event_id) OVER w AS first, coalesce(nth_value(event_id, 2) OVER w, -1) AS second FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)")(
-    lambda e: e.select("event_id", F.lag("event_id", 1, -1).over(_EW).alias("before"), F.lead("event_id", 1, -1).over(_EW).alias("after"), F.first("event_id").over(_EW).alias("first"), F.coalesce(F.nth_value("event_id", 2).over(_EW), F.lit(-1)).alias("second"))
+    lambda e: e.select("event_id", F.lag("event_id", 1, -1).over(_ew()).alias("before"), F.lead("event_id", 1, -1).over(_ew()).alias("after"), F.first("event_id").over(_ew()).alias("first"), F.coalesce(F.nth_value("event_id", 2).over(_ew()), F.lit(-1)).alias("second"))
 )
-_PW = W.partitionBy("p_brand").orderBy("p_retailprice", "p_partkey")
+def _pw():
+    return W.partitionBy("p_brand").orderBy("p_retailprice", "p_partkey")
+
+
 _op("win_ntile", "part", "SELECT p_partkey, ntile(4) OVER w AS q, round(percent_rank() OVER w, 6) AS p, round(cume_dist() OVER w, 6) AS c FROM part WINDOW w AS (PARTITION BY p_brand ORDER BY p_retailprice, p_partkey)")(
-    lambda p: p.select("p_partkey", F.ntile(4).over(_PW).alias("q"), F.round(F.percent_rank().over(_PW), 6).alias("p"), F.round(F.cume_dist().over(_PW), 6).alias("c"))
+    lambda p: p.select("p_partkey", F.ntile(4).over(_pw()).alias("q"), F.round(F.percent_rank().over(_pw()), 6).alias("p"), F.round(F.cume_dist().over(_pw()), 6).alias("c"))
 )
 
 
 @_op("sessionize", "events", "WITH g AS (SELECT user_id, event_id, ts, CASE WHEN ts - lag(ts) OVER w <= INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)) SELECT user_id, session, count(*) AS n FROM (SELECT user_id, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts, event_id)::BIGINT AS session FROM g) GROUP BY ALL")
 def _sessions(e):
-    fresh = F.when(F.col("ts") <= F.lag("ts").over(_EW) + F.expr("INTERVAL 30 MINUTE"), 0).otherwise(1)
-    return e.withColumn("fresh", fresh).withColumn("session", F.sum("fresh").over(_EW)).groupBy("user_id", "session").agg(F.count("*").alias("n"))
+    fresh = F.when(F.col("ts") <= F.lag("ts").over(_ew()) + F.expr("INTERVAL 30 MINUTE"), 0).otherwise(1)
+    return e.withColumn("fresh", fresh).withColumn("session", F.sum("fresh").over(_ew())).groupBy("user_id", "session").agg(F.count("*").alias("n"))
 
 
 _op("sort_limit", "orders", "SELECT o_orderkey, o_totalprice FROM orders ORDER BY o_totalprice DESC, o_orderkey LIMIT 20")(lambda o: o.select("o_orderkey", "o_totalprice").orderBy(F.desc("o_totalprice"), "o_orderkey").limit(20))

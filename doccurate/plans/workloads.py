@@ -96,7 +96,7 @@ def _plain(x: str, markdown: bool = False) -> str:
     x = f"regexp_replace(regexp_replace({x}, '(?i)</?(?:{_BLOCK})\\b[^>]*>', chr(10), 'g'), '<[^>]*>', ' ', 'g')"
     for entity, char in (("&nbsp;", " "), ("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "''"), ("&amp;", "&")):
         x = f"replace({x}, '{entity}', '{char}')"
-    return f"trim(regexp_replace(regexp_replace(regexp_replace({x}, '[ \\t]+', ' ', 'g'), ' ?\\n ?', chr(10), 'g'), '\\n+', chr(10), 'g'))"
+    return f"regexp_replace(regexp_replace(regexp_replace(regexp_replace({x}, '[ \\t]+', ' ', 'g'), ' ?\\n ?', chr(10), 'g'), '\\n+', chr(10), 'g'), '^[ \\n]+|[ \\n]+\\z', '', 'g')"
 
 
 _ARTICLE = "CASE WHEN regexp_extract(html, '(?is)<article[^>]*>(.*?)</article>', 1) <> '' THEN regexp_extract(html, '(?is)<article[^>]*>(.*?)</article>', 1) ELSE html END"
