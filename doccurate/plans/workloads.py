@@ -44,7 +44,7 @@ def parsed(spark: SparkSession, sf_dir: str, target: str | None = TARGET) -> Dat
 
 def judged(spark: SparkSession, sf_dir: str, target: str = TARGET, mode: str = "sequential") -> DataFrame:
     pairs = parsed(spark, sf_dir, target).filter("well_formed")
-    return filters.run_cascade(filters.with_language(pairs, profiles(spark, sf_dir), LANGS), target, mode=mode)
+    return filters.run_cascade(filters.with_language(pairs, profiles(spark, sf_dir), LANGS), target, mode=mode, keep=keeper(spark))
 
 
 def synthetic(spark: SparkSession, sf_dir: str, target: str = TARGET) -> DataFrame:
