@@ -1,29 +1,28 @@
 """URL filters: rules first, then a character language-model ratio.
 
 Two smoothed variable-order Markov models are trained on the URLs that rules accept and reject. Their n-gram counts are
-taken over all such URLs. A context is kept only where its character distribution pays: contexts are ranked by
-count, at most CONTEXTS of them (all the shorter ones of a kept context are kept too), which bounds what is broadcast
-at every input size. The chance of a character interpolates from the order below (Witten-Bell), down to a
-uniform one. A URL's score is the difference of the models' log-likelihoods over its length;
-the threshold is calibrated on all rule-labelled URLs, where the two error rates are closest.
+tables over all such URLs and all contexts, and grow with the input. The chance of a character interpolates from the order
+below (Witten-Bell), down to a uniform one; it is worked out once for each distinct n-gram of all URLs, order by order. An
+n-gram's log ratio then reaches the places where it occurs: those of frequent n-grams, of which there can
+be at most FREQUENT, by a broadcast, all others by a join, in which none has more than a FREQUENT-th of the rows. A URL's score is
+the difference of the models' log-likelihoods over its length; the threshold is calibrated on all
+rule-labelled URLs, where the two error rates are closest.
 
 Null URLs and those without ``://`` have empty host and path, no rule, and the score 0; repeated rows have
-equal results; without any accepted or rejected URLs every score is 0 and the verdict is allow.
+equal results; without any accepted or rejected URLs every score is 0 and the verdict is allow. Log ratios are summed as
+whole billionths, so that scores don't depend on the order of rows.
 """
 
 from __future__ import annotations
 
-import math
-from collections import defaultdict
-
 import numpy as np
-import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from doccurate.llm.common import table
+from doccurate.llm.common import materialise, table
 
-ORDER, CONTEXTS = 5, 60_000
+ORDER, FREQUENT = 5, 20_000
 #: (host, path, verdict): a rule fits its host and all subdomains, and paths that start with its own.
 Rule = tuple[str, str, str]
 # Fixed values of the production rules.
@@ -51,89 +50,61 @@ def rule_of(host: Column, path: Column, rules: list[Rule]) -> Column:
     return out if out is not None else F.lit(None).cast("struct<name: string, verdict: string>")
 
 
-class Markov:
-    """A variable-order model: context to (its count, number of next characters, their counts)."""
-
-    def __init__(self, counts: dict[str, dict[str, int]], alphabet: int):
-        self.next = counts
-        self.total = {c: sum(n.values()) for c, n in counts.items()}
-        self.alphabet = alphabet
-        self.known: dict[tuple[str, str], float] = {}
-
-    def chance(self, context: str, char: str) -> float:
-        if (context, char) in self.known:
-            return self.known[context, char]
-        below = self.chance(context[1:], char) if context else 1 / self.alphabet
-        total = self.total.get(context, 0)
-        if total:
-            seen = self.next[context]
-            below = (seen.get(char, 0) + len(seen) * below) / (total + len(seen))
-        if len(self.known) < 1_000_000:
-            self.known[context, char] = below
-        return below
-
-    def log_likelihood(self, url: str, order: int) -> float:
-        text = "\x02" * order + url + "\x03"
-        return sum(math.log(self.chance(text[k - order : k], text[k])) for k in range(order, len(text)))
-
-
-def ngram_counts(urls: DataFrame, order: int = ORDER) -> DataFrame:
-    """accepted, context, char, n over all rows of urls(accepted, url), contexts of 0 to ``order`` characters."""
-    text = F.concat(F.lit("\x02" * order), "url", F.lit("\x03"))
-    spots = urls.select("accepted", text.alias("t"), F.explode(F.sequence(F.lit(order + 1), F.length(text))).alias("k"))
-    grams = spots.select("accepted", F.substring("t", F.col("k"), F.lit(1)).alias("char"), F.substring("t", F.col("k") - order, F.lit(order)).alias("c"))
-    full = grams.groupBy("accepted", "c", "char").agg(F.count("*").alias("n"))
-    every = full.select("accepted", F.explode(F.array(*(F.substring("c", order - k + 1, k) for k in range(order + 1)))).alias("context"), "char", "n")
-    return every.groupBy("accepted", "context", "char").agg(F.sum("n").alias("n"))
-
-
-def train(urls: DataFrame, order: int = ORDER, contexts: int = CONTEXTS) -> dict[bool, Markov]:
-    """Models of accepted and rejected urls(accepted boolean, url); at most ``contexts`` contexts reach the driver."""
-    counts = ngram_counts(urls, order).persist()
-    sizes = counts.groupBy("context").agg(F.sum("n").alias("n")).groupBy("n").agg(F.count("*").alias("k"))
-    # The least count at which no more than ``contexts`` contexts stay: a context's count is at most that of its shorter ones.
-    tail = sizes.withColumn("bin", F.floor(F.log2("n") * 8)).groupBy("bin").agg(F.sum("k").alias("k"), F.min("n").alias("n")).orderBy(F.desc("bin")).collect()
-    least, kept = math.inf, 0
-    for row in tail:
-        kept += row.k
-        if kept > contexts:
-            break
-        least = row.n
-    big = counts.groupBy("context").agg(F.sum("n").alias("size")).filter(F.col("size") >= (least if least < math.inf else 1 << 62)).select("context")
-    found: dict[bool, dict[str, dict[str, int]]] = {True: defaultdict(dict), False: defaultdict(dict)}
-    some = counts.join(big, "context", "left_semi").groupBy("accepted", "context").agg(F.collect_list(F.struct("char", "n")).alias("next"))
-    for accepted, context, nexts in some.toLocalIterator():
-        found[accepted][context] = {c: n for c, n in nexts}
-    counts.unpersist()
-    alphabet = len({c for m in found.values() for c in m.get("", {})}) + 1
-    return {k: Markov(dict(v), alphabet) for k, v in found.items()}
-
-
-def scored(urls: DataFrame, models: dict[bool, Markov], order: int = ORDER) -> DataFrame:
-    """urls with ``score``: the accepted model's log-likelihood less the rejected one's, over the length with the end sign."""
-    from pyspark.sql.types import DoubleType, StructType
-
-    sent, where = urls.sparkSession.sparkContext.broadcast(models), urls.columns.index("url")
-
-    def run(batches):
-        both = sent.value
-        usable = both[True].next and both[False].next
-        for b in batches:
-            out = []
-            for url in b.column(where).to_pylist():
-                if url is None or "://" not in url or not usable:
-                    out.append(0.0)
-                else:
-                    out.append((both[True].log_likelihood(url, order) - both[False].log_likelihood(url, order)) / (len(url) + 1))
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out, pa.float64())], [*b.schema.names, "score"])
-
-    return urls.mapInArrow(run, StructType([*urls.schema.fields]).add("score", DoubleType()))
+def ngrams(urls: DataFrame, order: int = ORDER) -> DataFrame:
+    """u, accepted, rejected, context (``order`` characters), char: one row for each place of urls(u, url, accepted, rejected) and for its end."""
+    chars = F.array(F.split(F.concat(F.lit("\x02" * order), "url", F.lit("\x03")), ""))
+    before = lambda t, i: F.concat(*(F.get(t, i - k) for k in range(order, 0, -1))) if order else F.lit("")
+    places = lambda t: F.transform(F.sequence(F.lit(order), F.size(t) - 1), lambda i: F.struct(before(t, i).alias("context"), F.get(t, i).alias("char")))
+    return urls.select("u", "accepted", "rejected", F.inline(F.get(F.transform(chars, places), F.lit(0))))
+
+
+def counts(grams: DataFrame, order: int = ORDER) -> DataFrame:
+    """k, context, char, and how often accepted and rejected URLs and (of the full order) all distinct URLs have it, for contexts of k = 0 to ``order`` characters."""
+    full = grams.groupBy("context", "char").agg(F.sum("accepted").alias("a"), F.sum("rejected").alias("b"), F.count("*").alias("n"))
+    ends = F.array(*(F.struct(F.lit(k).alias("k"), F.substring("context", order - k + 1, k).alias("context")) for k in range(order + 1)))
+    every = full.select(F.inline(ends), "char", "a", "b", "n")
+    return every.groupBy("k", "context", "char").agg(F.sum("a").alias("a"), F.sum("b").alias("b"), F.sum("n").alias("n"))
+
+
+def log_ratios(found: DataFrame, order: int = ORDER) -> DataFrame:
+    """context, char, n and ``ratio`` (billionths) of each n-gram of the full order in found, a table of ``counts``.
+
+    A context has at most as many rows as there are characters.
+    """
+    alphabet = found.filter((F.col("k") == 0) & (F.col("a") + F.col("b") > 0)).count() + 1
+    same, below = W.partitionBy("context"), None
+    for k in range(order + 1):
+        now = found.filter(F.col("k") == k).select("context", "char", "n", *(f(x).alias(f"{name}_{x}") for x in "ab" for f, name in ((F.col, "seen"), (lambda x: F.sum(x).over(same), "total"), (lambda x: F.count_if(F.col(x) > 0).over(same), "kinds"))))
+        if below is None:
+            now = now.select("*", *(F.lit(1 / alphabet).alias(f"below_{x}") for x in "ab"))
+        else:
+            now = now.withColumn("short", F.substring("context", 2, k - 1)).join(below, ["short", "char"])
+        chance = lambda x: F.when(F.col(f"total_{x}") > 0, (F.col(f"seen_{x}") + F.col(f"kinds_{x}") * F.col(f"below_{x}")) / (F.col(f"total_{x}") + F.col(f"kinds_{x}"))).otherwise(F.col(f"below_{x}"))
+        now = now.select("context", "char", "n", *(chance(x).alias(f"below_{x}") for x in "ab"))
+        below = now.select(F.col("context").alias("short"), "char", "below_a", "below_b")
+    return now.select("context", "char", "n", F.round(F.log(F.col("below_a") / F.col("below_b")) * 1e9).cast("long").alias("ratio"))
+
+
+def scored(spark: SparkSession, urls: DataFrame, order: int = ORDER, frequent: int = FREQUENT) -> DataFrame:
+    """urls(url, accepted, rejected: rows with it that rules accept and reject; distinct URLs) with ``score``: the accepted model's log-likelihood less the rejected one's, over the length with the end sign."""
+    urls = materialise(spark, urls.withColumn("u", F.monotonically_increasing_id()), "urls")
+    good, bad = urls.agg(F.coalesce(F.sum("accepted"), F.lit(0)), F.coalesce(F.sum("rejected"), F.lit(0))).first()
+    if not good or not bad:
+        return urls.select("url", "accepted", "rejected", F.lit(0.0).alias("score"))
+    grams = ngrams(urls, order)
+    ratios = materialise(spark, log_ratios(materialise(spark, counts(grams, order), "counts"), order), "ratios")
+    places = ratios.agg(F.sum("n")).first()[0]
+    often = F.col("n") * frequent >= places  # at most ``frequent`` n-grams can have so large a share
+    at = grams.select("u", "context", "char").join(F.broadcast(ratios.filter(often).select("context", "char", "ratio")), ["context", "char"], "left")
+    seldom = at.filter("ratio is null").drop("ratio").join(ratios.filter(~often).select("context", "char", "ratio"), ["context", "char"])
+    sums = at.filter("ratio is not null").select("u", "ratio").union(seldom.select("u", "ratio")).groupBy("u").agg(F.sum("ratio").alias("ratio"))
+    return urls.join(sums, "u").select("url", "accepted", "rejected", (F.col("ratio") / 1e9 / (F.length("url") + 1)).alias("score"))
 
 
 def calibrate(rows: DataFrame, bins: int = 400) -> float:
-    """Threshold on ``score`` of rows(accepted, score) where the shares of wrongly judged of both kinds are closest."""
+    """Threshold on ``score`` of rows(accepted, rejected, score) where the shares of wrongly judged of both kinds are closest."""
     at = F.greatest(F.lit(0), F.least(F.lit(bins), F.floor((F.col("score") + 2) * (bins / 4))))
-    found = rows.filter("accepted is not null").groupBy(at.alias("bin")).agg(F.count_if("accepted").alias("good"), F.count_if(~F.col("accepted")).alias("bad")).collect()
+    found = rows.groupBy(at.alias("bin")).agg(F.sum("accepted").alias("good"), F.sum("rejected").alias("bad")).collect()
     good, bad = np.zeros(bins + 1), np.zeros(bins + 1)
     for r in found:
         good[int(r["bin"])], bad[int(r["bin"])] = r.good, r.bad
@@ -150,10 +121,11 @@ def judge(spark: SparkSession, pages: DataFrame, rules: list[Rule] = RULES) -> D
     rows = pages.select("page_id", F.col("url").cast("string").alias("url"))
     rows = rows.select("page_id", "url", host_of(F.col("url")).alias("host"), path_of(F.col("url")).alias("path"))
     rows = rows.withColumn("fit", rule_of(F.col("host"), F.col("path"), rules))
-    labelled = rows.filter("fit is not null").select((F.col("fit.verdict") == "allow").alias("accepted"), "url")
-    models = train(labelled)
-    done = scored(rows, models)
-    threshold = calibrate(scored(labelled, models))
+    ruled = lambda verdict: F.count_if(F.col("fit.verdict") == verdict)
+    distinct = rows.filter(F.contains("url", F.lit("://"))).groupBy("url").agg(ruled("allow").alias("accepted"), ruled("block").alias("rejected"))
+    scores = materialise(spark, scored(spark, distinct), "scores")
+    threshold = calibrate(scores)
+    done = rows.join(scores.select("url", "score"), "url", "left").withColumn("score", F.coalesce("score", F.lit(0.0)))
     verdict = F.coalesce("fit.verdict", F.when(F.col("score") >= threshold, "allow").otherwise("block"))
     return done.select("page_id", "host", "path", F.col("fit.name").alias("rule"), verdict.alias("verdict"), "score")
 

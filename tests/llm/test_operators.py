@@ -1,6 +1,7 @@
 """Each operator on one small table of hard rows, against brute force."""
 
 import hashlib
+import math
 import random
 import re
 import zlib
@@ -288,6 +289,35 @@ def test_url_filter(spark):
     assert sum(good) / len(good) > 0.8
 
 
+def brute_chance(counts, alphabet, context, char):
+    below = brute_chance(counts, alphabet, context[1:], char) if context else 1 / alphabet
+    seen = counts.get(context, {})
+    return (seen.get(char, 0) + len(seen) * below) / (sum(seen.values()) + len(seen)) if seen else below
+
+
+@pytest.mark.parametrize("frequent", [30, 20_000])
+def test_url_scores_against_brute_force(spark, frequent):
+    rng = random.Random(4)
+    urls = [(f"http://{rng.choice(['ab', 'cé', '𝒳y'])}.org/{rng.choice(['en', 'de'])}/{rng.randint(0, 40)}", rng.randint(0, 3), rng.randint(0, 2)) for _ in range(60)]
+    urls = list({u: (u, a, b) for u, a, b in urls}.values()) + [("x://" + "z" * 3000, 0, 0), ("://", 1, 0)]
+    order, models, chars = 3, [{}, {}], set()
+    for url, *times in urls:
+        text = "\x02" * order + url + "\x03"
+        for model, n in zip(models, times, strict=True):
+            for k in range(order, len(text) if n else 0):
+                chars.add(text[k])
+                for size in range(order + 1):
+                    nexts = model.setdefault(text[k - size : k], {})
+                    nexts[text[k]] = nexts.get(text[k], 0) + n
+    rows = spark.createDataFrame(urls, "url string, accepted long, rejected long")
+    found = {r.url: r.score for r in url_filter.scored(spark, rows, order, frequent).collect()}
+    assert len(found) == len(urls)
+    for url, *_ in urls:
+        text = "\x02" * order + url + "\x03"
+        logs = [sum(math.log(brute_chance(m, len(chars) + 1, text[k - order : k], text[k])) for k in range(order, len(text))) for m in models]
+        assert abs(found[url] - (logs[0] - logs[1]) / (len(url) + 1)) < 1e-6
+
+
 def test_empty_tables(spark, empty):
     items = spark.createDataFrame([], "item_id long, text string")
     labels = spark.createDataFrame([], "doc_id long, toxic int")
