@@ -64,34 +64,48 @@ def minhash(sets: Column, perms: int, seed: int = 5) -> Column:
     return bound(base, lambda hs: F.array(*(F.array_min(F.transform(hs, lambda h: (h * x + y) % prime)) for x, y in zip(a, b, strict=True))))
 
 
-def near_pairs(df: DataFrame, key: str, text: str = "text", n: int = 5, perms: int = 64, bands: int = 16, threshold: float = 0.7, keep: Callable[[DataFrame], DataFrame] = lambda x: x) -> DataFrame:
-    """id, other, similarity: pairs of distinct texts whose word n-gram sets have at least this Jaccard.
+def gram_nodes(df: DataFrame, key: str, text: str = "text", n: int = 5) -> DataFrame:
+    """id, set: distinct texts, each by its least key, with their word n-grams; texts without grams have no node."""
+    texts = df.select(key, F.col(text).alias("t")).groupBy("t").agg(F.min(key).alias("id"))
+    return texts.select("id", grams(F.col("t"), n, "word").alias("set")).filter(F.size("set") > 0)
+
+
+def _linked(spread: DataFrame, on: list[str], nodes: DataFrame, threshold: float) -> DataFrame:
+    """id, other, similarity of the nodes that share a row of spread(id, size, *on) and have at least this Jaccard.
 
-    Equal texts are one node (its least key). Bands of signatures propose pairs, gram sets verify them. A band
-    bucket links its members to its least one and to the next in order, not all pairs, and what is linked is closed by ``clusters``.
-    keep may write the node table.
+    Sizes too far apart for the threshold are not compared; each candidate is verified once, on whole sets.
     """
-    nodes = keep(df.select(key, F.col(text).alias("t")).groupBy("t").agg(F.min(key).alias("id")).select("id", grams(F.col("t"), n, "word").alias("set")).filter(F.size("set") > 0))
-    rows = perms // bands
-    signed = nodes.select("id", minhash(F.col("set"), perms).alias("sig"))
-    banded = signed.select("id", F.posexplode(F.array(*(F.xxhash64(F.slice("sig", k * rows + 1, rows)) for k in range(bands)))).alias("band", "bucket"))
-    least = banded.groupBy("band", "bucket").agg(F.min("id").alias("first"), F.count("*").alias("n")).filter("n > 1")
-    starred = banded.join(least, ["band", "bucket"])
-    order = W.partitionBy("band", "bucket").orderBy("id")
-    nearby = starred.withColumn("before", F.lag("id").over(order)).filter("before is not null")
-    found = nearby.select(F.col("before").alias("id"), F.col("id").alias("other")).union(nearby.select(F.col("first").alias("id"), F.col("id").alias("other"))).filter("id < other").distinct()
+    other = spread.withColumnsRenamed({"id": "other", "size": "other_size"})
+    fits = F.least("size", "other_size") >= F.greatest("size", "other_size") * (threshold - 1e-6)
+    found = spread.join(other, on).filter((F.col("id") < F.col("other")) & fits).select("id", "other").distinct()
     both = found.join(nodes.withColumnRenamed("set", "a"), "id").join(nodes.select(F.col("id").alias("other"), F.col("set").alias("b")), "other")
     common = F.size(F.array_intersect("a", "b"))
     return both.select("id", "other", F.round(common / (F.size("a") + F.size("b") - common), 6).alias("similarity")).filter(F.col("similarity") >= threshold)
 
 
-def gram_join_pairs(df: DataFrame, key: str, text: str = "text", n: int = 5, threshold: float = 0.7) -> DataFrame:
-    """The same pairs exactly, by counting common grams; for bounded inputs and as yardstick of near_pairs."""
-    nodes = df.select(key, F.col(text).alias("t")).groupBy("t").agg(F.min(key).alias("id")).select("id", grams(F.col("t"), n, "word").alias("set"))
+def near_pairs(df: DataFrame, key: str, text: str = "text", n: int = 5, perms: int = 64, bands: int = 16, threshold: float = 0.7, keep: Callable[[DataFrame], DataFrame] = lambda x: x) -> DataFrame:
+    """id, other, similarity: pairs of distinct texts whose word n-gram sets have at least this Jaccard.
+
+    Equal texts are one node (its least key). All nodes of a band's bucket are candidates, gram sets verify them;
+    what no band proposes is missed, ``gram_join_pairs`` finds that too. keep may write the node table.
+    """
+    nodes = keep(gram_nodes(df, key, text, n))
+    rows = perms // bands
+    signed = nodes.select("id", F.size("set").alias("size"), minhash(F.col("set"), perms).alias("sig"))
+    banded = signed.select("id", "size", F.posexplode(F.array(*(F.xxhash64(F.slice("sig", k * rows + 1, rows)) for k in range(bands)))).alias("band", "bucket"))
+    return _linked(banded, ["band", "bucket"], nodes, threshold)
+
+
+def gram_join_pairs(df: DataFrame, key: str, text: str = "text", n: int = 5, threshold: float = 0.7, keep: Callable[[DataFrame], DataFrame] = lambda x: x) -> DataFrame:
+    """All such pairs, exactly, by prefixes: ordered by how many texts have them, two sets that are alike enough share one of
+    their first grams, so only these are joined, and grams that many texts share hardly ever are. keep may write the node table.
+    """
+    nodes = keep(gram_nodes(df, key, text, n))
     each = nodes.select("id", F.size("set").alias("size"), F.explode("set").alias("gram"))
-    other = each.withColumnsRenamed({"id": "other", "size": "other_size"})
-    common = each.join(other, "gram").filter("id < other").groupBy("id", "other", "size", "other_size").agg(F.count("*").alias("common"))
-    return common.select("id", "other", F.round(F.col("common") / (F.col("size") + F.col("other_size") - F.col("common")), 6).alias("similarity")).filter(F.col("similarity") >= threshold)
+    ranked = each.join(each.groupBy("gram").agg(F.count("*").alias("texts")), "gram")
+    place = F.row_number().over(W.partitionBy("id").orderBy("texts", "gram"))
+    first = ranked.withColumn("place", place).filter(F.col("place") <= F.col("size") - F.ceil(F.col("size") * (threshold - 1e-6)) + 1)
+    return _linked(first.filter("texts > 1").select("id", "size", "gram"), ["gram"], nodes, threshold)
 
 
 def contained_in(small: DataFrame, small_key: str, big: DataFrame, big_key: str, n: int = 5, min_share: float = 0.8) -> DataFrame:

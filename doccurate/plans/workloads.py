@@ -213,7 +213,7 @@ def w07_contained(spark, sf_dir):
 c AS (SELECT a.doc_id AS id, b.doc_id AS other, count(*) AS k FROM g a JOIN g b ON a.g = b.g AND a.doc_id < b.doc_id GROUP BY ALL)
 SELECT id, other, round(k / (x.size + y.size - k)::DOUBLE, 6) AS similarity FROM c JOIN n x ON x.doc_id = id JOIN n y ON y.doc_id = other WHERE round(k / (x.size + y.size - k)::DOUBLE, 6) >= 0.7""")
 def w07_near_exact(spark, sf_dir):
-    return dedup.gram_join_pairs(table(spark, sf_dir, "documents"), "doc_id")
+    return dedup.gram_join_pairs(table(spark, sf_dir, "documents"), "doc_id", keep=keeper(spark))
 
 
 @query("w07_near_minhash")

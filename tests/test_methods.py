@@ -180,6 +180,32 @@ def test_dedup(spark, tmp_path):
     assert sets.count() == 18 and sets.filter("dataset = 'gold'").count() == 1
 
 
+@pytest.mark.parametrize("threshold", [0.5, 0.7, 0.8])
+def test_gram_join_finds_all_pairs(spark, threshold):
+    rng = random.Random(int(threshold * 10))
+    common = [f"c{k}" for k in range(30)]  # a passage that all texts share
+    texts = []
+    for _ in range(12):
+        base = [f"w{rng.randint(0, 60)}" for _ in range(rng.randint(0, 60))]
+        for _ in range(5):
+            own = list(base)
+            for _ in range(rng.randint(0, 4)):
+                own.insert(rng.randint(0, len(own)), f"n{rng.randint(0, 9)}")
+            texts.append(" ".join(own + common * rng.randint(0, 1)))
+    rows = [*enumerate(texts), (900, None), (901, ""), (902, "one two"), (903, texts[0])]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    sets, first = {}, {}
+    for k, t in rows:
+        w = (t or "").split()
+        if len(w) > 4 and first.setdefault(t, k) == k:
+            sets[k] = {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
+    want = {(a, b) for a, b in itertools.combinations(sets, 2) if round(len(sets[a] & sets[b]) / len(sets[a] | sets[b]), 6) >= threshold}
+    assert len(want) > 20
+    assert {(r.id, r.other) for r in dedup.gram_join_pairs(docs, "doc_id", threshold=threshold).collect()} == want
+    found = {(r.id, r.other) for r in dedup.near_pairs(docs, "doc_id", threshold=threshold).collect()}
+    assert found <= want and len(found) > 0.7 * len(want)
+
+
 def test_gold_needs_a_verdict(spark):
     items = spark.createDataFrame([(k, "one two three four five six. more words are in here too.") for k in range(5)], "item_id long, text string")
     tasks = gold.annotation_tasks(items, gold.identity_translator(), gold.identity_translator())
