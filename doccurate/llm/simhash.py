@@ -242,8 +242,8 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 #: Words of a wide signature, its bits, and how many may differ: a Jaccard similarity of 0.8 has a cosine of
-#: 8/9, hence 15.1 % of the bits differ on average; the bound is 0.9 standard deviations above.
-WIDE, WIDE_RADIUS = 4, 44
+#: 8/9, hence 15.1 % of the bits differ on average; the bound is 1.3 standard deviations above.
+WIDE, WIDE_RADIUS = 8, 88
 
 
 def signature(text: bytes | None, words: int) -> np.ndarray:
