@@ -187,9 +187,9 @@ def test_gram_join_finds_all_pairs(spark, threshold):
     texts = []
     for _ in range(12):
         base = [f"w{rng.randint(0, 60)}" for _ in range(rng.randint(0, 60))]
-        for _ in range(5):
+        for _ in range(6):
             own = list(base)
-            for _ in range(rng.randint(0, 4)):
+            for _ in range(rng.randint(0, 2)):
                 own.insert(rng.randint(0, len(own)), f"n{rng.randint(0, 9)}")
             texts.append(" ".join(own + common * rng.randint(0, 1)))
     rows = [*enumerate(texts), (900, None), (901, ""), (902, "one two"), (903, texts[0])]
@@ -200,7 +200,7 @@ def test_gram_join_finds_all_pairs(spark, threshold):
         if len(w) > 4 and first.setdefault(t, k) == k:
             sets[k] = {tuple(w[i : i + 5]) for i in range(len(w) - 4)}
     want = {(a, b) for a, b in itertools.combinations(sets, 2) if round(len(sets[a] & sets[b]) / len(sets[a] | sets[b]), 6) >= threshold}
-    assert len(want) > 20
+    assert len(want) > 20  # or the fixture shows nothing
     assert {(r.id, r.other) for r in dedup.gram_join_pairs(docs, "doc_id", threshold=threshold).collect()} == want
     found = {(r.id, r.other) for r in dedup.near_pairs(docs, "doc_id", threshold=threshold).collect()}
     assert found <= want and len(found) > 0.7 * len(want)
