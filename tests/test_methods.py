@@ -186,7 +186,7 @@ def test_gram_join_finds_all_pairs(spark, threshold):
     common = [f"c{k}" for k in range(30)]  # a passage that all texts share
     texts = []
     for _ in range(12):
-        base = [f"w{rng.randint(0, 60)}" for _ in range(rng.randint(0, 60))]
+        base = [f"w{rng.randint(0, 60)}" for _ in range(rng.randint(30, 120))]
         for _ in range(6):
             own = list(base)
             for _ in range(rng.randint(0, 2)):
