@@ -72,8 +72,8 @@ cut AS (SELECT *, regexp_split_to_array(r[CASE WHEN slot > 1 AND drawn = 'paraph
 halved AS (SELECT *, ws[1:ceil(len(ws) / 2.0)::INT] AS f, ws[ceil(len(ws) / 2.0)::INT + 1:] AS rest FROM cut),
 asked AS (SELECT *, CASE drawn WHEN 'off_topic' THEN ex_question
     WHEN 'wrong_language' THEN CASE WHEN lang = 'en' THEN {quoted(EXEMPLARS['de'][0][0])} ELSE {quoted(EXEMPLARS['en'][0][0])} END
-    ELSE array_to_string(string_split(ex_question, ' ')[1:2], ' ') || ' ' || array_to_string(
-      CASE WHEN drawn = 'paraphrase' THEN list_concat(list_concat(f[2:2], f[1:1]), f[3:]) ELSE f END, ' ') || ' ?' END AS q FROM halved),
+    ELSE CASE WHEN f IS NOT NULL THEN array_to_string(string_split(ex_question, ' ')[1:2], ' ') || ' ' || array_to_string(
+      CASE WHEN drawn = 'paraphrase' THEN list_concat(list_concat(f[2:2], f[1:1]), f[3:]) ELSE f END, ' ') || ' ?' END END AS q FROM halved),
 completed AS (SELECT *, CASE WHEN ws IS NULL OR drawn = 'malformed' THEN 'Q: ' || coalesce(q, '') WHEN drawn = 'empty' THEN 'Q: ' || chr(10) || 'A: '
     ELSE 'Q: ' || q || chr(10) || 'A: ' || array_to_string(rest, ' ') END AS completion,
     CASE WHEN ws IS NULL THEN 'malformed' ELSE drawn END AS fault FROM asked),

@@ -455,7 +455,7 @@ def mixtures(spark: SparkSession, sf_dir: str) -> DataFrame:
 base AS (SELECT 'synthetic' AS source FROM judged WHERE kept AND split = 'train' UNION ALL SELECT 'talk_' || k FROM talk
   WHERE CASE k WHEN 0 THEN {sql.u('image_id', 'mix/talk_0')} < 1 WHEN 1 THEN {sql.u('image_id', 'mix/talk_1')} < 0.5 ELSE {sql.u('image_id', 'mix/talk_2')} < 0.25 END),
 ocr AS (SELECT image_id FROM crawl WHERE lang = '{TARGET}')
-SELECT b.share AS budget, source, count(*) AS n FROM (VALUES (0.0), (0.2), (1.0)) AS b(share), (SELECT source, -1.0 AS v FROM base UNION ALL SELECT 'ocr', {sql.u('image_id', 'budget')} FROM ocr) x WHERE x.v < b.share GROUP BY ALL""")
+SELECT b.share::DOUBLE AS budget, source, count(*) AS n FROM (VALUES (0.0), (0.2), (1.0)) AS b(share), (SELECT source, -1.0 AS v FROM base UNION ALL SELECT 'ocr', {sql.u('image_id', 'budget')} FROM ocr) x WHERE x.v < b.share GROUP BY ALL""")
 def w18(spark, sf_dir):
     base = mixtures(spark, sf_dir)
     ocr = training.as_ocr_task(collect.page_views(table(spark, sf_dir, "pages")).filter(F.col("lang") == TARGET))
@@ -471,7 +471,7 @@ test AS (SELECT w, count(*) AS times FROM (SELECT unnest({sql.words('text')}) AS
 tr AS (SELECT s AS budget, unnest({sql.words('text')}) AS w FROM o, (VALUES (0.0), (0.2), (1.0)) AS b(s) WHERE v < s),
 c AS (SELECT budget, w, count(*) AS n FROM tr GROUP BY ALL),
 z AS (SELECT s AS budget, coalesce(sum(n), 0) AS total, count(n) AS size FROM (VALUES (0.0), (0.2), (1.0)) AS b(s) LEFT JOIN c ON budget = s GROUP BY s)
-SELECT z.budget, sum(round(-10000 * ln((coalesce(n, 0) + 1)::DOUBLE / (total + size + 1)))::BIGINT * times)::BIGINT AS cost, sum(times)::BIGINT AS n_words FROM z CROSS JOIN test LEFT JOIN c ON c.budget = z.budget AND c.w = test.w GROUP BY z.budget""")
+SELECT z.budget::DOUBLE AS budget, sum(round(-10000 * ln((coalesce(n, 0) + 1)::DOUBLE / (total + size + 1)))::BIGINT * times)::BIGINT AS cost, sum(times)::BIGINT AS n_words FROM z CROSS JOIN test LEFT JOIN c ON c.budget = z.budget AND c.w = test.w GROUP BY z.budget""")
 def w19(spark, sf_dir):
     """Cost of held-out target text to the proxy student by transcription budget."""
     pages = collect.page_views(table(spark, sf_dir, "pages")).filter(F.col("lang") == TARGET).select("image_id", F.col("plain").alias("text"))
