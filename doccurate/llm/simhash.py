@@ -241,72 +241,214 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lpad(F.lower(F.hex("fp")), 16, "0").alias("fingerprint"), "component_id")
 
 
-#: Words of a wide signature, its bits, and how many may differ: a Jaccard similarity of 0.8 has a cosine of
-#: 8/9, hence 15.1 % of the bits differ on average; the bound is 1.3 standard deviations above.
-WIDE, WIDE_RADIUS = 8, 88
+#: Least similarity of near copies as a fraction: four fifths.
+ALIKE, OF = 4, 5
+#: 64-bit words of a parity mark; rows whose grams are counted at least, the share of all rows, the count and number of frequent grams.
+MARK, SAMPLE, SHARE, FREQUENT, MOST = 8, 20_000, 16, 3, 500_000
 
 
-def signature(text: bytes | None, words: int) -> np.ndarray:
-    """WIDE 64-bit SimHashes of the same shingles under different hashes."""
-    found = text.translate(_LOWER).split() if text else []
+def folded(text: bytes | None) -> list[bytes]:
+    return text.translate(_LOWER).split() if text else []
+
+
+def shingles(found: list[bytes], words: int) -> np.ndarray:
+    """Sorted distinct 64-bit hashes of the word shingles; a shorter text is one shingle, one without words has none."""
     if not found:
-        return np.zeros(WIDE, np.uint64)
+        return np.zeros(0, np.uint64)
     n = max(len(found) - words + 1, 1)
     joined = b" ".join(found)
     ends = np.cumsum([len(w) + 1 for w in found]) - 1
     starts = np.concatenate([[0], ends[:-1] + 1])[:n].tolist()
     ends = ends[min(words, len(found)) - 1 :].tolist()
-    digest, total = xxhash.xxh64_intdigest, np.zeros((WIDE, 64), np.int64)
-    hashes = (digest(joined[a:b]) for a, b in zip(starts, ends, strict=True))
-    salts = np.arange(WIDE, dtype=np.uint64)[:, None] * np.uint64(0xD6E8FEB86659FD93)
-    while len(some := np.fromiter(islice(hashes, CHUNK), np.uint64)):
-        bits = np.unpackbits(mix(some[None] + salts, 1).view(np.uint8).reshape(WIDE, -1, 8), axis=2, bitorder="little")
-        total += bits.sum(axis=1, dtype=np.int64)
-    return np.packbits(2 * total > n, axis=1, bitorder="little").view(np.uint64)[:, 0]
+    return np.unique(np.fromiter((xxhash.xxh64_intdigest(joined[a:b]) for a, b in zip(starts, ends, strict=True)), np.uint64, n))
+
+
+def alike(a: np.ndarray, b: np.ndarray) -> bool:
+    """Whether two sets have a Jaccard similarity of ALIKE / OF at least, in whole numbers."""
+    common = len(np.intersect1d(a, b, assume_unique=True))
+    return len(a) + len(b) > 0 and common * OF >= (len(a) + len(b) - common) * ALIKE
+
+
+def _may(a: np.ndarray, b: np.ndarray, from_a: np.ndarray, from_b: np.ndarray, marks_a: np.ndarray, marks_b: np.ndarray) -> np.ndarray:
+    """Which pairs sizes, places and marks leave open. A pair that is alike is left open where its first common gram is.
+
+    The common grams are this one and later ones, and marks differ in no more bits than the sets in grams.
+    """
+    least = -(-ALIKE * (a + b) // (ALIKE + OF))
+    open_ = np.minimum(a - from_a, b - from_b) >= least
+    if open_.any():
+        at = np.nonzero(open_)
+        x, y = (np.broadcast_to(m, (*open_.shape, MARK))[at] for m in (marks_a, marks_b))
+        open_[at] = np.bitwise_count(x ^ y).sum(axis=-1, dtype=np.int64) <= np.broadcast_to(a + b - 2 * least, open_.shape)[at]
+    return open_
+
+
+def _chained(rows: np.ndarray, marks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Neighbours in the order of nodes (rows: node, size, place, root of one gram)."""
+    _, size, place, _ = rows.T
+    at = np.arange(len(rows) - 1)
+    at = at[_may(size[:-1], size[1:], place[:-1], place[1:], marks[:-1], marks[1:])]
+    return at, at + 1
+
+
+def _across(rows: np.ndarray, marks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All open pairs of different roots: the rows outside of the largest group against all."""
+    _, size, place, root = rows.T
+    _, group, times = np.unique(root, return_inverse=True, return_counts=True)
+    main = group == times.argmax()
+    few, left, right = np.flatnonzero(~main), [], []
+    for k in range(0, len(few), DIRECT):
+        i = few[k : k + DIRECT]
+        for start in range(0, len(rows), 16 * DIRECT):
+            j = np.arange(start, min(start + 16 * DIRECT, len(rows)))
+            x, y = np.nonzero(_may(size[i][:, None], size[j][None], place[i][:, None], place[j][None], marks[i][:, None], marks[j][None]) & (root[i][:, None] != root[j][None]))
+            left.append(i[x])
+            right.append(j[y])
+    return np.concatenate([*left, np.zeros(0, np.int64)]), np.concatenate([*right, np.zeros(0, np.int64)])
+
+
+def _buckets(shards: DataFrame, work, ddl: str) -> DataFrame:
+    """work(columns, heads) for the rows of whole grams (columns: gram, node, ...; heads: first row of each gram, and the end)."""
+
+    def run(batches):
+        rest = None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            batch = pa.Table.from_batches([batch])
+            rest = batch if rest is None else pa.concat_tables([rest, batch])
+            gram = rest.column(0).to_numpy()
+            cut = int(np.searchsorted(gram, gram[-1]))  # the last gram can go on in the next batch
+            if cut:
+                yield from work(rest.slice(0, cut).combine_chunks(), gram[:cut])
+                rest = rest.slice(cut)
+        if rest is not None:
+            yield from work(rest.combine_chunks(), rest.column(0).to_numpy())
+
+    return shards.select("gram", *(c for c in shards.columns if c != "gram")).repartition("gram").sortWithinPartitions("gram", "node").mapInArrow(run, ddl)
+
+
+def _heads(gram: np.ndarray) -> np.ndarray:
+    return np.concatenate([[0], np.flatnonzero(gram[1:] != gram[:-1]) + 1, [len(gram)]])
+
+
+def _proposed(shards: DataFrame, chosen) -> DataFrame:
+    """a > b: pairs of chosen(rows, marks) of each gram of shards(gram, node, size, place, root, mark)."""
 
+    def work(part, gram):
+        rows = np.stack([part.column(c).to_numpy().astype(np.int64) for c in ("node", "size", "place", "root")], 1)
+        marks = np.frombuffer(b"".join(part.column("mark").to_pylist()), np.uint64).reshape(-1, MARK)
+        heads = _heads(gram)
+        for start, end in zip(heads[:-1].tolist(), heads[1:].tolist(), strict=True):
+            i, j = chosen(rows[start:end], marks[start:end])
+            if len(i):
+                a, b = rows[start + i, 0], rows[start + j, 0]
+                yield pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], ["a", "b"])
 
-def one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5, radius: int = WIDE_RADIUS) -> DataFrame:
+    return _buckets(shards, work, "a long, b long").filter("a > b").distinct()
+
+
+def _confirmed(pairs: DataFrame, texts: DataFrame, words: int) -> DataFrame:
+    """The pairs whose shingle sets are alike; texts: node, text."""
+
+    def run(batches):
+        own: dict[bytes, np.ndarray] = {}
+
+        def set_of(text: bytes) -> np.ndarray:
+            if len(own) >= 256:
+                own.clear()
+            if text not in own:
+                own[text] = shingles(folded(text), words)
+            return own[text]
+
+        for b in batches:
+            x, y = (b.column(k).cast(pa.binary()).to_pylist() for k in (2, 3))
+            told = pa.array([alike(set_of(p), set_of(q)) for p, q in zip(x, y, strict=True)], pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], ["a", "b"]).filter(told)
+
+    with_a = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("x")), "a")
+    both = with_a.join(texts.select(F.col("node").alias("b"), F.col("text").alias("y")), "b")
+    return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
+
+
+def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5) -> DataFrame:
+    """a > b: links of texts(node, text), distinct nodes, that connect whatever pairs of Jaccard >= ALIKE / OF connect, and such pairs only.
+
+    In one order of all grams, two sets that are alike share one of their first grams (prefixes). Any order
+    does; one by frequency in a sample keeps what many texts share out of the prefixes. First, neighbours in each gram's bucket are
+    confirmed on whole sets; then all pairs of a bucket whose groups are still apart. So a group of many near
+    copies costs a few confirmations a copy, and no pair that could join two groups is left out.
+    """
+    share = min(1.0, max(SAMPLE / max(count, 1), 1 / SHARE))
+
+    def grams(batches):
+        for b in batches:
+            found = [shingles(folded(t), words) for t in b.column(0).cast(pa.binary()).to_pylist()]
+            yield pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.uint64), *found]).view(np.int64))], ["gram"])
+
+    some = texts.filter(F.pmod(F.xxhash64("node"), F.lit(1 << 20)) < int(share * (1 << 20))).select("text")
+    often = some.mapInArrow(grams, "gram long").groupBy("gram").count().filter(F.col("count") >= FREQUENT).orderBy(F.desc("count"), "gram").limit(MOST).toPandas()
+    order = np.argsort(often["gram"].to_numpy(np.int64).view(np.uint64))
+    sent = spark.sparkContext.broadcast((often["gram"].to_numpy(np.int64).view(np.uint64)[order], often["count"].to_numpy(np.int64)[order]))
+
+    def prefixes(batches):
+        frequent, times = sent.value
+        for b in batches:
+            sizes, firsts, marks = [], [], []
+            for t in b.column(1).cast(pa.binary()).to_pylist():
+                own = shingles(folded(t), words)
+                rank = np.zeros(len(own), np.int64)
+                if len(frequent) and len(own):
+                    at = np.minimum(np.searchsorted(frequent, own), len(frequent) - 1)
+                    rank = np.where(frequent[at] == own, times[at], 0)
+                length = len(own) - -(-ALIKE * len(own) // OF) + 1 if len(own) else 0
+                sizes.append(len(own))
+                firsts.append(own[np.lexsort((own, rank))][:length].view(np.int64))
+                odd = np.bincount((mix(own, 3) >> np.uint64(32)).astype(np.int64) % (64 * MARK), minlength=64 * MARK) & 1
+                marks.append(np.packbits(odd.astype(bool)).tobytes())
+            ends = np.cumsum([0, *map(len, firsts)]).astype(np.int32)
+            lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.int64), *firsts])))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int32()), lists, pa.array(marks, pa.binary())], ["node", "size", "first", "mark"])
+
+    own = materialise(spark, texts.select("node", "text").mapInArrow(prefixes, "node long, size int, first array<long>, mark binary"), "prefixes")
+
+    def shared(part, gram):
+        heads = _heads(gram)
+        sizes = np.diff(heads)
+        keep = np.repeat(sizes > 1, sizes)
+        yield from part.filter(pa.array(keep)).to_batches()
+
+    spread = own.select("node", "size", F.posexplode("first").alias("place", "gram")).select("gram", "node", "size", "place")
+    spread = materialise(spark, _buckets(spread, shared, "gram long, node long, size int, place int"), "shared")
+    spread = materialise(spark, spread.join(own.select("node", "mark"), "node"), "marked")
+    near = materialise(spark, _confirmed(materialise(spark, _proposed(spread.withColumn("root", F.lit(0).cast("long")), _chained), "chained"), texts, words), "near")
+    roots = materialise(spark, components(spark, near), "roots")
+    apart = spread.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    rest = materialise(spark, _proposed(apart, _across), "across")
+    return near.union(_confirmed(rest, texts, words))
+
+
+def one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5) -> DataFrame:
     """docs without near copies: of each group of texts linked by a similarity of 0.8 or more, the row of least doc_id.
 
-    Signatures of WIDE words share shards where a seeded choice of their bits is equal, in so many choices that a pair at the
-    bound meets at 95 %; in a shard, vantage-point trees on the whole signature link pairs of at most
-    ``radius`` differing bits. Null and empty texts are one group; rows with a null id yield to others.
+    Links are exact Jaccard similarities of sets of word shingles (as 64-bit hashes), and none is missed. Null and
+    empty texts are one group; rows with a null id yield to others.
     """
-    from pyspark.sql.types import ArrayType, LongType, StructType
+    from pyspark.sql.types import LongType, StructType
 
     names, where = docs.columns, docs.columns.index("text")
 
     def sign(batches):
         for b in batches:
-            found = np.stack([signature(t.as_py(), words) for t in b.column(where).cast(pa.binary())]) if b.num_rows else np.zeros((0, WIDE), np.uint64)
-            flat = pa.array(found.view(np.int64).ravel())
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.ListArray.from_arrays(pa.array(np.arange(len(found) + 1, dtype=np.int32) * WIDE), flat)], [*names, "_sig"])
+            found = [xxhash.xxh64_intdigest(b" ".join(folded(t))) for t in b.column(where).cast(pa.binary()).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.array(found, np.uint64).view(np.int64))], [*names, "_node"])
 
-    signed = docs.mapInArrow(sign, StructType([*docs.schema.fields]).add("_sig", ArrayType(LongType())))
-    rows = materialise(spark, signed.withColumn("_row", F.monotonically_increasing_id()).withColumn("_node", F.xxhash64("_sig")), "signed")
+    signed = docs.mapInArrow(sign, StructType([*docs.schema.fields]).add("_node", LongType()))
+    rows = materialise(spark, signed.withColumn("_row", F.monotonically_increasing_id()), "signed")
     order = F.struct(F.col("doc_id").isNull().alias("lost"), F.col("doc_id"), F.col("_row"))
-    parts = [F.get("_sig", F.lit(k)).alias(f"s{k}") for k in range(WIDE)]
-    nodes = rows.select("_node", "doc_id", "_row", *parts).groupBy("_node", *(f"s{k}" for k in range(WIDE))).agg(F.min(order).alias("first"))
-    nodes = materialise(spark, nodes.withColumnRenamed("_node", "node"), "nodes")
-    count = nodes.count()
-    bits = max(16, (count - 1).bit_length() - 2)
-    choices = int(np.ceil(3 / (1 - 0.1514) ** bits))
-    picks = np.random.default_rng(11).permuted(np.tile(np.arange(64 * WIDE), (choices, 1)), axis=1)[:, :bits]
-
-    def deal(batches):
-        powers = 1 << np.arange(bits, dtype=np.int64)
-        for b in batches:
-            n = b.num_rows
-            if n:
-                sig = np.ascontiguousarray(np.stack([c.to_numpy() for c in b.columns[1:]], 1))
-                set_ = np.unpackbits(sig.view(np.uint8), axis=1, bitorder="little")
-                for v in range(choices):
-                    path = set_[:, picks[v]] @ powers
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(n, v, np.int32)), pa.array(path), *b.columns], ["view", "path", *b.schema.names])
-
-    signs = [f"s{k}" for k in range(WIDE)]
-    shards = nodes.select("node", *signs).mapInArrow(deal, "view int, path long, node long, " + ", ".join(f"{c} long" for c in signs))
-    roots = components(spark, _links(shards, ["view", "path"], radius, tuple(signs), "node"))
+    nodes = materialise(spark, rows.groupBy(F.col("_node").alias("node")).agg(F.min(order).alias("first")), "nodes")
+    texts = rows.join(nodes.select(F.col("first._row").alias("_row")), "_row", "left_semi").select(F.col("_node").alias("node"), F.col("text").cast("string").alias("text"))
+    roots = components(spark, near_links(spark, texts, nodes.count(), words))
     kept = nodes.join(roots, "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("first").alias("first"))
     kept = materialise(spark, kept.select(F.col("first._row").alias("_row")), "kept")
     return rows.join(kept, "_row", "left_semi").select(*names)

@@ -344,3 +344,40 @@ def test_one_of_each(spark, docs, rows):
     assert sorted(r.doc_id for r in simhash.one_of_each(spark, small).collect()) == [1, 3]
     texts = {t or "" for _, t in rows}
     assert len(kept) <= len(texts) and any("no id here" in x for x in kept)
+
+
+def test_near_duplicates_stage_has_recall_and_precision_one(spark):
+    """Against brute force on exact shingle sets: texts of all lengths, pairs on both sides of 0.8, a chain and many near copies."""
+    rng = random.Random(12)
+    say = lambda n: [f"w{rng.randint(0, 3000)}" for _ in range(n)]
+    texts, footer = [], say(12)
+    for n in (3, 6, 10, 12, 30, 60, 200):
+        for changes in range(1, 8):
+            for _ in range(6):
+                one = say(n)
+                other = list(one)
+                for _ in range(changes):
+                    other[rng.randrange(n)] = f"x{rng.randint(0, 3000)}"
+                texts += [one + footer * (n == 60), other + footer * (n == 60)]
+    many = say(80)
+    texts += [[*many[:k], f"y{k}", *many[k + 1 :]] for k in range(0, 80)] + [many[k:] + say(k) for k in range(1, 12)]
+    ten = say(10)
+    texts += [ten, [*ten[:-1], "last"]]  # Jaccard 5 / 7: both stay
+    rng.shuffle(texts)
+    docs = spark.createDataFrame([(k, " ".join(t)) for k, t in enumerate(texts)], "doc_id long, text string")
+    sets = [{tuple(t[i : i + 5]) for i in range(max(len(t) - 4, 1))} for t in texts]
+    root = list(range(len(texts)))
+
+    def find(i):
+        while root[i] != i:
+            i = root[i]
+        return i
+
+    for i in range(len(texts)):
+        for j in range(i):
+            common = len(sets[i] & sets[j])
+            if common * 5 >= len(sets[i] | sets[j]) * 4:
+                p, q = sorted((find(i), find(j)))
+                root[q] = p
+    kept = sorted(r.doc_id for r in simhash.one_of_each(spark, docs).collect())
+    assert kept == sorted({find(i) for i in range(len(texts))})
