@@ -10,7 +10,8 @@ Each window of ``width`` words picks the interior symbol whose name comes first
 (leftmost of equals). That symbol with LEFT words before its start and RIGHT after it is a phrase
 that every equal window has too. So phrases that occur once rule all their windows out, and only
 windows of repeated phrases are named and counted, exactly. Windows that touch a run of RUN or more equal
-symbols, whose parse may reach further, go to that count directly.
+symbols, whose parse may reach further, go to that count directly; an equal window whose neighbours don't extend the run
+touches none, so phrases at all places that it could choose are sent for them too.
 
 Documents are gathered into units of a few MB, written once. What is exchanged is sorted arrays of
 distinct names by unit, a name once a unit, so frequent passages and large groups of copies weigh no more than
@@ -117,7 +118,7 @@ class Unit:
         return names, starts, in_run
 
     def anchors(self) -> tuple[np.ndarray, np.ndarray]:
-        """Of each valid window: where its chosen symbol starts (-1: it touches a run), and distinct starts."""
+        """Of each valid window: where its chosen symbol starts (-1: it touches a run), and distinct starts, with all that such windows could choose."""
         n, reach = len(self.names), self.width - LEFT - RIGHT + 1
         names, starts, in_run = self.parse()
         order = np.full(n, np.iinfo(np.uint64).max, np.uint64)
@@ -130,9 +131,13 @@ class Unit:
         chosen = (low[self.valid + LEFT] & np.uint64(0xFFFFFFFF)).astype(np.int64)
         if in_run.any():
             before = np.concatenate([[0], np.cumsum(in_run)])
-            chosen[before[self.valid + self.width] > before[self.valid]] = -1
-        some = np.unique(chosen)
-        return chosen, some[some >= 0]
+            touched = before[self.valid + self.width] > before[self.valid]
+            chosen[touched] = -1
+            edge = np.zeros(n + 1, np.int64)
+            np.add.at(edge, self.valid[touched] + LEFT, 1)
+            np.add.at(edge, self.valid[touched] + LEFT + reach, -1)
+            return chosen, np.union1d(chosen[~touched], np.flatnonzero(np.cumsum(edge[:-1])))
+        return chosen, np.unique(chosen)
 
     def phrases(self, starts: np.ndarray) -> np.ndarray:
         return self.hashes(starts - LEFT, LEFT + RIGHT)

@@ -381,3 +381,28 @@ def test_near_duplicates_stage_has_recall_and_precision_one(spark):
                 root[q] = p
     kept = sorted(r.doc_id for r in simhash.one_of_each(spark, docs).collect())
     assert kept == sorted({find(i) for i in range(len(texts))})
+
+
+def test_substring_dedup_runs_cut_at_the_edge_of_a_copy(spark):
+    """A passage that ends or starts in a run which only one copy's neighbours extend."""
+    rng = random.Random(21)
+    say = lambda n: [f"v{rng.randint(0, 10**9)}" for _ in range(n)]
+    texts = []
+    for k in range(240):
+        dot, size = rng.choice([".", "|", "-"]), rng.choice([35, 36, 60])
+        few = [dot] * rng.randint(1, 3)
+        passage = few + say(size - len(few)) if k % 2 else say(size - len(few)) + few
+        more = [dot] * rng.randint(1, 12)
+        for extra in ([], more):
+            texts.append([*say(20), *extra, *passage, *say(20)] if k % 2 else [*say(20), *passage, *extra, *say(20)])
+    seen = Counter(tuple(w[k : k + 35]) for w in texts for k in range(len(w) - 34))
+    expected = []
+    for key, w in enumerate(texts):
+        gone = set()
+        for k in range(len(w) - 34):
+            if seen[tuple(w[k : k + 35])] > 1:
+                gone |= set(range(k, k + 35))
+        expected.append((key, len(gone)))
+    docs = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(texts)], "doc_id long, text string")
+    assert min(n for _, n in expected) >= 35
+    assert as_set(substring_dedup.repeated_words(spark, docs), "doc_id", "n_removed") == sorted(map(repr, expected))
