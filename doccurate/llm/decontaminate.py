@@ -129,6 +129,11 @@ def find_contamination(spark: SparkSession, docs: DataFrame, items: DataFrame, w
     if blocks == 1:
         return _pass(rows, phrases_of([tuple(r) for r in bench.collect()], width), keep_text)
     rows = materialise(spark, rows.withColumn("row", F.monotonically_increasing_id()), "docs")
+    return rows.select("row", "doc_id", *(["text"] if keep_text else [])).join(_by_row(rows, bench, blocks, width), "row").drop("row")
+
+
+def _by_row(rows: DataFrame, bench: DataFrame, blocks: int, width: int) -> DataFrame:
+    """row, n_words, runs and items of rows(row, text): each block of items searches all rows, runs are merged."""
     found = None
     for k in range(blocks):
         some = bench.filter(F.pmod(F.xxhash64(F.col("item_id").cast("string")), F.lit(blocks)) == k).collect()
@@ -141,7 +146,7 @@ def find_contamination(spark: SparkSession, docs: DataFrame, items: DataFrame, w
         F.expr("cast(array() as array<array<int>>)"),
         lambda done, x: F.when((F.size(done) > 0) & (F.get(F.get(done, F.size(done) - 1), F.lit(1)) >= F.get(x, F.lit(0))), F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.array(F.get(F.get(done, F.size(done) - 1), F.lit(0)), F.greatest(F.get(F.get(done, F.size(done) - 1), F.lit(1)), F.get(x, F.lit(1))))))).otherwise(F.concat(done, F.array(x))),
     )
-    return rows.select("row", "doc_id", *(["text"] if keep_text else [])).join(merged.withColumn("runs", fold), "row").drop("row")
+    return merged.withColumn("runs", fold)
 
 
 def remove_spans(text: str | None, runs: list[list[int]]) -> str | None:
@@ -165,17 +170,37 @@ def op8_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def cleaned(spark: SparkSession, docs: DataFrame, items: DataFrame, width: int = 10) -> DataFrame:
-    """docs with the removal spans cut out of ``text`` and ``n_chars``, where there is one, counted anew; all rows stay."""
+def cleaned(spark: SparkSession, docs: DataFrame, items: DataFrame, width: int = 10, block_bytes: int = BLOCK_BYTES) -> DataFrame:
+    """docs with the removal spans cut out of ``text`` and ``n_chars``, where there is one, counted anew; all rows stay.
+
+    All items are judged on the text as it came, in however many blocks, and it is cut once.
+    """
     bench = items.select("item_id", F.col("text").cast("string").alias("text"))
     total = bench.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    blocks = max(1, -(-total // BLOCK_BYTES))
-    for k in range(blocks):  # a block's phrases are searched in what the blocks before left
-        some = bench if blocks == 1 else bench.filter(F.pmod(F.xxhash64(F.col("item_id").cast("string")), F.lit(blocks)) == k)
-        docs = _cut(docs, phrases_of([tuple(r) for r in some.collect()], width))
-        if blocks > 1:
-            docs = materialise(spark, docs, "cut")
-    return docs
+    blocks = max(1, -(-total // block_bytes))
+    if blocks == 1:
+        return _cut(docs, phrases_of([tuple(r) for r in bench.collect()], width))
+    rows = materialise(spark, docs.withColumn("_row", F.monotonically_increasing_id()), "docs")
+    found = _by_row(rows.select(F.col("_row").alias("row"), "text"), bench, blocks, width)
+    return _cut_runs(rows.join(found.select(F.col("row").alias("_row"), F.col("runs").alias("_runs")), "_row", "left").select(*docs.columns, "_runs"), docs)
+
+
+def _cut_runs(rows: DataFrame, docs: DataFrame) -> DataFrame:
+    """docs with the runs of rows (the same columns, and _runs last) cut out."""
+    names, at = docs.columns, docs.columns.index("text")
+    counted = names.index("n_chars") if "n_chars" in names else None
+
+    def run(batches):
+        for batch in batches:
+            columns = list(batch.columns[:-1])
+            columns[at] = pa.array([remove_spans(t.as_py(), r) for t, r in zip(columns[at], batch.column(len(names)).to_pylist(), strict=True)], pa.string())
+            if counted is not None:
+                hit = pa.compute.fill_null(pa.compute.greater(pa.compute.list_value_length(batch.column(len(names))), 0), False)
+                fresh = pa.compute.utf8_length(columns[at]).cast(columns[counted].type)
+                columns[counted] = pa.compute.if_else(hit, fresh, columns[counted])
+            yield pa.RecordBatch.from_arrays(columns, names)
+
+    return rows.mapInArrow(run, docs.schema)
 
 
 def _cut(docs: DataFrame, phrases: Phrases) -> DataFrame:

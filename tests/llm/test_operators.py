@@ -406,3 +406,20 @@ def test_substring_dedup_runs_cut_at_the_edge_of_a_copy(spark):
     docs = spark.createDataFrame([(k, " ".join(w)) for k, w in enumerate(texts)], "doc_id long, text string")
     assert min(n for _, n in expected) >= 35
     assert as_set(substring_dedup.repeated_words(spark, docs), "doc_id", "n_removed") == sorted(map(repr, expected))
+
+
+def test_decontamination_cuts_the_same_in_any_number_of_blocks(spark):
+    """Passages of items of different blocks overlap in a document, and a cut's seam joins an item's words."""
+    rng = random.Random(31)
+    texts, bench = [], []
+    for k in range(12):
+        w = [f"{k}w{i}" for i in range(80)]
+        texts.append(" ".join(w))
+        bench += [" ".join(w[10:25]), " ".join(w[20:32]), " ".join(w[50:62]), " ".join(w[45:50] + w[62:68])]
+    rng.shuffle(bench)
+    docs = spark.createDataFrame([(k, t, 7) for k, t in enumerate(texts)] + [(99, None, None), (99, "clean", 3)], "doc_id long, text string, n_chars long")
+    items = spark.createDataFrame(list(enumerate(bench)), "item_id long, text string")
+    one = as_set(decontaminate.cleaned(spark, docs, items), "doc_id", "text")
+    assert as_set(decontaminate.cleaned(spark, docs, items, block_bytes=400), "doc_id", "text") == one
+    left = decontaminate.cleaned(spark, docs, items, block_bytes=400).filter("doc_id = 3").first()
+    assert left.text.split() == [f"3w{i}" for i in range(80) if not (10 <= i < 32 or 50 <= i < 62)] and left.n_chars == len(left.text)
