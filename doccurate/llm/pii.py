@@ -4,7 +4,7 @@ Base kinds (email, ip, card, phone) are leftmost non-overlapping matches of thei
 their validator. A failing match of the base
 pattern can hide a number beside another one (a phone number before a card number); the method adds such cards and
 phones by stricter patterns with the same validators. Further kinds: ``secret`` (a value after a name like
-password or token), ``iban`` (country, two check digits, mod-97) and, where
+password or token), ``iban`` (country, two check digits, mod-97; a word after it that looks like a last group is left out) and, where
 context words stand within CONTEXT characters before, ``ssn`` and ``phone_local``. A span's score starts from its kind,
 rises when its validator has a checksum or a context word is near, and falls where words nearby speak
 against it (order, version, ...); added spans need MIN_SCORE, base spans always stay.
@@ -34,6 +34,16 @@ _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 # Added kinds.
 _IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]{4}){2,7}(?: ?[A-Z0-9]{1,3})?(?![A-Za-z0-9])")
+#: Lengths of the countries' numbers (fixed values).
+_IBAN_SIZE = {
+    country: size
+    for size, countries in {
+        15: "NO", 16: "BE", 18: "DK FI FO GL NL SD", 19: "MK SI", 20: "AT BA EE KZ LT LU MN XK", 21: "CH HR LI LV", 22: "BG BH CR DE GB GE IE ME RS VA",
+        23: "AE GI IL IQ OM SO TL", 24: "AD CZ ES MD PK RO SA SE SK TN VG", 25: "LY PT ST", 26: "IS TR", 27: "BI DJ FR GR IT MC MR SM", 28: "AL AZ BY CY DO GT HU LB NI PL SV",
+        29: "BR EG PS QA UA", 30: "JO KW MU", 31: "MT SC", 32: "LC", 33: "RU",
+    }.items()
+    for country in countries.split()
+}
 _SSN = re.compile(r"(?<![0-9-])[0-9]{3}-[0-9]{2}-[0-9]{4}(?![0-9-])")
 _NEAR_PHONE = re.compile(r"(?<![0-9+(.-])\(?0?[0-9]{2,4}\)?[ ./-][0-9]{3,4}[ ./-]?[0-9]{3,5}(?![0-9-])")
 _ONE_CARD = re.compile(r"(?<![0-9])(?:[0-9]{14,19}|[0-9]{4}(?:[ -][0-9]{4}){3})(?![0-9])")
@@ -108,16 +118,33 @@ def _score(text: str, start: int, kind: str) -> float:
     return _START[kind] + 0.4 * any(w in before for w in _FOR[kind]) - 0.3 * any(w in before for w in _AGAINST)
 
 
+def _ibans(text: str):
+    """Ends tried at each start: the country's length and all that matches, or, without a known length, all and then shorter tails."""
+    at = 0
+    while m := _IBAN.search(text, at):
+        start, at = m.start(), m.start() + 1
+        ends = [m.end(), *(k for k in range(m.end() - 1, start, -1) if text[k] == " ")]
+        sized = [(end, text[start:end].replace(" ", "")) for end in ends]
+        if size := _IBAN_SIZE.get(text[start : start + 2]):
+            sized = [x for x in sized if len(x[1]) == size] + sized[:1]
+        for end, number in sized:
+            if 15 <= len(number) <= 34 and mod97(number):
+                yield start, end
+                at = end
+                break
+
+
 def _added(text: str, taken: list[tuple[int, int]]) -> list[Span]:
     found: list[Span] = []
+    digit = re.search(r"[0-9]", text) is not None  # only secrets can do without
     for kind, pattern in (("card", _ONE_CARD), ("phone", _ONE_PHONE), ("iban", _IBAN), ("secret", _SECRET), ("ssn", _SSN), ("phone_local", _NEAR_PHONE)):
-        for m in pattern.finditer(text):
-            start, end = m.span("value" if kind == "secret" else 0)
+        if not digit and kind != "secret":
+            continue
+        for start, end in _ibans(text) if kind == "iban" else (m.span("value" if kind == "secret" else 0) for m in pattern.finditer(text)):
             sure = {
                 "card": lambda d: 14 <= len(d) <= 19 and luhn(d),
                 "phone": lambda d: 10 <= len(d) <= 15,
-                "iban": lambda _: 15 <= len(x := m[0].replace(" ", "")) <= 34 and mod97(x),
-            }.get(kind, bool)(_digits(m[0]))
+            }.get(kind, lambda _: True)(_digits(text[start:end]))
             if sure and not any(a < end and start < b for a, b in taken) and (s := _score(text, start, kind)) >= MIN_SCORE:
                 found.append((start, end, kind, min(1.0, s)))
                 taken.append((start, end))
@@ -129,8 +156,7 @@ def find_spans(text: str | None) -> list[Span]:
     if not text:
         return []
     found = [(a, b, k, min(1.0, _score(text, a, k))) for a, b, k in base_spans(text)]
-    if re.search(r"[0-9]", text):
-        found += _added(text, [(a, b) for a, b, *_ in found])
+    found += _added(text, [(a, b) for a, b, *_ in found])
     return sorted(found, key=lambda x: (x[0], KINDS.index(x[2]), x[1]))
 
 

@@ -423,3 +423,13 @@ def test_decontamination_cuts_the_same_in_any_number_of_blocks(spark):
     assert as_set(decontaminate.cleaned(spark, docs, items, block_bytes=400), "doc_id", "text") == one
     left = decontaminate.cleaned(spark, docs, items, block_bytes=400).filter("doc_id = 3").first()
     assert left.text.split() == [f"3w{i}" for i in range(80) if not (10 <= i < 32 or 50 <= i < 62)] and left.n_chars == len(left.text)
+
+
+def test_pii_secrets_without_digits_and_ibans_before_words():
+    kinds = lambda t: [(k, t[a:b]) for a, b, k, _ in pii.find_spans(t)]
+    assert kinds("my password = correcthorsebattery, keep it") == [("secret", "correcthorsebattery")]
+    for number, after in (("AT34 1904 3002 3457 3202", " BIC BKAUATWW"), ("BE68 5390 0754 7034", " EUR 20"), ("BE68 5390 0754 7034", " EURO"), ("ES91 2100 0418 4502 0005 1332", " BIC"), ("DE89 3704 0044 0532 0130 00", "")):
+        assert ("iban", number) in kinds(f"IBAN {number}{after}"), number
+    both = kinds("IBAN BE68 5390 0754 7034 AT34 1904 3002 3457 3202 and more")
+    assert both == [("iban", "BE68 5390 0754 7034"), ("iban", "AT34 1904 3002 3457 3202")]
+    assert kinds("IBAN AT35 1904 3002 3457 3202 BIC") == []
