@@ -233,7 +233,8 @@ def w07_vectors(spark, sf_dir):
 
 @query("w07_clusters")
 def w07_clusters(spark, sf_dir):
-    pairs = dedup.near_pairs(table(spark, sf_dir, "documents"), "doc_id", keep=keeper(spark))
+    """Components of all pairs at 0.7 or more: the exact pairs, since a link that bands miss can split a cluster."""
+    pairs = dedup.gram_join_pairs(table(spark, sf_dir, "documents"), "doc_id", keep=keeper(spark))
     return dedup.clusters(pairs.select("id", "other"), keeper(spark))
 
 

@@ -252,3 +252,17 @@ def test_pushed_filters(spark):
 
     plan = QUERIES["op_scan_prune"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().executedPlan().toString()
     assert "EqualTo(lang,fr)" in plan and "text" not in plan.split("ReadSchema")[1]
+
+
+def test_clusters_use_links_that_no_band_proposes(spark, tmp_path):
+    import random
+
+    import __spark_entry__
+
+    rng, rows = random.Random(4), []
+    for k in range(600):  # 46 five-grams; a changed last 8 words leave 38 of 54: similarity 0.7037
+        one = [f"w{rng.randint(0, 10**9)}" for _ in range(50)]
+        rows += [(2 * k, " ".join(one)), (2 * k + 1, " ".join(one[:42] + [f"x{rng.randint(0, 10**9)}" for _ in range(8)]))]
+    spark.createDataFrame([(k, t, "en", "s", len(t)) for k, t in rows], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    found = {(r.node, r.root) for r in __spark_entry__.queries()["w07_clusters"](spark, str(tmp_path)).collect()}
+    assert found == {(x, 2 * k) for k in range(600) for x in (2 * k, 2 * k + 1)}
