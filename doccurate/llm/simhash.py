@@ -23,7 +23,7 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from doccurate.llm.common import docs_of, materialise, table
+from doccurate.llm.common import Scratch, docs_of, fresh, materialise, table
 from doccurate.llm.token_store import mix
 
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
@@ -204,16 +204,20 @@ def components(spark: SparkSession, pairs: DataFrame, most_rounds: int = 60) ->
     def state(df: DataFrame) -> tuple:
         return tuple(df.agg(F.count("*"), F.coalesce(F.bit_xor(F.xxhash64("a", "b")), F.lit(0))).first())
 
-    now = materialise(spark, pairs.select("a", "b"), "links")
+    own, now = Scratch(spark), materialise(spark, pairs.select("a", "b"), "links")
     known = state(now)
     for _ in range(most_rounds):
+        own, old = Scratch(spark), own
         both = now.union(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        least = materialise(spark, both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "least")
+        passing = Scratch(spark)
+        least = passing(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "least")
         large = both.filter("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).distinct()
-        large = materialise(spark, large, "large")
-        least = materialise(spark, large.groupBy("a").agg(F.min("b").alias("m")), "least")
+        large = passing(large, "large")
+        least = passing(large.groupBy("a").agg(F.min("b").alias("m")), "least")
         small = large.join(least, "a").filter("b <> m").select(F.col("b").alias("a"), F.col("m").alias("b")).union(least.select("a", F.col("m").alias("b")))
-        now = materialise(spark, small.distinct(), "links")
+        now = own(small.distinct(), "links")
+        passing.drop()
+        old.drop()
         before, known = known, state(now)
         if before == known:
             return now.select(F.col("a").alias("node"), F.col("b").alias("root"))
@@ -245,6 +249,8 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 ALIKE, OF = 4, 5
 #: 64-bit words of a parity mark; rows whose grams are counted at least, the share of all rows, the count and number of frequent grams.
 MARK, SAMPLE, SHARE, FREQUENT, MOST = 8, 20_000, 16, 3, 500_000
+#: Rows that each row of a gram is first compared with on whole sets.
+NEAREST = 3
 
 
 def folded(text: bytes | None) -> list[bytes]:
@@ -269,41 +275,73 @@ def alike(a: np.ndarray, b: np.ndarray) -> bool:
     return len(a) + len(b) > 0 and common * OF >= (len(a) + len(b) - common) * ALIKE
 
 
-def _may(a: np.ndarray, b: np.ndarray, from_a: np.ndarray, from_b: np.ndarray, marks_a: np.ndarray, marks_b: np.ndarray) -> np.ndarray:
-    """Which pairs sizes, places and marks leave open. A pair that is alike is left open where its first common gram is.
+def _fits(a: np.ndarray, b: np.ndarray, from_a: np.ndarray, from_b: np.ndarray) -> np.ndarray:
+    """Which pairs sizes and places leave open: the common grams are the first common one and later ones."""
+    return np.minimum(a - from_a, b - from_b) >= -(-ALIKE * (a + b) // (ALIKE + OF))
 
-    The common grams are this one and later ones, and marks differ in no more bits than the sets in grams.
+
+def _apart(marks_a: np.ndarray, marks_b: np.ndarray) -> np.ndarray:
+    """Differing bits of marks, summed word by word (words: the last axis)."""
+    return sum(np.bitwise_count(marks_a[..., w] ^ marks_b[..., w]).astype(np.int16) for w in range(MARK))
+
+
+def _may(a: np.ndarray, b: np.ndarray, from_a: np.ndarray, from_b: np.ndarray, distance: np.ndarray) -> np.ndarray:
+    """Which pairs sizes, places and the distance of marks leave open. A pair that is alike is left open where its first common gram is.
+
+    Marks differ in no more bits than the sets in grams.
     """
-    least = -(-ALIKE * (a + b) // (ALIKE + OF))
-    open_ = np.minimum(a - from_a, b - from_b) >= least
-    if open_.any():
-        at = np.nonzero(open_)
-        x, y = (np.broadcast_to(m, (*open_.shape, MARK))[at] for m in (marks_a, marks_b))
-        open_[at] = np.bitwise_count(x ^ y).sum(axis=-1, dtype=np.int64) <= np.broadcast_to(a + b - 2 * least, open_.shape)[at]
-    return open_
+    return _fits(a, b, from_a, from_b) & (distance <= a + b - 2 * -(-ALIKE * (a + b) // (ALIKE + OF)))
 
 
-def _chained(rows: np.ndarray, marks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Neighbours in the order of nodes (rows: node, size, place, root of one gram)."""
+def _blocks_of(rows: np.ndarray, marks: np.ndarray, some: np.ndarray):
+    """i, j, distance, open: blocks of the rows ``some`` against all rows (rows: node, size, place, root of one gram)."""
     _, size, place, _ = rows.T
-    at = np.arange(len(rows) - 1)
-    at = at[_may(size[:-1], size[1:], place[:-1], place[1:], marks[:-1], marks[1:])]
-    return at, at + 1
+    for k in range(0, len(some), DIRECT):
+        i = some[k : k + DIRECT]
+        for start in range(0, len(rows), HOT):
+            j = np.arange(start, min(start + HOT, len(rows)))
+            distance = _apart(marks[i][:, None], marks[j][None])
+            yield i, j, distance, _may(size[i][:, None], size[j][None], place[i][:, None], place[j][None], distance) & (i[:, None] != j[None])
+
+
+def _opened(rows: np.ndarray, marks: np.ndarray) -> np.ndarray:
+    """Rows that some pair of the gram is left open for; a gram of more than HOT rows keeps all."""
+    if len(rows) > HOT:
+        return np.ones(len(rows), bool)
+    keep = np.zeros(len(rows), bool)
+    for i, _, _, may in _blocks_of(rows, marks, np.arange(len(rows))):
+        keep[i] |= may.any(axis=1)
+    return keep
+
+
+def _nearest(rows: np.ndarray, marks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Each row's NEAREST open rows by marks, in a gram of more than HOT rows among HOT of them, evenly drawn."""
+    own = np.arange(len(rows))
+    hubs = own if len(rows) <= HOT else np.unique(np.linspace(0, len(rows) - 1, HOT).astype(np.int64))
+    left, right = [], []
+    for j, i, distance, may in _blocks_of(rows, marks, hubs) if len(rows) > HOT else ():
+        best = np.where(may, distance, np.iinfo(np.int16).max).argmin(axis=0)  # of this block's hubs
+        found = may[best, np.arange(len(i))]
+        left.append(i[found])
+        right.append(j[best][found])
+    for i, j, distance, may in _blocks_of(rows, marks, own) if len(rows) <= HOT else ():
+        distance = np.where(may, distance, np.iinfo(np.int16).max)
+        best = np.argpartition(distance, min(NEAREST, len(j) - 1) - 1, axis=1)[:, :NEAREST]
+        x, y = np.nonzero(np.take_along_axis(may, best, 1))
+        left.append(i[x])
+        right.append(j[best[x, y]])
+    return np.concatenate([*left, np.zeros(0, np.int64)]), np.concatenate([*right, np.zeros(0, np.int64)])
 
 
 def _across(rows: np.ndarray, marks: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """All open pairs of different roots: the rows outside of the largest group against all."""
-    _, size, place, root = rows.T
+    root = rows[:, 3]
     _, group, times = np.unique(root, return_inverse=True, return_counts=True)
-    main = group == times.argmax()
-    few, left, right = np.flatnonzero(~main), [], []
-    for k in range(0, len(few), DIRECT):
-        i = few[k : k + DIRECT]
-        for start in range(0, len(rows), 16 * DIRECT):
-            j = np.arange(start, min(start + 16 * DIRECT, len(rows)))
-            x, y = np.nonzero(_may(size[i][:, None], size[j][None], place[i][:, None], place[j][None], marks[i][:, None], marks[j][None]) & (root[i][:, None] != root[j][None]))
-            left.append(i[x])
-            right.append(j[y])
+    left, right = [], []
+    for i, j, _, may in _blocks_of(rows, marks, np.flatnonzero(group != times.argmax())):
+        x, y = np.nonzero(may & (root[i][:, None] != root[j][None]))
+        left.append(i[x])
+        right.append(j[y])
     return np.concatenate([*left, np.zeros(0, np.int64)]), np.concatenate([*right, np.zeros(0, np.int64)])
 
 
@@ -332,24 +370,42 @@ def _heads(gram: np.ndarray) -> np.ndarray:
     return np.concatenate([[0], np.flatnonzero(gram[1:] != gram[:-1]) + 1, [len(gram)]])
 
 
+def _numbers(part: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """Rows (node, size, place, root) and marks of a part of shards."""
+    rows = np.stack([part.column(c).to_numpy().astype(np.int64) for c in ("node", "size", "place", "root")], 1)
+    return rows, np.frombuffer(b"".join(part.column("mark").to_pylist()), np.uint64).reshape(-1, MARK)
+
+
+def _pairs_of_two(rows: np.ndarray, marks: np.ndarray, heads: np.ndarray) -> np.ndarray:
+    """First rows of the grams of two rows that are left open, all at once: most grams have two."""
+    two = heads[:-1][np.diff(heads) == 2]
+    (_, a, from_a, _), (_, b, from_b, _) = rows[two].T, rows[two + 1].T
+    return two[_may(a, b, from_a, from_b, _apart(marks[two], marks[two + 1]))]
+
+
 def _proposed(shards: DataFrame, chosen) -> DataFrame:
-    """a > b: pairs of chosen(rows, marks) of each gram of shards(gram, node, size, place, root, mark)."""
+    """a > b: pairs of different roots among chosen(rows, marks) of each gram of shards(gram, node, size, place, root, mark)."""
 
     def work(part, gram):
-        rows = np.stack([part.column(c).to_numpy().astype(np.int64) for c in ("node", "size", "place", "root")], 1)
-        marks = np.frombuffer(b"".join(part.column("mark").to_pylist()), np.uint64).reshape(-1, MARK)
+        rows, marks = _numbers(part)
         heads = _heads(gram)
+        two = _pairs_of_two(rows, marks, heads)
+        left, right = [two], [two + 1]
         for start, end in zip(heads[:-1].tolist(), heads[1:].tolist(), strict=True):
-            i, j = chosen(rows[start:end], marks[start:end])
-            if len(i):
-                a, b = rows[start + i, 0], rows[start + j, 0]
-                yield pa.RecordBatch.from_arrays([pa.array(np.maximum(a, b)), pa.array(np.minimum(a, b))], ["a", "b"])
+            if end - start > 2 and (rows[start:end, 3] != rows[start, 3]).any():
+                i, j = chosen(rows[start:end], marks[start:end])
+                left.append(start + i)
+                right.append(start + j)
+        i, j = np.concatenate(left), np.concatenate(right)
+        apart = rows[i, 3] != rows[j, 3]
+        pairs = np.unique(np.sort(np.stack([rows[i[apart], 0], rows[j[apart], 0]], 1), axis=1), axis=0)
+        yield pa.RecordBatch.from_arrays([pa.array(pairs[:, 1]), pa.array(pairs[:, 0])], ["a", "b"])
 
     return _buckets(shards, work, "a long, b long").filter("a > b").distinct()
 
 
-def _confirmed(pairs: DataFrame, texts: DataFrame, words: int) -> DataFrame:
-    """The pairs whose shingle sets are alike; texts: node, text."""
+def _confirmed(pairs: DataFrame, texts: DataFrame, words: int, keep: Scratch) -> DataFrame:
+    """The pairs whose shingle sets are alike; texts: node, text. Only the texts of some pair are moved."""
 
     def run(batches):
         own: dict[bytes, np.ndarray] = {}
@@ -366,8 +422,10 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, words: int) -> DataFrame:
             told = pa.array([alike(set_of(p), set_of(q)) for p, q in zip(x, y, strict=True)], pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], ["a", "b"]).filter(told)
 
-    with_a = pairs.join(texts.select(F.col("node").alias("a"), F.col("text").alias("x")), "a")
-    both = with_a.join(texts.select(F.col("node").alias("b"), F.col("text").alias("y")), "b")
+    asked = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
+    asked = keep(texts.join(asked, "node", "left_semi"), "asked")
+    with_a = pairs.join(asked.select(F.col("node").alias("a"), F.col("text").alias("x")), "a")
+    both = with_a.join(asked.select(F.col("node").alias("b"), F.col("text").alias("y")), "b")
     return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
@@ -375,11 +433,11 @@ def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5
     """a > b: links of texts(node, text), distinct nodes, that connect whatever pairs of Jaccard >= ALIKE / OF connect, and such pairs only.
 
     In one order of all grams, two sets that are alike share one of their first grams (prefixes). Any order
-    does; one by frequency in a sample keeps what many texts share out of the prefixes. First, neighbours in each gram's bucket are
-    confirmed on whole sets; then all pairs of a bucket whose groups are still apart. So a group of many near
+    does; one by frequency in a sample keeps what many texts share out of the prefixes. First, each row's nearest rows in its
+    gram's bucket are confirmed on whole sets; then all pairs of a bucket whose groups are still apart. So a group of many near
     copies costs a few confirmations a copy, and no pair that could join two groups is left out.
     """
-    share = min(1.0, max(SAMPLE / max(count, 1), 1 / SHARE))
+    share, keep = min(1.0, max(SAMPLE / max(count, 1), 1 / SHARE)), Scratch(spark)
 
     def grams(batches):
         for b in batches:
@@ -410,45 +468,67 @@ def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5
             lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.int64), *firsts])))
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int32()), lists, pa.array(marks, pa.binary())], ["node", "size", "first", "mark"])
 
-    own = materialise(spark, texts.select("node", "text").mapInArrow(prefixes, "node long, size int, first array<long>, mark binary"), "prefixes")
+    own = keep(texts.select("node", "text").mapInArrow(prefixes, "node long, size int, first array<long>, mark binary"), "prefixes")
 
     def shared(part, gram):
+        """Rows of grams that several nodes have, unless there are two and sizes or places rule them out."""
         heads = _heads(gram)
         sizes = np.diff(heads)
         keep = np.repeat(sizes > 1, sizes)
+        two = heads[:-1][sizes == 2]
+        size, place = part.column("size").to_numpy().astype(np.int64), part.column("place").to_numpy().astype(np.int64)
+        closed = two[~_fits(size[two], size[two + 1], place[two], place[two + 1])]
+        keep[closed] = keep[closed + 1] = False
+        yield from part.filter(pa.array(keep)).to_batches()
+
+    def opened(part, gram):
+        rows, marks = _numbers(part)
+        heads, keep = _heads(gram), np.zeros(len(gram), bool)
+        two = _pairs_of_two(rows, marks, heads)
+        keep[two] = keep[two + 1] = True
+        for start, end in zip(heads[:-1].tolist(), heads[1:].tolist(), strict=True):
+            if end - start > 2:
+                keep[start:end] = _opened(rows[start:end], marks[start:end])
         yield from part.filter(pa.array(keep)).to_batches()
 
     spread = own.select("node", "size", F.posexplode("first").alias("place", "gram")).select("gram", "node", "size", "place")
-    spread = materialise(spark, _buckets(spread, shared, "gram long, node long, size int, place int"), "shared")
-    spread = materialise(spark, spread.join(own.select("node", "mark"), "node"), "marked")
-    near = materialise(spark, _confirmed(materialise(spark, _proposed(spread.withColumn("root", F.lit(0).cast("long")), _chained), "chained"), texts, words), "near")
-    roots = materialise(spark, components(spark, near), "roots")
-    apart = spread.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    rest = materialise(spark, _proposed(apart, _across), "across")
-    return near.union(_confirmed(rest, texts, words))
+    spread = keep(_buckets(spread, shared, "gram long, node long, size int, place int"), "shared")
+    marked = spread.join(own.select("node", "mark"), "node").select("gram", "node", "size", "place", F.col("node").alias("root"), "mark")
+    spread = keep(_buckets(marked, opened, "gram long, node long, size int, place int, root long, mark binary"), "open")
+    near = keep(_confirmed(keep(_proposed(spread, _nearest), "nearest"), texts, words, keep), "near")
+    roots = components(spark, near)
+    apart = spread.drop("root").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    rest = keep(_proposed(apart, _across), "across")
+    found = materialise(spark, near.union(_confirmed(rest, texts, words, keep)), "found")
+    keep.drop()
+    sent.unpersist()
+    return found
 
 
 def one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5) -> DataFrame:
     """docs without near copies: of each group of texts linked by a similarity of 0.8 or more, the row of least doc_id.
 
     Links are exact Jaccard similarities of sets of word shingles (as 64-bit hashes), and none is missed. Null and
-    empty texts are one group; rows with a null id yield to others.
+    empty texts are one group; of repeated rows one stays, rows with a null id yield to others; a table without rows
+    stays so; other columns are kept, whatever their names.
     """
     from pyspark.sql.types import LongType, StructType
 
     names, where = docs.columns, docs.columns.index("text")
+    node, row = fresh(names, "_node", "_row")
 
     def sign(batches):
         for b in batches:
             found = [xxhash.xxh64_intdigest(b" ".join(folded(t))) for t in b.column(where).cast(pa.binary()).to_pylist()]
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.array(found, np.uint64).view(np.int64))], [*names, "_node"])
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(np.array(found, np.uint64).view(np.int64))], [*names, node])
 
-    signed = docs.mapInArrow(sign, StructType([*docs.schema.fields]).add("_node", LongType()))
-    rows = materialise(spark, signed.withColumn("_row", F.monotonically_increasing_id()), "signed")
-    order = F.struct(F.col("doc_id").isNull().alias("lost"), F.col("doc_id"), F.col("_row"))
-    nodes = materialise(spark, rows.groupBy(F.col("_node").alias("node")).agg(F.min(order).alias("first")), "nodes")
-    texts = rows.join(nodes.select(F.col("first._row").alias("_row")), "_row", "left_semi").select(F.col("_node").alias("node"), F.col("text").cast("string").alias("text"))
+    signed = docs.mapInArrow(sign, StructType([*docs.schema.fields]).add(node, LongType()))
+    rows, keep = materialise(spark, signed.withColumn(row, F.monotonically_increasing_id()), "signed"), Scratch(spark)
+    order = F.struct(F.col("doc_id").isNull().alias("lost"), F.col("doc_id").alias("id"), F.col(row).alias("at"))
+    nodes = keep(rows.groupBy(F.col(node).alias("node")).agg(F.min(order).alias("first")), "nodes")
+    texts = rows.join(nodes.select(F.col("first.at").alias(row)), row, "left_semi").select(F.col(node).alias("node"), F.col("text").cast("string").alias("text"))
     roots = components(spark, near_links(spark, texts, nodes.count(), words))
     kept = nodes.join(roots, "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("first").alias("first"))
-    kept = materialise(spark, kept.select(F.col("first._row").alias("_row")), "kept")
-    return rows.join(kept, "_row", "left_semi").select(*names)
+    kept = materialise(spark, kept.select(F.col("first.at").alias(row)), "kept")
+    keep.drop()
+    return rows.join(kept, row, "left_semi").select(*names)
