@@ -7,7 +7,7 @@ weight) pairs that is broadcast. It is trained in one task on at most about ``mo
 rows, chosen by a hash of their id; scoring covers all rows.
 
 Null and empty texts have the features of no word, so their score is the bias's; repeated rows have equal
-scores; labels without a document and null labels are left out; without any labels every score is 0.5; other
+scores; where one id has several labels, the greatest counts; texts of any length are scored whole; labels without a document and null labels are left out; without any labels every score is 0.5; other
 columns are ignored; an empty table gives no rows.
 """
 
@@ -94,7 +94,7 @@ def train(spark: SparkSession, docs: DataFrame, labels: DataFrame, label: str =
     known = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(label).cast("int").alias("label")).dropna()
     total = known.count()
     if total > most:
-        known = known.filter(F.pmod(F.xxhash64("doc_id"), F.lit(1 << 20)) < (most << 20) // total)
+        known = known.filter(F.shiftrightunsigned(F.xxhash64("doc_id"), 2) < (most << 62) // total)
     known = known.groupBy("doc_id").agg(F.max("label").alias("label"))
     marked = docs_of(docs).join(F.broadcast(known), "doc_id").select("doc_id", "text", "label")  # ``most`` small rows
 
@@ -121,7 +121,8 @@ def train(spark: SparkSession, docs: DataFrame, labels: DataFrame, label: str =
 
 
 def scored(docs: DataFrame, model: Model, into: str = "score") -> DataFrame:
-    """docs with the chance of label 1, from its ``text``, as a new column ``into``."""
+    """docs with the chance of label 1, from its ``text``, as a last column ``into``, which replaces one of that name."""
+    docs = docs.select(*(F.col(f"`{c}`") for c in docs.columns if c.lower() != into.lower()))
     spark, schema, where = docs.sparkSession, docs.schema, docs.columns.index("text")
     sent = spark.sparkContext.broadcast(model)
 
