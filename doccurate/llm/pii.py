@@ -101,7 +101,7 @@ def _emails(text: str):
 def base_spans(text: str) -> list[tuple[int, int, str]]:
     out = [(a, b, "email") for a, b in _emails(text)] if "@" in text else []
     for m in _IP.finditer(text):
-        if all(len(p) < 40 and int(p) <= 255 for p in m[0].split(".")):
+        if all(len(p) <= 3 and int(p or "0") <= 255 for p in (x.lstrip("0") for x in m[0].split("."))):
             out.append((*m.span(), "ip"))
     for m in _CARD.finditer(text):
         if m.end() - m.start() >= 14 and 14 <= len(d := _digits(m[0])) <= 19 and luhn(d):
