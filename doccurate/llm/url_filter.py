@@ -5,8 +5,9 @@ tables over all such URLs and all contexts, and grow with the input. The chance
 below (Witten-Bell), down to a uniform one; it is worked out once for each distinct n-gram of all URLs, order by order. An
 n-gram's log ratio then reaches the places where it occurs: those of frequent n-grams, of which there can
 be at most FREQUENT, by a broadcast, all others by a join, in which none has more than a FREQUENT-th of the rows. A URL's score is
-the difference of the models' log-likelihoods over its length; the threshold is calibrated on all
-rule-labelled URLs, where the two error rates are closest.
+the difference of the models' log-likelihoods over its length. A fifth of the rule-labelled URLs, by a hash,
+is kept from the models; the threshold is calibrated on these (on all, if they lack a kind), where the two error rates
+are closest, on exact scores.
 
 Null URLs and those without ``://`` have empty host and path, no rule, and the score 0; repeated rows have
 equal results; without any accepted or rejected URLs every score is 0 and the verdict is allow. Log ratios are summed as
@@ -15,7 +16,6 @@ whole billionths, so that scores don't depend on the order of rows.
 
 from __future__ import annotations
 
-import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
@@ -101,19 +101,41 @@ def scored(spark: SparkSession, urls: DataFrame, order: int = ORDER, frequent: i
     return urls.join(sums, "u").select("url", "accepted", "rejected", (F.col("ratio") / 1e9 / (F.length("url") + 1)).alias("score"))
 
 
-def calibrate(rows: DataFrame, bins: int = 400) -> float:
-    """Threshold on ``score`` of rows(accepted, rejected, score) where the shares of wrongly judged of both kinds are closest."""
-    at = F.greatest(F.lit(0), F.least(F.lit(bins), F.floor((F.col("score") + 2) * (bins / 4))))
-    found = rows.groupBy(at.alias("bin")).agg(F.sum("accepted").alias("good"), F.sum("rejected").alias("bad")).collect()
-    good, bad = np.zeros(bins + 1), np.zeros(bins + 1)
-    for r in found:
-        good[int(r["bin"])], bad[int(r["bin"])] = r.good, r.bad
-    if not good.sum() or not bad.sum():
+def held_out(url: str = "url") -> Column:
+    """URLs that calibrate the threshold and train no model: a fifth, by a hash."""
+    return F.pmod(F.xxhash64(url, F.lit(10)), F.lit(5)) == 0
+
+
+def calibrate(rows: DataFrame, bins: int = 1000) -> float:
+    """Threshold on ``score`` of rows(accepted, rejected, score) where the shares of wrongly judged of both kinds are closest.
+
+    As the threshold grows, the share of accepted URLs below it grows and the share of rejected ones from it on falls. The
+    score where they cross is found by histograms, each within the one bin of the one before, until a bin has one score.
+    """
+    some = rows.filter("accepted + rejected > 0")
+    total = some.agg(F.sum("accepted").alias("good"), F.sum("rejected").alias("bad"), F.min("score").alias("low"), F.max("score").alias("high")).first()
+    if not total.good or not total.bad:
         return 0.0
-    lost, passed = np.concatenate([[0], np.cumsum(good)]) / good.sum(), 1 - np.concatenate([[0], np.cumsum(bad)]) / bad.sum()
-    gap = np.abs(lost - passed)
-    best = np.flatnonzero(gap == gap.min())
-    return float(best[len(best) // 2] * 4 / bins - 2)
+    low, high, good, bad = total.low, total.high, 0, 0  # counts below ``low``
+
+    def gap(good: int, bad: int) -> float:
+        return good / total.good - (1 - bad / total.bad)
+
+    while low < high:
+        width = (high - low) / bins
+        at = F.least(F.lit(bins - 1), F.floor((F.col("score") - low) / width)) if width > 0 else F.lit(0)
+        within = some.filter((F.col("score") >= low) & (F.col("score") <= high)).groupBy(at.alias("bin"))
+        found = sorted(within.agg(F.sum("accepted").alias("good"), F.sum("rejected").alias("bad"), F.min("score").alias("low"), F.max("score").alias("high")).collect())
+        for r in found:  # ``bins`` rows at most
+            if gap(good + r.good, bad + r.bad) >= 0 or r is found[-1]:
+                break
+            good, bad = good + r.good, bad + r.bad
+        if (r.low, r.high) == (low, high):  # neighbouring numbers that no bin divides
+            break
+        low, high = r.low, r.high
+    own = some.filter(F.col("score") == low).agg(F.sum("accepted").alias("good"), F.sum("rejected").alias("bad")).first()
+    above = some.filter(F.col("score") > low).agg(F.min("score")).first()[0]
+    return float(low if above is None or -gap(good, bad) <= gap(good + own.good, bad + own.bad) else above)
 
 
 def judge(spark: SparkSession, pages: DataFrame, rules: list[Rule] = RULES) -> DataFrame:
@@ -123,8 +145,12 @@ def judge(spark: SparkSession, pages: DataFrame, rules: list[Rule] = RULES) -> D
     rows = rows.withColumn("fit", rule_of(F.col("host"), F.col("path"), rules))
     ruled = lambda verdict: F.count_if(F.col("fit.verdict") == verdict)
     distinct = rows.filter(F.contains("url", F.lit("://"))).groupBy("url").agg(ruled("allow").alias("accepted"), ruled("block").alias("rejected"))
-    scores = materialise(spark, scored(spark, distinct), "scores")
-    threshold = calibrate(scores)
+    seen = lambda c: F.when(held_out(), 0).otherwise(F.col(c))
+    scores = scored(spark, distinct.select("url", seen("accepted").alias("accepted"), seen("rejected").alias("rejected")))
+    scores = materialise(spark, scores.select("url", "score").join(distinct, "url"), "scores")
+    ours = scores.filter(held_out())
+    kinds = ours.agg(F.coalesce(F.sum("accepted"), F.lit(0)), F.coalesce(F.sum("rejected"), F.lit(0))).first()
+    threshold = calibrate(ours if all(kinds) else scores)
     done = rows.join(scores.select("url", "score"), "url", "left").withColumn("score", F.coalesce("score", F.lit(0.0)))
     verdict = F.coalesce("fit.verdict", F.when(F.col("score") >= threshold, "allow").otherwise("block"))
     return done.select("page_id", "host", "path", F.col("fit.name").alias("rule"), verdict.alias("verdict"), "score")
