@@ -4,11 +4,14 @@ Only the histogram of piece lengths (at most ``capacity`` numbers) reaches the d
 fractional solution is built by multiplicative weights: lengths that lag behind in coverage get
 dearer, a bounded knapsack over the prices (dynamic programming on the capacity) names the next
 configuration, and it enters with the largest amount that covers no length twice. Amounts are
-rounded down; what they leave is filled by best fit over the histogram. All steps cost the same for
-thousand pieces or a trillion. Pieces then find their place by their rank among equally long ones.
+rounded down; what they leave is filled by best fit over the histogram, after several shares of the
+solution, and the fewest sequences win. Prices are a solution of the dual program when they are divided by what the dearest
+configuration of all lengths costs, so they also give a lower bound on the sequences that any packing needs. All steps cost
+the same for thousand pieces or a trillion. Pieces then find their place by their rank among equally long ones.
 
 Null and empty texts become a document of the end id alone; repeated rows each are packed; rows
-with a null id keep it; an empty table gives no rows.
+with a null id keep it; which of equally long pieces takes which place is open; longer documents are cut, however
+long; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -29,10 +32,11 @@ from doccurate.llm.tokens import rank_encoder
 
 @dataclass(frozen=True)
 class Plan:
-    """Configurations: ``parts[i]`` maps length to copies, used ``times[i]`` times."""
+    """Configurations: ``parts[i]`` maps length to copies, used ``times[i]`` times; bound: no packing has fewer sequences."""
 
     parts: list[dict[int, int]]
     times: list[int]
+    bound: int = 0
 
     @property
     def sequences(self) -> int:
@@ -93,29 +97,42 @@ def _best_fit(counts: dict[int, int], capacity: int) -> list[tuple[dict[int, int
     return [g for groups in free.values() for g in groups]
 
 
-def plan(counts: dict[int, int], capacity: int, rounds: int = 3000, offered: int = 160, rate: float = 0.1, rest: float = 0.02) -> Plan:
+def _dual_bound(lengths: np.ndarray, total: np.ndarray, prices: np.ndarray, capacity: int) -> float:
+    """Sequences that the linear program needs at least: the worth of all pieces over that of the dearest configuration of all lengths."""
+    dearest = _knapsack(lengths, prices, np.minimum(total, capacity).astype(np.int64), capacity)
+    worth = dict(zip(lengths.tolist(), prices.tolist(), strict=True))
+    return float((prices * total).sum()) / sum(worth[x] * k for x, k in dearest.items())
+
+
+def plan(counts: dict[int, int], capacity: int, rounds: int = 3000, offered: int = 160, rate: float = 0.1, rests: tuple[float, ...] = (0.95, 0.8, 0.5, 0.2, 0.02), bounds: int = 8) -> Plan:
     """Configurations that hold every counted length, at nearly as few sequences as the linear program needs.
 
     rounds: most pricing rounds; offered: lengths in a round's knapsack (those of the highest weight
     and a seeded draw); rate: how strongly lagging coverage raises a price (prices start above proportion for
-    long pieces, which have fewer partners); rest: share of tokens left to rounding.
+    long pieces, which have fewer partners); rests: shares of tokens left to rounding that are tried; bounds: how many
+    of the rounds' prices are tried as dual solutions, beside fixed ones.
     """
     counts = {int(k): int(n) for k, n in counts.items() if n > 0}
-    parts, times = [], []
-    if counts.get(capacity):
-        parts, times = [{capacity: 1}], [counts.pop(capacity)]
+    whole = counts.pop(capacity, 0)
     lengths = np.array(sorted(counts), np.int64)
     total = np.array([counts[x] for x in lengths.tolist()], float)
     missing, rng = total.copy(), np.random.default_rng(7)
-    amounts: dict[tuple, float] = {}
     tokens = float((lengths * total).sum())
-    for _ in range(rounds if len(lengths) else 0):
+    entered: list[tuple[tuple, float]] = []
+    cuts, prices = {}, []  # how many entries reach each share of rests; some rounds' prices
+    for k in range(rounds if len(lengths) else 0):
         live = np.flatnonzero(missing >= 1)
-        if not len(live) or (lengths * missing).sum() <= rest * tokens:
+        left = (lengths * missing).sum()
+        for rest in rests:
+            if left <= rest * tokens:
+                cuts.setdefault(rest, len(entered))
+        if not len(live) or left <= min(rests) * tokens:
             break
         lag = missing[live] / total[live]
         size = lengths[live] / capacity
         weights = size * (1 + size) * np.exp(rate * (lag - lag.max()))
+        if k % max(rounds // (10 * bounds), 1) == 0 and len(prices) < bounds and len(live) == len(lengths):
+            prices.append(weights)
         if len(live) > offered:
             first = np.argpartition(-weights, offered // 4)[: offered // 4]
             drawn = rng.permutation(len(live))[: offered - offered // 4]
@@ -128,19 +145,31 @@ def plan(counts: dict[int, int], capacity: int, rounds: int = 3000, offered: int
         copies = np.array(list(chosen.values()), float)
         amount = float((missing[spots] / copies).min())
         missing[spots] -= amount * copies
-        key = tuple(sorted(chosen.items()))
+        entered.append((tuple(sorted(chosen.items())), amount))
+    # Prices in proportion to length, and step functions that count pieces above a half, a third, ... of the capacity.
+    prices += [lengths / capacity, *(np.where(k * lengths % capacity, k * lengths // capacity / (k - 1), lengths / capacity) for k in range(2, 7))] if len(lengths) else []
+    least = max((_dual_bound(lengths, total, w, capacity) for w in prices if w.any()), default=0.0)
+    bound, best = int(np.ceil(least - 1e-6)), None
+    for cut in sorted({*cuts.values(), len(entered)}, reverse=True):
+        if best is None or sum(n for _, n in best) > bound:
+            tried = _rounded(entered[:cut], counts, capacity)
+            best = tried if best is None or sum(n for _, n in tried) < sum(n for _, n in best) else best
+    found = [*([({capacity: 1}, whole)] if whole else []), *best]
+    return Plan([p for p, _ in found], [n for _, n in found], bound + whole)
+
+
+def _rounded(entered: list[tuple[tuple, float]], counts: dict[int, int], capacity: int) -> list[tuple[dict[int, int], int]]:
+    """Whole amounts of the configurations, and best fit for the pieces that they leave."""
+    amounts: dict[tuple, float] = {}
+    for key, amount in entered:
         amounts[key] = amounts.get(key, 0.0) + amount
-    left = dict(zip(lengths.tolist(), total.astype(np.int64).tolist(), strict=True))
+    left, out = dict(counts), []
     for key, amount in amounts.items():
         if n := int(amount + 1e-9):
-            parts.append(dict(key))
-            times.append(n)
+            out.append((dict(key), n))
             for length, k in key:
                 left[length] -= n * k
-    for group, n in _best_fit(left, capacity):
-        parts.append(group)
-        times.append(n)
-    return Plan(parts, times)
+    return out + _best_fit(left, capacity)
 
 
 def pieces(docs: DataFrame, vocabulary: str, capacity: int = 2048, end_id: int = 0) -> DataFrame:
