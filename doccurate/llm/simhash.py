@@ -6,7 +6,7 @@ the vantage points are used in views: the bits fall into blocks, and a view meas
 them only. If two fingerprints differ in at most r bits, at least ``blocks - r`` of the blocks are equal, so
 in the view on those blocks their distance is 0, and by the triangle bound they have the same distance to each
 vantage point. A view's shards are these tuples of distances: no ball crosses a boundary, and
-every pair within the radius meets in some shard. In a shard a vantage-point tree on the full distance finds
+every pair within the radius meets in some shard. There are as few views as leave shards of a bounded size. In a shard a vantage-point tree on the full distance finds
 the pairs, with boundary overlap of the radius; only a spanning forest of them leaves the task.
 
 Equal fingerprints are one node, so groups of copies cost one row. A shard beyond HOT nodes is
@@ -29,6 +29,8 @@ from doccurate.llm.token_store import mix
 _LOWER = bytes(b + 32 if 65 <= b <= 90 else b for b in range(256))
 #: Shingles whose bits are counted at once; nodes of a shard that is cut again; points compared directly.
 CHUNK, HOT, DIRECT = 1 << 16, 4096, 256
+#: Points of a tree's leaf; nodes that a shard has about, if fingerprints are spread evenly.
+LEAF, SHARD = 16, 64
 
 
 def fingerprint(text: bytes | None, words: int = 4, seed: int = 42) -> int:
@@ -124,7 +126,7 @@ def near(points: np.ndarray, radius: int) -> list[tuple[int, int]]:
     todo = [np.arange(len(points))]
     while todo:
         own = todo.pop()
-        if len(own) <= DIRECT:
+        if len(own) <= LEAF:
             i, j = np.nonzero(np.triu(apart(own, own) <= radius, 1))
             link(own[i], own[j])
             continue
@@ -181,9 +183,17 @@ def _links(shards: DataFrame, keys: list[str], radius: int, words: tuple[str, ..
     return dealt.mapInArrow(run, "a long, b long").filter("a > b").distinct()
 
 
-def links(spark: SparkSession, nodes: DataFrame, radius: int = 4, blocks: int = 6) -> DataFrame:
-    """Pairs (a > b) that connect all distinct fingerprints ``fp`` of nodes within the radius."""
-    every = (1 << 64) - 1
+def blocks_for(count: int, radius: int) -> int:
+    """Blocks of the views: the fewest (and so the fewest views) that leave about SHARD of count nodes to a shard."""
+    return next(n for n in range(radius + 1, 65) if n == 64 or count >> (64 * (n - radius) // n) <= SHARD)
+
+
+def links(spark: SparkSession, nodes: DataFrame, radius: int = 4, blocks: int | None = None) -> DataFrame:
+    """Pairs (a > b) that connect all distinct fingerprints ``fp`` of nodes within the radius.
+
+    blocks: of the views, by default as the number of nodes asks for. Any number finds the same components.
+    """
+    every, blocks = (1 << 64) - 1, blocks or blocks_for(nodes.count(), radius)
     masks = _views(_blocks(list(range(64)), blocks), radius)
     shards = materialise(spark, _sharded(nodes.select("fp"), masks), "shards")
     hot = materialise(spark, shards.groupBy("view", "path").count().filter(F.col("count") > HOT).select("view", "path"), "hot")
@@ -192,7 +202,7 @@ def links(spark: SparkSession, nodes: DataFrame, radius: int = 4, blocks: int =
     found = _links(shards.join(hot, ["view", "path"], "left_anti"), ["view", "path"], radius)
     deep = shards.join(hot, ["view", "path"], "left_semi")
     for k, mask in enumerate(masks):
-        inner = _views(_blocks([b for b in range(64) if not mask >> b & 1 and every >> b & 1], blocks), radius)
+        inner = _views(_blocks([b for b in range(64) if not mask >> b & 1 and every >> b & 1], max(blocks, radius + 2)), radius)
         some = deep.filter(F.col("view") == k).select(F.col("view").alias("outer"), F.col("path").alias("way"), "fp")
         found = found.union(_links(_sharded(some, inner, "outer", "way"), ["outer", "way", "view", "path"], radius))
     return found.distinct()
