@@ -9,6 +9,7 @@ from collections import Counter
 
 import numpy as np
 import pytest
+import xxhash
 
 tokenizers = pytest.importorskip("tokenizers")
 public_tokenizers = pytest.importorskip("public_tokenizers")
@@ -82,8 +83,17 @@ def test_substring_dedup_random_windows(spark):
             assert by_window.setdefault(unit.names[p : p + 35].tobytes(), c - p) == c - p
 
 
+def plain_fingerprint(text):
+    """Bits that more than half of the shingles' XXH64 values have, counted one by one."""
+    words = re.findall(rb"[^\x20\x09-\x0D]+", re.sub(rb"[A-Z]", lambda m: bytes([m[0][0] + 32]), (text or "").encode()))
+    shingles = [b" ".join(words[k : k + 4]) for k in range(max(len(words) - 3, 1))] if words else []
+    hashes = [xxhash.xxh64(x, seed=42).intdigest() for x in shingles]
+    return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
+
+
 def test_simhash(spark, docs, rows):
-    fps = [simhash.fingerprint((t or "").encode()) for _, t in rows]
+    fps = [plain_fingerprint(t) for _, t in rows]
+    assert fps == [simhash.fingerprint((t or "").encode()) for _, t in rows]
     component = {}
     for i in range(len(fps)):
         reach, todo = {i}, [i]
@@ -433,3 +443,168 @@ def test_pii_secrets_without_digits_and_ibans_before_words():
     both = kinds("IBAN BE68 5390 0754 7034 AT34 1904 3002 3457 3202 and more")
     assert both == [("iban", "BE68 5390 0754 7034"), ("iban", "AT34 1904 3002 3457 3202")]
     assert kinds("IBAN AT35 1904 3002 3457 3202 BIC") == []
+
+
+def test_simhash_query_format(spark, docs, rows, tmp_path):
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    found = simhash.op9_simhash(spark, str(tmp_path)).select("doc_id", "fingerprint").collect()
+    assert sorted(map(repr, map(tuple, found))) == sorted(repr((k, f"{plain_fingerprint(t):016x}")) for k, t in rows)
+
+
+def test_simhash_trees_find_what_all_pairs_find():
+    rng = np.random.default_rng(3)
+    base = rng.integers(0, 1 << 63, 40, np.uint64)
+    points = np.unique([int(b) ^ sum(1 << int(x) for x in rng.choice(64, 3, replace=False)) for b in base for _ in range(20)]).astype(np.uint64)
+    assert len(points) > 20 * simhash.LEAF  # several levels of the tree
+    links = simhash.near(points[:, None], 4)
+    near = np.bitwise_count(points[:, None] ^ points[None]) <= 4
+    label = np.arange(len(points))
+    for _ in range(len(points)):
+        label = np.where(near, label[None], len(points)).min(axis=1)
+    root = {k: k for k in range(len(points))}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in links:
+        assert near[a, b] and find(a) != find(b)  # a forest
+        root[max(find(a), find(b))] = min(find(a), find(b))
+    assert [find(k) for k in range(len(points))] == label.tolist()
+
+
+@pytest.mark.parametrize("blocks", [5, 6, 7])
+def test_simhash_views_of_any_number_of_blocks(spark, blocks):
+    rng = np.random.default_rng(blocks)
+    fps = {int(b) ^ sum(1 << int(x) for x in rng.choice(64, rng.integers(0, 4), replace=False)) for b in rng.integers(0, 1 << 62, 8) for _ in range(30)}
+    nodes = spark.createDataFrame([(f - (1 << 64) * (f >> 63),) for f in fps], "fp long")
+    found = {r.node: r.root for r in simhash.components(spark, simhash.links(spark, nodes, blocks=blocks)).collect()}
+    arr = np.array(sorted(f - (1 << 64) * (f >> 63) for f in fps), np.int64)
+    near, label = np.bitwise_count(arr.view(np.uint64)[:, None] ^ arr.view(np.uint64)[None]) <= 4, np.arange(len(arr))
+    for _ in range(len(arr)):
+        label = np.where(near, label[None], len(arr)).min(axis=1)
+    assert [found.get(x, x) for x in arr.tolist()] == arr[label].tolist()
+
+
+def test_fingerprint_lanes_as_whole_numbers(spark, docs, rows):
+    def lane(text, salt):
+        return xxhash.xxh64(salt.to_bytes(4, "little"), seed=xxhash.xxh64(text.encode(), seed=42).intdigest()).intdigest()
+
+    def plain(text):
+        lines = text.split("\n")
+        phrases = [p for p in re.split(r"\n|(?<=[adegimorsty.,;:!?])[ \t]+", text) if p]
+        wide = [sum(lane(x, k) & 0xFFFFFFFF for x in lines) % (1 << 32) for k in range(multiset.EXACT)]
+        bits = [[lane(p, 100 + w) for p in phrases] for w in range(multiset.LANES // 64)]
+        narrow = [(2 * sum(h >> b & 1 for h in hs) - len(phrases)) % (1 << 16) for hs in bits for k in range(32) for b in (k, k + 32)]
+        return "".join(f"{x:08x}" for x in wide) + "".join(f"{x:04x}" for x in narrow), np.array([x - 65536 * (x > 32767) for x in narrow], float)
+
+    def alike(a, b):
+        if (a == b).all():
+            return 1.0
+        size = np.sqrt((a @ a) * (b @ b))
+        return 0.0 if size == 0 else float(np.clip(a @ b / size, 0, 1))
+
+    ordered = sorted(((k, t or "") for k, t in rows if k is not None), key=lambda x: (-x[0], x[1]))
+    ordered += [(k, t or "") for k, t in rows if k is None]
+    following = {(k, t): ordered[(i + 1) % len(ordered)][1] for i, (k, t) in enumerate(ordered)}
+    found = multiset.with_edits(spark, docs).collect()
+    texts = dict(ordered)
+    assert len(found) == len(rows)
+    for r in found:
+        text = texts[r.doc_id]
+        after, half = following[(r.doc_id, text)], len(text) // 2
+        if sum(k == r.doc_id for k, _ in ordered) > 1:
+            continue  # which of repeated rows follows which is open
+        edited = text[: len(text) - half] + after[:half]
+        (own, a), (other, b), (_, c) = plain(text), plain(edited), plain(after)
+        assert (r.fingerprint, r.edited_fingerprint) == (own, other), r.doc_id
+        assert abs(r.near_edited - alike(a, b)) < 1e-9 and abs(r.near_next - alike(a, c)) < 1e-9
+
+
+def test_toxicity_against_textbook_ftrl():
+    rng = np.random.default_rng(1)
+    rows = [(np.unique(rng.integers(0, 40, rng.integers(0, 12))), int(rng.random() < 0.3)) for _ in range(200)]
+    alpha, beta, l1, l2, bias = 0.5, 1.0, 0.6, 0.1, 1 << toxicity.BITS
+    z, n = Counter(), Counter()
+
+    def weight(i):
+        own = 0.0 if i == bias else l1
+        return 0.0 if abs(z[i]) <= own else -(z[i] - math.copysign(own, z[i])) / ((beta + math.sqrt(n[i])) / alpha + l2)
+
+    for _ in range(2):
+        for at, label in rows:
+            some = [*at.tolist(), bias]
+            w = {i: weight(i) for i in some}
+            g = 1 / (1 + math.exp(-sum(w.values()))) - label
+            for i in some:
+                sigma = (math.sqrt(n[i] + g * g) - math.sqrt(n[i])) / alpha
+                z[i] += g - sigma * w[i]
+                n[i] += g * g
+    expected = {i: weight(i) for i in z if weight(i)}
+    model = toxicity.ftrl(rows, epochs=2, alpha=alpha, beta=beta, l1=l1, l2=l2)
+    assert model.at.tolist() == sorted(expected) and 0 < len(expected) < 41
+    assert np.allclose(model.weights, [expected[i] for i in sorted(expected)], atol=1e-9)
+
+
+def test_toxicity_features_are_words_pairs_and_skips():
+    texts = [b"One two three two", None, b"", b"alone", b"a b"]
+    at, doc = toxicity.features(texts)
+    expected = []
+    for k, t in enumerate(texts):
+        w = (t or b"").lower().split()
+        expected.append(len(w) + max(len(w) - 1, 0) + max(len(w) - 2, 0))
+    assert np.bincount(doc, minlength=len(texts)).tolist() == expected
+    assert len(set(at[doc == 0].tolist())) == 3 + 3 + 2  # distinct words, pairs, skips
+
+
+def test_names_that_clash(spark):
+    say = lambda n, seed: " ".join(random.Random(seed).choice(WORDS) + str(k) for k in range(n))
+    rows = [(k, say(40, k % 3), 1.5, 7, 8, 9, 1, "n", b"x") for k in range(6)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, score double, _row int, _node int, _ROOT int, size int, node string, mark binary")
+    left = simhash.one_of_each(spark, docs)
+    assert left.columns == docs.columns and sorted(tuple(r) for r in left.collect()) == sorted((*r[:8], bytearray(r[8])) for r in rows[:3])
+    model = toxicity.Model(np.array([1 << toxicity.BITS]), np.array([0.0]))
+    told = toxicity.scored(docs, model)
+    assert told.columns == [c for c in docs.columns if c != "score"] + ["score"] and {r.score for r in told.collect()} == {0.5}
+    items = spark.createDataFrame([(1, " ".join(rows[0][1].split()[:12]))], "item_id long, text string")
+    for size in (decontaminate.BLOCK_BYTES, 20):
+        assert decontaminate.cleaned(spark, docs, items, block_bytes=size).columns == docs.columns
+    assert pii.redacted(docs).columns == docs.columns
+
+
+def test_pii_base_kinds_equal_the_plain_patterns():
+    plain = {
+        "email": (r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", lambda m: True),
+        "ip": (r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", lambda m: all(int(p) <= 255 for p in m.split("."))),
+        "card": (r"[0-9]([\x20-]?[0-9])+", lambda m: 14 <= len(d := re.sub("[^0-9]", "", m)) <= 19 and sum(sum(divmod(int(c) * (1 + k % 2), 10)) for k, c in enumerate(reversed(d))) % 10 == 0),
+        "phone": (r"\+[0-9][\x20().0-9-]+[0-9]", lambda m: 10 <= len(re.sub("[^0-9]", "", m)) <= 15),
+    }
+    rng = random.Random(8)
+    pieces = ["0" * 45 + "1.2.3.4", "1.2.3." + "0" * 60 + "4", "256.1.1.1", "1.2.3.4.5.6.7.8", "a@b.c", "@", "x.y@z-w.org.", "4111 1111 1111 1111", "4111-1111", "+1 (269) 555-3296", "+", ".", " ", "-", "12", "٣.1.1.1", "é"]
+    for _ in range(400):
+        text = "".join(rng.choice(pieces) for _ in range(rng.randint(1, 9)))
+        expected = sorted((m.start(), m.end(), kind) for kind, (p, good) in plain.items() for m in re.finditer(p, text) if good(m[0]))
+        assert sorted(pii.base_spans(text)) == expected, text
+
+
+def test_packing_bound_and_best_fit():
+    rng = np.random.default_rng(5)
+    for sizes in (rng.integers(1, 2049, 400), np.clip(rng.exponential(300, 3000), 1, 2048).astype(int), rng.integers(500, 1100, 2000), np.array([1025] * 10 + [1024] * 11)):
+        counts = dict(zip(*(x.tolist() for x in np.unique(sizes, return_counts=True)), strict=True))
+        made = packing.plan(counts, 2048, rounds=400)
+        best = sum(n for _, n in packing._best_fit(dict(counts), 2048))
+        assert max(-(-int(sizes.sum()) // 2048), made.bound) <= made.sequences <= best + 1 + best // 1000
+    assert packing.plan({1025: 10, 1024: 11}, 2048).bound == 16  # above the 11 that tokens ask for
+    assert packing.plan({}, 2048).sequences == 0
+
+
+def test_url_threshold_against_all_thresholds(spark):
+    rng = random.Random(2)
+    for n, far in ((1, 0.0), (7, 1.0), (300, 0.3), (300, 50.0)):
+        rows = [(k % 2, 1 - k % 2, round(rng.gauss(far * (k % 2), 1), 2)) for k in range(2 * n)]
+        good, bad = [s for a, _, s in rows if a], [s for _, b, s in rows if b]
+        gap = lambda t: abs(sum(s < t for s in good) / len(good) - sum(s >= t for s in bad) / len(bad))
+        found = url_filter.calibrate(spark.createDataFrame(rows, "accepted int, rejected int, score double"), bins=5)
+        assert gap(found) <= min(gap(t) for _, _, t in rows) + 1e-12
+    assert url_filter.calibrate(spark.createDataFrame([(1, 0, 0.5)], "accepted int, rejected int, score double")) == 0.0
