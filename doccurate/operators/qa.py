@@ -84,7 +84,7 @@ def extractive_generator(faults: dict[str, float] | None = None) -> Generator:
         rows = computed(rows, _ws=F.split(F.get("_ranked", (slot - 1).cast("int")).s, " +"))
         rows = computed(rows, _half=F.ceil(F.size("_ws") / 2).cast("int"))
         first, rest = F.slice("_ws", 1, F.col("_half")), F.slice(F.col("_ws"), F.col("_half") + 1, F.greatest(F.size("_ws") - F.col("_half"), F.lit(0)))
-        swapped = F.concat(F.slice(first, 2, 1), F.slice(first, 1, 1), F.slice(first, 3, 10000))
+        swapped = F.concat(F.slice(first, 2, 1), F.slice(first, 1, 1), F.slice(first, 3, F.greatest(F.size(first) - 2, F.lit(0))))
         question = F.concat(lead(F.col("ex_question")), F.lit(" "), F.array_join(F.when(F.col("_fault") == "paraphrase", swapped).otherwise(first), " "), F.lit(" ?"))
         other = F.when(F.col("lang") == "en", EXEMPLARS["de"][0][0]).otherwise(EXEMPLARS["en"][0][0])
         question = F.when(F.col("_fault") == "off_topic", F.col("ex_question")).when(F.col("_fault") == "wrong_language", other).otherwise(question)

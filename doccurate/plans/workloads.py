@@ -134,7 +134,7 @@ def w04_keep(spark, sf_dir):
 @query("w04_language_chars")
 def w04_chars(spark, sf_dir):
     """Character grams of 1 to 3 instead of words: documents by true and detected language."""
-    docs = table(spark, sf_dir, "documents").select("doc_id", "lang", F.substring("text", 1, 100_000_000).alias("text"))
+    docs = table(spark, sf_dir, "documents").select("doc_id", "lang", "text")
     chars = langid.profile(docs.filter("doc_id % 2 = 0").select("lang", "text"), LANGS, "char")
     odd = docs.filter("doc_id % 2 = 1")
     found = langid.detect(odd, ["doc_id"], "text", chars, LANGS, "char")
