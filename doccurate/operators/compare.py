@@ -20,6 +20,8 @@ PUBLISHED = {
     "open_72b": {"english": 0.961, "gold": 0.611, "synthetic": 0.613},
     "open_90b": {"english": 0.954, "gold": 0.481, "synthetic": 0.498},
 }
+#: Published human level on the English benchmark (fixed values).
+HUMAN = {"exact": 0.9436, "anls": 0.981}
 #: Published accuracies after fine-tuning, by training data (fixed values).
 TUNED = {"base": 0.332, "synthetic_only": 0.285, "mixture": 0.303, "mixture_21k": 0.374, "mixture_105k": 0.404}
 
@@ -74,6 +76,12 @@ def metric_agreement(scored: DataFrame, tau: float = 0.5) -> DataFrame:
     )
 
 
+def human_gap(scores: DataFrame, dataset: str = "english", level: float = HUMAN["exact"]) -> DataFrame:
+    """model, accuracy and distance to the human level on a dataset, and whether it is near or above (within a tenth)."""
+    some = scores.filter(F.col("dataset") == dataset)
+    return some.select("model", "accuracy", F.round(F.col("accuracy") - level, 6).alias("to_human"), (F.col("accuracy") >= level - 0.1).alias("near_or_above"))
+
+
 def language_gap(scores: DataFrame, reference: str = "english") -> DataFrame:
     """model, dataset, absolute and relative gap to the reference dataset."""
     ref = scores.filter(F.col("dataset") == reference).select("model", F.col("accuracy").alias("ref"))

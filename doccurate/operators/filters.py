@@ -113,6 +113,15 @@ def filter_quality(judged: DataFrame) -> DataFrame:
     return rows.withColumn("share", F.round(F.col("removed") / F.col("pairs"), 6))
 
 
+def filter_scores(judged: DataFrame, truth: Column) -> DataFrame:
+    """One row: the filters as a detector of pairs that truth marks as bad (null: unknown, left out): tp, fp, fn, precision, recall, f1."""
+    bad, gone = F.col("bad"), ~F.col("kept")
+    row = judged.select(truth.alias("bad"), "kept").filter("bad is not null").agg(F.count_if(bad & gone).alias("tp"), F.count_if(~bad & gone).alias("fp"), F.count_if(bad & ~gone).alias("fn"))
+    share = lambda a, b: F.round(F.try_divide(a, b), 6)
+    tp, fp, fn = F.col("tp"), F.col("fp"), F.col("fn")
+    return row.select("tp", "fp", "fn", share(tp, tp + fp).alias("precision"), share(tp, tp + fn).alias("recall"), share(2 * tp, 2 * tp + fp + fn).alias("f1"))
+
+
 def rounds(df: DataFrame, step: Callable[[DataFrame], DataFrame], keep: Callable[[DataFrame, int], DataFrame], most: int = 5) -> DataFrame:
     """Filter again until nothing goes. keep(df, round) must cut lineage (checkpoint or a written table)."""
     now, size = df, df.count()

@@ -28,6 +28,26 @@ def dictionary_translator(salt: str, share: float = 0.1) -> Translator:
     return translate
 
 
+def coded_translator(salt: str = "english", share: float = 0.3) -> tuple[Translator, Translator]:
+    """Stand-in of a service in both directions: a keyed share of the words of letters only is written backwards with a sign before, and back.
+
+    Words that carry other characters stay, so sentences end where they did.
+    """
+    each = lambda use: lambda text: F.array_join(F.transform(F.split(text, " "), use), " ")
+    there = each(lambda w: F.when(w.rlike(r"^\p{L}+$") & (uniform(w, salt) < share), F.concat(F.lit("~"), F.reverse(w))).otherwise(w))
+    back = each(lambda w: F.when(w.rlike(r"^~\p{L}+$"), F.reverse(F.substr(w, F.lit(2)))).otherwise(w))
+    return there, back
+
+
+def translated_pairs(items: DataFrame, there: Translator, back: Translator) -> DataFrame:
+    """item_id, the pair in the annotator's language, written from the translated page, and the pair translated back; null without a sentence."""
+    first = F.split(F.get(sentences(there(F.col("text"))), F.lit(0)), " +")
+    half = F.ceil(F.size("ws") / 2).cast("int")
+    rows = items.select("item_id", first.alias("ws"))
+    rows = rows.select("item_id", F.concat(F.array_join(F.slice("ws", 1, half), " "), F.lit(" ?")).alias("question_read"), F.array_join(F.slice("ws", half + 1, F.size("ws")), " ").alias("answer_read"))
+    return rows.select("*", back(F.col("question_read")).alias("question"), back(F.col("answer_read")).alias("answer"))
+
+
 def gold_sample(items: DataFrame, n: int = 54, salt: str = "gold") -> DataFrame:
     """n pages in hash order; all, if there are no more."""
     return items.orderBy(hash_order("item_id", salt), "item_id").limit(n)

@@ -47,6 +47,16 @@ def detect(df: DataFrame, keys: list[str], text: str, profiles: DataFrame, langs
     return sums.select(*keys, F.when(best.cost.isNotNull() & clear, best.lang).alias("detected"))
 
 
+def detect_crossed(docs: DataFrame, key: str, fold: Column, folds: list[int], langs: list[str], unit: str = "word") -> DataFrame:
+    """key, detected for all rows of docs(key, lang, text): each fold is judged by profiles of the rows of the other folds."""
+    out = None
+    for k in folds:
+        own = profile(docs.filter(fold != k).select("lang", "text"), langs, unit)
+        one = detect(docs.filter(fold == k), [key], "text", own, langs, unit)
+        out = one if out is None else out.unionByName(one)
+    return out
+
+
 def stop_word_vote(text: Column) -> Column:
     """The language with most distinct stop words in the text (ties by code), null if there are none."""
     own = F.array_distinct(words(text))

@@ -42,7 +42,7 @@ def exemplar_table(spark: SparkSession) -> DataFrame:
 
 
 def one_shot(calls: DataFrame, exemplars: DataFrame, per: str = "call", shots: int = 1) -> DataFrame:
-    """Calls with a drawn exemplar and the prompt; per: a draw a call or a page; shots: 0, 1, or k exemplars in hash order."""
+    """Calls with a drawn exemplar and the prompt; per: a draw a call or a page; shots: 0, 1 (drawn), or the first k exemplars of the language."""
     key = F.col("call") if per == "call" else F.col("image_id")
     rows = calls.withColumn("ex_no", F.floor(uniform(key, "ex") * 3).cast("int"))
     rows = rows.join(F.broadcast(exemplars), ["lang", "ex_no"], "left")  # three constant rows a language
@@ -124,6 +124,42 @@ def split_by_image(df: DataFrame, ratios: dict[str, float] = RATIOS, salt: str =
     return df.withColumn("split", split_of(F.col(group), ratios, salt))
 
 
+def split_exact(df: DataFrame, ratios: dict[str, float] = RATIOS, salt: str = "split", group: str = "image_id", bits: int = 16) -> DataFrame:
+    """df with ``split`` of exact sizes: the groups in the order of their draws are cut at the rounded cumulative shares.
+
+    The draws are whole numbers below 2**32; histograms, each of 2**bits bins at most, find where a cut falls, so no
+    sort of all groups is needed. Groups of equal draws go by their key.
+    """
+    draw = F.floor(uniform(F.col(group), salt) * (1 << 32)).cast("long")
+    groups = df.select(F.col(group).alias("g")).filter("g is not null").distinct().select("g", F.floor(uniform("g", salt) * (1 << 32)).cast("long").alias("h"))
+    n, low, cuts = groups.count(), 0.0, []
+    for share in list(ratios.values())[:-1]:
+        low += share
+        cuts.append(_cut_of(groups, round(n * low), bits))
+    out = None
+    for name, (h, key) in zip(ratios, cuts, strict=False):
+        below = (draw < h) | ((draw == h) & (F.col(group) <= key)) if key is not None else draw < h
+        out = F.when(below, name) if out is None else out.when(below, name)
+    return df.withColumn("split", out.otherwise(list(ratios)[-1]) if out is not None else F.lit(next(iter(ratios))))
+
+
+def _cut_of(groups: DataFrame, first: int, bits: int) -> tuple[int, str | None]:
+    """(draw, key): ``first`` groups have a lower draw, or this draw and at most this key."""
+    start, size, left = 0, 1 << 32, first
+    while size > 1:
+        step = max(size >> bits, 1)
+        some = groups.filter((F.col("h") >= start) & (F.col("h") < start + size))
+        for b, k in sorted(tuple(r) for r in some.groupBy(F.floor((F.col("h") - start) / step).alias("b")).agg(F.count("*")).collect()):  # 2**bits rows at most
+            if k > left:
+                start, size = start + int(b) * step, step
+                break
+            left -= k
+        else:
+            return start + size, None  # all of them
+    ties = [r.g for r in groups.filter(F.col("h") == start).orderBy("g").limit(left).collect()] if left else []  # groups of one draw in 2**32
+    return start, ties[-1] if ties else None
+
+
 def qa_stats(before: DataFrame, after: DataFrame) -> DataFrame:
     """Images and pairs by split, before and after filtering, with a total row each (split ``all``)."""
     tagged = before.select(F.lit("generated").alias("dataset"), "split", "image_id").unionByName(after.select(F.lit("filtered").alias("dataset"), "split", "image_id"))

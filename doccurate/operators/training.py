@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 from pyspark.sql import DataFrame
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from doccurate.functions.keys import uniform
@@ -74,6 +73,31 @@ def unigram_bits(train: DataFrame, test: DataFrame) -> DataFrame:
     return rows.agg(F.sum(cost * F.col("times")).alias("cost"), F.sum("times").alias("n_words"))
 
 
-def latest_first(df: DataFrame, key: str, order: str) -> DataFrame:
-    """The last row of each key."""
-    return df.withColumn("_k", F.row_number().over(W.partitionBy(key).orderBy(F.desc(order)))).filter("_k = 1").drop("_k")
+def part_counts(rows: DataFrame, checkpoints: int = 1) -> DataFrame:
+    """part, ckpt, w, n: words of rows(part, key, text); a keyed draw deals the rows to checkpoints. Null and blank texts have none."""
+    ckpt = F.floor(uniform("key", "ckpt") * checkpoints).cast("int") if checkpoints > 1 else F.lit(0)
+    return rows.select("part", ckpt.alias("ckpt"), F.explode(words(F.col("text"))).alias("w")).groupBy("part", "ckpt", "w").agg(F.count("*").alias("n"))
+
+
+def fitted(counts: DataFrame, members: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(cell, ckpt, w, n) and (cell, ckpt, total, v) of unigram students, each of the parts that members(cell, part), a small table, names for it."""
+    own = counts.join(F.broadcast(members), "part").groupBy("cell", "ckpt", "w").agg(F.sum("n").alias("n"))
+    return own, own.groupBy("cell", "ckpt").agg(F.sum("n").alias("total"), F.count("*").alias("v"))
+
+
+def student_costs(counts: DataFrame, members: DataFrame, test: DataFrame) -> DataFrame:
+    """cell, single, averaged (10**4 nats), n_words: cost of the words of test(text) to add-one unigram students.
+
+    single: the mean cost over the students of a cell's checkpoints; averaged: the cost to the one student whose parameters
+    are the means of theirs. Stand-ins of a trained model: they show trends, not its accuracy. A cell without training rows is missing.
+    """
+    own, sizes = fitted(counts, members)
+    asked = test.select(F.explode(words(F.col("text"))).alias("w")).groupBy("w").agg(F.count("*").alias("times"))
+    rows = asked.crossJoin(F.broadcast(sizes)).join(own, ["cell", "ckpt", "w"], "left")  # a row a cell and checkpoint
+    chance = (F.coalesce("n", F.lit(0)) + 1) / (F.col("total") + F.col("v") + 1)
+    cost = lambda p: F.round(-10000 * F.ln(p)).cast("long")
+    each = rows.select("cell", "ckpt", "w", "times", chance.alias("p"))
+    means = average_checkpoints(each.select("ckpt", F.col("cell").alias("param"), F.col("w").alias("idx"), F.col("p").alias("value")))
+    averaged = means.select(F.col("param").alias("cell"), F.col("idx").alias("w"), F.col("value").alias("p")).join(asked, "w")
+    one = each.groupBy("cell", "ckpt").agg(F.sum(cost(F.col("p")) * F.col("times")).alias("cost")).groupBy("cell").agg(F.round(F.avg("cost")).cast("long").alias("single"))
+    return one.join(averaged.groupBy("cell").agg(F.sum(cost(F.col("p")) * F.col("times")).alias("averaged"), F.sum("times").alias("n_words")), "cell")

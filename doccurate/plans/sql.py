@@ -104,7 +104,7 @@ def detected(source: str, key: str, text: str) -> str:
     return f"SELECT k AS {key}, {pick} AS detected FROM (SELECT d.{key} AS k, {sums} FROM {source} d LEFT JOIN (SELECT {key}, unnest({words(text)}) AS gram FROM {source}) g USING ({key}) LEFT JOIN prof USING (gram) GROUP BY d.{key})"
 
 
-def cascade(target: str) -> str:
+def cascade(target: str, mode: str = "sequential") -> str:
     """CTEs up to ``judged`` (qa_id, image_id, split, fault, reasons, kept), from ``parsed``."""
     return f"""{calls(target)}, train_docs AS (SELECT lang, text FROM documents WHERE doc_id % 2 = 0), {profile('train_docs')},
 pairs AS (SELECT * FROM parsed WHERE well_formed), found AS ({detected('pairs', 'qa_id', 'question')}),
@@ -113,12 +113,12 @@ grammed AS (SELECT *, {char_grams('nq')} AS gq, {char_grams('nt')} AS gt FROM me
 tested AS (SELECT *, list_filter([CASE WHEN len > 60 THEN NULL ELSE 'length' END,
   CASE WHEN len(gq) > 0 AND len(list_intersect(gq, gt)) / len(gq)::DOUBLE >= 0.12 THEN NULL ELSE 'overlap' END,
   CASE WHEN detected = '{target}' THEN NULL ELSE 'language' END], lambda x: x IS NOT NULL) AS r FROM grammed),
-alive AS (SELECT *, list_distinct(list_filter(string_split(nq, ' '), lambda w: w <> '')) AS wq, CASE view WHEN 'parse' THEN 0 ELSE 1000 END + slot AS rk FROM tested WHERE len(r) = 0),
+alive AS (SELECT *, list_distinct(list_filter(string_split(nq, ' '), lambda w: w <> '')) AS wq, CASE view WHEN 'parse' THEN 0 ELSE 1000 END + slot AS rk FROM tested{" WHERE len(r) = 0" if mode == "sequential" else ""}),
 linked AS (SELECT a.qa_id AS a, b.qa_id AS b, b.rk FROM alive a JOIN alive b ON a.image_id = b.image_id AND b.rk <= a.rk
   AND (a.nq = b.nq OR len(list_intersect(a.wq, b.wq)) / len(list_distinct(list_concat(a.wq, b.wq)))::DOUBLE >= 0.8)),
 both_ways AS (SELECT a, b FROM linked UNION SELECT b, a FROM linked), two AS (SELECT x.a, y.b FROM both_ways x JOIN both_ways y ON x.b = y.a),
 four AS (SELECT DISTINCT x.a, y.b FROM two x JOIN two y ON x.b = y.a),
 roots AS (SELECT f.a AS qa_id, min(v.rk) < any_value(o.rk) AS dup FROM four f JOIN alive v ON v.qa_id = f.b JOIN alive o ON o.qa_id = f.a GROUP BY f.a),
 judged AS (SELECT t.qa_id, t.image_id, t.doc_id, t.question, t.answer, t.text, t.lang, {split_case('t.image_id')} AS split, t.fault,
-  CASE WHEN coalesce(dup, false) THEN ['paraphrase'] ELSE t.r END AS reasons, len(t.r) = 0 AND NOT coalesce(dup, false) AS kept
+  CASE WHEN coalesce(dup, false) THEN list_append(t.r, 'paraphrase') ELSE t.r END AS reasons, len(t.r) = 0 AND NOT coalesce(dup, false) AS kept
   FROM tested t LEFT JOIN roots USING (qa_id))"""

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
@@ -13,14 +12,14 @@ from doccurate.functions.web import canonical_url
 from doccurate.operators import collect, compare, dedup, filters, gold, langid, qa, training
 from doccurate.plans import sql
 from doccurate.plans.registry import query
-from doccurate.sources.tables import table
+from doccurate.sources.tables import shared_folder, table
 
 LANGS, TARGET = sql.LANGS, "fr"
 
 
 def keeper(spark: SparkSession):
-    """Cuts lineage through the shared folder of the session (``spark.checkpoint.dir``; a temporary one where it is unset)."""
-    folder = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/doccurate-{uuid.uuid4().hex}"
+    """Cuts lineage through the shared folder of the session."""
+    folder = shared_folder(spark)
 
     def keep(df: DataFrame, _: int = 0) -> DataFrame:
         path = f"{folder.rstrip('/')}/kept-{uuid.uuid4().hex}"
@@ -31,7 +30,7 @@ def keeper(spark: SparkSession):
 
 
 def profiles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Word profiles from documents of even id; only odd ids are ever reported."""
+    """Word profiles from documents of even id, for questions (of which none is a document)."""
     return langid.profile(table(spark, sf_dir, "documents").filter("doc_id % 2 = 0").select("lang", "text"), LANGS)
 
 
@@ -115,30 +114,34 @@ def w03(spark, sf_dir):
     return v.select("page_id", "lang", F.length("plain").cast("long").alias("n_plain"), F.length("view_ocr").cast("long").alias("n_ocr"), digest("plain").alias("plain"), digest("view_ocr").alias("ocr"), digest("markdown").alias("markdown"))
 
 
-_ODD = f"WITH train_docs AS (SELECT lang, text FROM documents WHERE doc_id % 2 = 0), odd AS (SELECT * FROM documents WHERE doc_id % 2 = 1), {sql.profile('train_docs')}, found AS ({sql.detected('odd', 'doc_id', 'text')})"
+def _fold(k: int) -> str:
+    """The documents of one parity, judged by profiles of the other."""
+    return f"(WITH train_docs AS (SELECT lang, text FROM documents WHERE doc_id % 2 <> {k}), own AS (SELECT * FROM documents WHERE doc_id % 2 = {k}), {sql.profile('train_docs')} {sql.detected('own', 'doc_id', 'text')})"
 
 
-@query("w04_doc_language", f"{_ODD} SELECT lang, detected, count(*) AS n FROM odd JOIN found USING (doc_id) GROUP BY ALL")
+_FOUND = f"WITH found AS (SELECT * FROM {_fold(0)} UNION ALL SELECT * FROM {_fold(1)})"
+
+
+@query("w04_doc_language", f"{_FOUND} SELECT lang, detected, count(*) AS n FROM documents JOIN found USING (doc_id) GROUP BY ALL")
 def w04(spark, sf_dir):
-    odd = table(spark, sf_dir, "documents").filter("doc_id % 2 = 1")
-    found = langid.detect(odd, ["doc_id"], "text", profiles(spark, sf_dir), LANGS)
-    return odd.select("doc_id", "lang").join(found, "doc_id").groupBy("lang", "detected").agg(F.count("*").alias("n"))
+    """All documents by true and detected language, each judged by profiles of the documents of the other parity."""
+    docs = table(spark, sf_dir, "documents")
+    found = langid.detect_crossed(docs, "doc_id", F.col("doc_id") % 2, [0, 1], LANGS)
+    return docs.select("doc_id", "lang").join(found, "doc_id").groupBy("lang", "detected").agg(F.count("*").alias("n"))
 
 
-@query("w04_keep_language", f"{_ODD} SELECT doc_id FROM found WHERE detected = '{TARGET}'")
+@query("w04_keep_language", f"{_FOUND} SELECT doc_id FROM found WHERE detected = '{TARGET}'")
 def w04_keep(spark, sf_dir):
-    odd = table(spark, sf_dir, "documents").filter("doc_id % 2 = 1")
-    return langid.keep_language(odd, TARGET, profiles(spark, sf_dir), LANGS).select("doc_id")
+    found = langid.detect_crossed(table(spark, sf_dir, "documents"), "doc_id", F.col("doc_id") % 2, [0, 1], LANGS)
+    return found.filter(F.col("detected") == TARGET).select("doc_id")
 
 
 @query("w04_language_chars")
 def w04_chars(spark, sf_dir):
     """Character grams of 1 to 3 instead of words: documents by true and detected language."""
     docs = table(spark, sf_dir, "documents").select("doc_id", "lang", "text")
-    chars = langid.profile(docs.filter("doc_id % 2 = 0").select("lang", "text"), LANGS, "char")
-    odd = docs.filter("doc_id % 2 = 1")
-    found = langid.detect(odd, ["doc_id"], "text", chars, LANGS, "char")
-    return odd.select("doc_id", "lang").join(found, "doc_id").groupBy("lang", "detected").agg(F.count("*").alias("n"))
+    found = langid.detect_crossed(docs, "doc_id", F.col("doc_id") % 2, [0, 1], LANGS, "char")
+    return docs.select("doc_id", "lang").join(found, "doc_id").groupBy("lang", "detected").agg(F.count("*").alias("n"))
 
 
 def _vote_sql() -> str:
@@ -226,7 +229,7 @@ def w07_simhash(spark, sf_dir):
     return dedup.simhash_pairs(table(spark, sf_dir, "documents"), "doc_id")
 
 
-@query("w07_near_vectors")
+@query("w07_near_vectors", "SELECT a.vec_id AS id, b.vec_id AS other, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS cosine FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) >= 0.9")
 def w07_vectors(spark, sf_dir):
     return dedup.near_vectors(table(spark, sf_dir, "embeddings"), "vec_id", "embedding")
 
@@ -262,8 +265,8 @@ def w08(spark, sf_dir):
 md5('Text:' || chr(10) || text) AS zero FROM shown""")
 def w08_prompts(spark, sf_dir):
     calls, shown = qa.plan_calls(qa.qa_pool(collect.document_views(table(spark, sf_dir, "documents")), TARGET)), qa.exemplar_table(spark)
-    one = qa.one_shot(calls, shown).withColumn("zero", F.concat(F.lit("Text:\n"), "text"))
-    return one.select("call", F.md5(F.col("prompt").cast("binary")).alias("one"), F.md5(F.col("zero").cast("binary")).alias("zero"))
+    digest = lambda k, name: qa.one_shot(calls, shown, shots=k).select("call", F.md5(F.col("prompt").cast("binary")).alias(name))
+    return digest(1, "one").join(digest(0, "zero"), "call")
 
 
 @query("w08_single_view", f"""WITH {sql.calls(TARGET)} SELECT view, count(*) AS calls, count(*) FILTER (well_formed) AS pairs, count(DISTINCT question) AS questions FROM parsed GROUP BY view""")
@@ -299,7 +302,15 @@ def w11(spark, sf_dir):
     return pairs.select("conv_id", "turn", value.alias("v")).select("conv_id", "turn", F.round("v", 6).alias("overlap"), filters.f_overlap(F.col("v")).alias("keep"))
 
 
-@query("w11_overlap_variants")
+_VARIANTS = {"question": "len(x)", "text": "len(y)", "union": "len(list_distinct(list_concat(x, y)))", "min": "least(len(x), len(y))"}
+
+
+@query("w11_overlap_variants", f"""WITH q AS (SELECT {sql.norm('u.text')} AS a, {sql.norm('r.text')} AS b, {sql.words('u.text')} AS wa, {sql.words('r.text')} AS wb FROM conversations u JOIN conversations r
+  ON r.conv_id = u.conv_id AND r.turn = u.turn + 1 AND u.role = 'user' AND r.role = 'assistant'),
+g AS (SELECT 'char' AS unit, {sql.char_grams('a')} AS x, {sql.char_grams('b')} AS y FROM q UNION ALL SELECT 'word',
+  list_distinct(list_transform(range(1, len(wa) - 2), lambda i: array_to_string(wa[i:i + 3], ' '))), list_distinct(list_transform(range(1, len(wb) - 2), lambda i: array_to_string(wb[i:i + 3], ' '))) FROM q),
+v AS ({' UNION ALL '.join(f"SELECT unit, '{d}' AS denom, len(list_intersect(x, y)) / nullif({e}, 0)::DOUBLE AS v FROM g" for d, e in _VARIANTS.items())})
+SELECT unit, denom, t::DOUBLE AS threshold, count(*) AS pairs, count(*) FILTER (v >= t::DOUBLE) AS kept FROM v, (VALUES (0.06), (0.12), (0.24)) AS h(t) GROUP BY ALL""")
 def w11_variants(spark, sf_dir):
     """Pairs kept by unit, denominator and threshold: how the unstated choices move the filter."""
     pairs = training.conversation_pairs(table(spark, sf_dir, "conversations"))
@@ -326,7 +337,9 @@ def w13(spark, sf_dir):
     return filters.attrition(judged(spark, sf_dir))
 
 
-@query("w13_independent")
+@query("w13_independent", f"""WITH {sql.cascade(TARGET, 'independent')}, f AS (SELECT coalesce(reasons[1], 'kept') AS reason, count(*) AS sequential FROM judged GROUP BY 1),
+i AS (SELECT unnest(CASE WHEN kept THEN ['kept'] ELSE reasons END) AS reason FROM judged)
+SELECT i.reason, coalesce(any_value(sequential), 0) AS sequential, count(*) AS independent FROM i LEFT JOIN f USING (reason) GROUP BY i.reason""")
 def w13_independent(spark, sf_dir):
     """Attrition when each filter sees all pairs."""
     return filters.attrition(judged(spark, sf_dir, mode="independent"))
@@ -468,15 +481,15 @@ def w18(spark, sf_dir):
 
 
 @query("w19_budget_curve", f"""WITH {_VIEWS}, o AS (SELECT image_id, plain AS text, {sql.u('image_id', 'budget')} AS v FROM crawl WHERE lang = '{TARGET}'),
-test AS (SELECT w, count(*) AS times FROM (SELECT unnest({sql.words('text')}) AS w FROM documents WHERE lang = '{TARGET}' AND doc_id % 2 = 1) GROUP BY w),
+test AS (SELECT w, count(*) AS times FROM (SELECT unnest({sql.words('text')}) AS w FROM documents WHERE lang = '{TARGET}') GROUP BY w),
 tr AS (SELECT s AS budget, unnest({sql.words('text')}) AS w FROM o, (VALUES (0.0), (0.2), (1.0)) AS b(s) WHERE v < s),
 c AS (SELECT budget, w, count(*) AS n FROM tr GROUP BY ALL),
 z AS (SELECT s AS budget, coalesce(sum(n), 0) AS total, count(n) AS size FROM (VALUES (0.0), (0.2), (1.0)) AS b(s) LEFT JOIN c ON budget = s GROUP BY s)
 SELECT z.budget::DOUBLE AS budget, sum(round(-10000 * ln((coalesce(n, 0) + 1)::DOUBLE / (total + size + 1)))::BIGINT * times)::BIGINT AS cost, sum(times)::BIGINT AS n_words FROM z CROSS JOIN test LEFT JOIN c ON c.budget = z.budget AND c.w = test.w GROUP BY z.budget""")
 def w19(spark, sf_dir):
-    """Cost of held-out target text to the proxy student by transcription budget."""
+    """Cost of all documents of the target language to the proxy student of pages by transcription budget."""
     pages = collect.page_views(table(spark, sf_dir, "pages")).filter(F.col("lang") == TARGET).select("image_id", F.col("plain").alias("text"))
-    test = table(spark, sf_dir, "documents").filter((F.col("lang") == TARGET) & (F.col("doc_id") % 2 == 1)).select("text")
+    test = table(spark, sf_dir, "documents").filter(F.col("lang") == TARGET).select("text")
     from doccurate.functions.keys import uniform
 
     out = None
@@ -488,14 +501,15 @@ def w19(spark, sf_dir):
 
 @query("w20_filter_ablation")
 def w20(spark, sf_dir):
-    """Filters on and off: mean label quality of documents whose pairs stay, and cost of held-out text to a student of the questions."""
+    """Filters on and off: mean label quality of documents whose pairs stay, and cost of pages of the test split to a student of the training questions."""
     labels = table(spark, sf_dir, "labels").groupBy("doc_id").agg(F.min("quality").alias("quality"))
-    rows = keeper(spark)(judged(spark, sf_dir).select("image_id", "question", "answer", "kept"))
-    test = table(spark, sf_dir, "documents").filter((F.col("lang") == TARGET) & (F.col("doc_id") % 2 == 1)).select("text")
+    rows = keeper(spark)(qa.split_by_image(judged(spark, sf_dir)).select("image_id", "question", "answer", "kept", "split"))
+    pool = qa.split_by_image(qa.qa_pool(collect.document_views(table(spark, sf_dir, "documents")), TARGET))
+    test = pool.filter("split = 'test'").select(F.col("view_parse").alias("text"))
     out = None
     for name, some in (("off", rows), ("on", rows.filter("kept"))):
         source = some.withColumn("doc_id", F.split("image_id", ":")[1].cast("long")).join(labels, "doc_id")
-        one = source.agg(F.count("*").alias("labelled_pairs"), F.round(F.avg("quality"), 6).alias("quality")).crossJoin(training.unigram_bits(some.select(F.concat_ws(" ", "question", "answer").alias("text")), test))
+        one = source.agg(F.count("*").alias("labelled_pairs"), F.round(F.avg("quality"), 6).alias("quality")).crossJoin(training.unigram_bits(some.filter("split = 'train'").select(F.concat_ws(" ", "question", "answer").alias("text")), test))
         one = one.select(F.lit(name).alias("filters"), "labelled_pairs", "quality", "cost", "n_words")
         out = one if out is None else out.unionByName(one)
     return out

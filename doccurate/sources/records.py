@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -11,6 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
 from doccurate.plans.registry import query
+from doccurate.sources.tables import shared_folder
 
 _MARK = b"WARC/1.0\r\n"
 
@@ -77,8 +77,7 @@ def write_archives(pages: DataFrame, path: str, files: int = 4) -> None:
 
 
 def _folder(spark: SparkSession) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}"
-    return f"{base.rstrip('/')}/sink-{uuid.uuid4().hex}"
+    return f"{shared_folder(spark)}/sink-{uuid.uuid4().hex}"
 
 
 @query("op_source_archives", "SELECT url, strlen(html) AS bytes, md5(html) AS body FROM pages")

@@ -2,6 +2,10 @@
 
 from __future__ import annotations
 
+import atexit
+import shutil
+import tempfile
+
 from pyspark.sql import DataFrame, SparkSession
 
 #: Columns that the methods use, by table; the Parquet footer is checked against them.
@@ -20,3 +24,19 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     if wrong := {c: (t, found.get(c)) for c, t in SCHEMAS.get(name, {}).items() if found.get(c) != t}:
         raise TypeError(f"{name} has other columns than declared: {wrong}")
     return df
+
+
+_own_folder: list[str] = []
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share (``spark.checkpoint.dir``); in local mode a temporary one where that is unset."""
+    found = spark.conf.get("spark.checkpoint.dir", None)
+    if not found:
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("spark.checkpoint.dir must name a folder that driver and executors share")
+        if not _own_folder:
+            _own_folder.append(tempfile.mkdtemp(prefix="doccurate-"))
+            atexit.register(shutil.rmtree, _own_folder[0], ignore_errors=True)
+        found = f"file://{_own_folder[0]}"
+    return found.rstrip("/")

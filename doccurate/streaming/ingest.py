@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Iterator
 
@@ -12,6 +11,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from doccurate.plans.registry import query
+from doccurate.sources.tables import shared_folder
 
 
 def event_stream(spark: SparkSession, sf_dir: str, delay: str = "10 minutes") -> DataFrame:
@@ -25,7 +25,7 @@ def event_stream(spark: SparkSession, sf_dir: str, delay: str = "10 minutes") ->
 def drained(spark: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
     """All that a stream gives for the files there are, in a memory table."""
     name = f"drained_{uuid.uuid4().hex}"
-    where = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/doccurate-stream"
+    where = shared_folder(spark)
     run = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", f"{where.rstrip('/')}/{name}").trigger(availableNow=True).start()
     run.awaitTermination()
     return spark.table(name)
@@ -83,7 +83,7 @@ def join_stream(spark, sf_dir):
 def late(spark, sf_dir):
     """Rows behind the watermark are counted from the stream's progress, not lost silently."""
     name = f"late_{uuid.uuid4().hex}"
-    where = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.gettempdir()}/doccurate-stream"
+    where = shared_folder(spark)
     run = windowed(event_stream(spark, sf_dir)).writeStream.outputMode("append").format("memory").queryName(name).option("checkpointLocation", f"{where.rstrip('/')}/{name}").trigger(availableNow=True).start()
     run.awaitTermination()
     dropped = sum(s.numRowsDroppedByWatermark for p in run.recentProgress for s in p.stateOperators)
@@ -91,10 +91,13 @@ def late(spark, sf_dir):
 
 
 class SeenCounter(StatefulProcessor):
-    """Counts a user's events; the count is given with each batch and kept for a time to live."""
+    """Counts a user's events; the count is given with each batch and kept for a time to live, if there is one (processing time)."""
+
+    def __init__(self, ttl_ms: int | None = None):
+        self.ttl_ms = ttl_ms
 
     def init(self, handle: StatefulProcessorHandle) -> None:
-        self.count = handle.getValueState("count", "n long", ttlDurationMs=7 * 24 * 3600 * 1000)
+        self.count = handle.getValueState("count", "n long", ttlDurationMs=self.ttl_ms)
 
     def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
         n = (self.count.get()[0] if self.count.exists() else 0) + sum(len(r) for r in rows)
@@ -105,6 +108,20 @@ class SeenCounter(StatefulProcessor):
         pass
 
 
+@query("op_stream_stateful", "SELECT user_id, count(*) AS n FROM events GROUP BY user_id")
+def stateful(spark, sf_dir):
+    """Events counted by user in a state of its own; the last count given for each user. Without a time to live, whose
+    checks would keep a query over the files there are from ending."""
+    store = "spark.sql.streaming.stateStore.providerClass"
+    before = spark.conf.get(store, None)
+    spark.conf.set(store, "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")  # which such state needs
+    try:
+        counts = event_stream(spark, sf_dir).select("user_id").groupBy("user_id").transformWithStateInPandas(SeenCounter(), "user_id long, n long", "Update", "None")
+        return drained(spark, counts, "update").groupBy("user_id").agg(F.max("n").alias("n"))
+    finally:
+        spark.conf.set(store, before) if before else spark.conf.unset(store)
+
+
 @query("w23_stream_ingest", "SELECT md5(trim(regexp_replace(lower(text), '[^\\p{L}\\p{N}]+', ' ', 'g'))) AS fp, count(*) AS copies FROM documents WHERE length(text) >= 100 GROUP BY ALL")
 def ingest(spark, sf_dir):
     """Documents as they arrive: length filter, fingerprint, copies of each; equals the batch answer after the drain."""

@@ -266,3 +266,99 @@ def test_clusters_use_links_that_no_band_proposes(spark, tmp_path):
     spark.createDataFrame([(k, t, "en", "s", len(t)) for k, t in rows], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
     found = {(r.node, r.root) for r in __spark_entry__.queries()["w07_clusters"](spark, str(tmp_path)).collect()}
     assert found == {(x, 2 * k) for k in range(600) for x in (2 * k, 2 * k + 1)}
+
+
+def test_vectors_against_all_pairs(spark):
+    rng = random.Random(1)
+    base = [[rng.gauss(0, 1) for _ in range(24)] for _ in range(30)]
+    rows = [(k, [x + rng.gauss(0, 0.25) for x in base[k % 30]]) for k in range(150)] + [(200, None), (201, [0.0] * 24), (202, [1.0] * 3)]
+    cosine = lambda a, b: sum(x * y for x, y in zip(a, b, strict=True)) / math.sqrt(sum(x * x for x in a) * sum(y * y for y in b))
+    expected = {(a, b) for (a, x), (b, y) in itertools.combinations(rows[:150], 2) if round(cosine(x, y), 6) >= 0.9}
+    found = dedup.near_vectors(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), "vec_id", "embedding")
+    assert {(r.id, r.other) for r in found.collect()} == expected and len(expected) > 100
+
+
+def test_simhash_pairs_against_all_pairs(spark):
+    rng = random.Random(2)
+    say = lambda n: [f"w{rng.randint(0, 400)}" for _ in range(n)]
+    texts = []
+    for _ in range(25):
+        own = say(150)
+        for _ in range(4):
+            own = [*own[: (k := rng.randrange(150))], f"x{rng.random()}", *own[k + 1 :]]
+            texts.append(" ".join(own))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    fps = {r.doc_id: r.fp for r in df.select("doc_id", dedup.fp_simhash(F.col("text")).alias("fp")).collect()}
+    first = sorted({fp: k for k, fp in sorted(fps.items(), reverse=True)}.values())  # the least key of each fingerprint
+    expected = {(a, b) for a, b in itertools.combinations(first, 2) if ((fps[a] ^ fps[b]) & ((1 << 64) - 1)).bit_count() <= 3}
+    assert {(r.id, r.other) for r in dedup.simhash_pairs(df, "doc_id").collect()} == expected and len(expected) >= 5
+
+
+def test_leak_guard(spark):
+    say = lambda k, n: " ".join(f"w{(k * 37 + i * i) % 1000}" for i in range(n))
+    gold = spark.createDataFrame([(1, say(1, 30)), (2, say(2, 30)), (3, None), (4, "too short")], "item_id long, text string")
+    train = spark.createDataFrame([("a", say(3, 80)), ("b", f"{say(4, 40)} {say(1, 30)} {say(5, 9)}"), ("c", say(2, 30).upper()), ("d", None), ("e", "")], "image_id string, text string")
+    with pytest.raises(ValueError, match="2 test texts|3 test texts"):
+        dedup.assert_disjoint(train, gold, "image_id", "item_id")
+    clean = dedup.without_leaks(train, gold, "image_id", "item_id")
+    assert clean.columns == train.columns and {"a"} <= {r.image_id for r in clean.collect()} <= {"a", "d", "e"}
+    dedup.assert_disjoint(clean.filter("text <> ''"), gold, "image_id", "item_id")
+
+
+def test_near_disjoint_sets(spark):
+    say = lambda k, n: " ".join(f"w{(k * 37 + i * i) % 1000}" for i in range(n))
+    rows = lambda *texts: spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "key long, text string")
+    near = say(1, 40).split()
+    near[20] = "changed"
+    sets = [("gold", 0, rows(say(1, 40))), ("own", 1, rows(" ".join(near[:33]) + " " + say(9, 20), say(7, 40))), ("corpus", 2, rows(f"{say(8, 30)} {say(1, 40)}", say(7, 40), say(6, 30)))]
+    kept = {(r.dataset, r.key) for r in dedup.disjoint_near(sets).collect()}
+    assert kept == {("gold", "0"), ("own", "0"), ("own", "1"), ("corpus", "2")}  # own 0 has fewer than four fifths of the gold page
+    assert dedup.disjoint_near(sets[:1]).count() == 1
+
+
+def test_exact_split(spark):
+    for n in (0, 1, 7, 500):
+        df = spark.createDataFrame([(f"i{k}",) for k in range(n) for _ in range(2)], "image_id string")
+        for bits in (3, 16):
+            rows = qa.split_exact(df, bits=bits).collect()
+            assert len(rows) == 2 * n
+            sizes = {s: len({r.image_id for r in rows if r.split == s}) for s in qa.RATIOS}
+            first, second = round(n * 0.8956), round(n * (0.8956 + 0.0527))
+            assert list(sizes.values()) == [first, second - first, n - second]
+
+
+def test_paging_by_lines_and_form_feeds(spark):
+    df = spark.createDataFrame([(1, "a\nb\fc", "en"), (2, None, "en"), (3, "", None)], "doc_id long, text string, lang string")
+    pages = lambda by: sorted((r.doc_id, r.page_no, r.page_text) for r in collect.paginate(df, by=by).collect())
+    assert pages("lines") == [(1, 0, "a"), (1, 1, "b\fc"), (2, 0, ""), (3, 0, "")]
+    assert pages("form_feed") == [(1, 0, "a\nb"), (1, 1, "c"), (2, 0, ""), (3, 0, "")]
+
+
+def test_translation_there_and_back(spark):
+    text = "Nous avons signé la lettre hier. Le chat dort, dit-elle ~!"
+    there, back = gold.coded_translator(share=0.6)
+    moved = one(spark, there(F.lit(text)))
+    assert moved != text and one(spark, back(F.lit(moved))) == text
+    items = spark.createDataFrame([(1, text), (2, None), (3, "")], "item_id long, text string")
+    rows = {r.item_id: r for r in gold.translated_pairs(items, there, back).collect()}
+    assert rows[1].question == "Nous avons signé ?" and rows[1].answer == "la lettre hier" and (rows[1].question_read, rows[1].answer_read) != (rows[1].question, rows[1].answer)
+    assert rows[2].question is None and rows[3].question is None
+
+
+def test_students(spark):
+    rows = spark.createDataFrame([("base", str(k), "a b c") for k in range(8)] + [("more", str(k), "d e") for k in range(8)] + [("more", "n", None)], "part string, key string, text string")
+    members = spark.createDataFrame([(0, "base"), (1, "base"), (1, "more")], "cell int, part string")
+    test = spark.createDataFrame([("d d",), ("",), (None,)], "text string")
+    cost = {r.cell: r for r in training.student_costs(training.part_counts(rows), members, test).collect()}
+    assert [cost[c].single for c in (0, 1)] == [2 * round(-10000 * math.log(1 / (24 + 3 + 1))), 2 * round(-10000 * math.log(9 / (40 + 5 + 1)))]
+    assert all(r.single == r.averaged and r.n_words == 2 for r in cost.values())  # one checkpoint is its own mean
+    dealt = {r.cell: r for r in training.student_costs(training.part_counts(rows, 4), members, test).collect()}
+    assert all(r.averaged <= r.single for r in dealt.values())  # a mean of chances costs no more than the mean cost
+
+
+def test_filter_scores(spark):
+    rows = spark.createDataFrame([(1, False), (1, True), (0, False), (0, True), (None, False), (1, False)], "bad int, kept boolean")
+    r = filters.filter_scores(rows, F.col("bad") == 1).first()
+    assert (r.tp, r.fp, r.fn, r.precision, r.recall, r.f1) == (2, 1, 1, 0.666667, 0.666667, 0.666667)
+    empty = filters.filter_scores(rows.limit(0), F.col("bad") == 1).first()
+    assert empty.tp == 0 and empty.f1 is None
