@@ -70,6 +70,10 @@ class Scratch:
             where.getFileSystem(conf).delete(where, True)
         self.paths = []
 
+    def sweep(self) -> None:
+        """Have the driver collect garbage now: executors then delete the shuffle files of plans that nothing refers to."""
+        self.spark.sparkContext._jvm.System.gc()
+
 
 def fresh(names: list[str], *wanted: str) -> list[str]:
     """The wanted column names, with underscores before those that names has already (in any case)."""

@@ -503,14 +503,17 @@ def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5
 
     spread = own.select("node", "size", F.posexplode("first").alias("place", "gram")).select("gram", "node", "size", "place")
     spread = keep(_buckets(spread, shared, "gram long, node long, size int, place int"), "shared")
+    keep.sweep()
     marked = spread.join(own.select("node", "mark"), "node").select("gram", "node", "size", "place", F.col("node").alias("root"), "mark")
     spread = keep(_buckets(marked, opened, "gram long, node long, size int, place int, root long, mark binary"), "open")
+    keep.sweep()
     near = keep(_confirmed(keep(_proposed(spread, _nearest), "nearest"), texts, words, keep), "near")
     roots = components(spark, near)
     apart = spread.drop("root").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     rest = keep(_proposed(apart, _across), "across")
     found = materialise(spark, near.union(_confirmed(rest, texts, words, keep)), "found")
     keep.drop()
+    keep.sweep()
     sent.unpersist()
     return found
 
