@@ -78,6 +78,15 @@ def jaccard(a: Column, b: Column) -> Column:
     return overlap(F.array_distinct(words(a)), F.array_distinct(words(b)), "union")
 
 
+def gram_cosine(a: Column, b: Column, dims: int = 64, n: int = 3) -> Column:
+    """Cosine of two short texts' vectors of character gram counts, hashed by md5 to so many places; null if either has no gram."""
+    place = lambda g: F.conv(F.substring(F.md5(g.cast("binary")), 1, 8), 16, 10).cast("long") % dims
+    counts = lambda ps: F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.size(F.filter(ps, lambda p: p == i)).cast("double"))
+    vector = lambda t: bound(F.transform(grams(t, n, distinct=False), place), counts)
+    dot = lambda x, y: F.aggregate(F.zip_with(x, y, lambda p, q: p * q), F.lit(0.0), lambda s, v: s + v)
+    return bound(vector(a), lambda x: bound(vector(b), lambda y: F.try_divide(dot(x, y), F.sqrt(dot(x, x) * dot(y, y)))))
+
+
 def token_f1(prediction: Column, reference: Column) -> Column:
     """Harmonic mean of precision and recall of distinct words."""
     p, r = F.array_distinct(words(prediction)), F.array_distinct(words(reference))

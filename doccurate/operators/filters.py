@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from doccurate.functions.text import bound, computed, edit_ratio, grams, jaccard, norm, overlap
+from doccurate.functions.text import bound, computed, edit_ratio, gram_cosine, grams, jaccard, norm, overlap
 from doccurate.operators.langid import detect
 
 #: Reasons in the order of the cascade, cheap ones first; the paraphrase test sees survivors only.
@@ -46,22 +46,73 @@ def close_edit(tau: float = 0.8) -> Judge:
     return lambda a, b: edit_ratio(norm(a), norm(b)) >= tau
 
 
-def f_paraphrase(pairs: DataFrame, judge: Judge, keep: str = "first", closure: str = "transitive", page: str = "image_id") -> DataFrame:
+def close_vectors(tau: float = 0.8, dims: int = 64) -> Judge:
+    """Cosine of hashed gram vectors, a stand-in of a trained embedding; false where a text has no gram."""
+    return lambda a, b: F.coalesce(gram_cosine(a, b, dims) >= tau, F.lit(False))
+
+
+Ask = Callable[[list[str], list[str]], list[bool]]
+
+
+def external_verdicts(pairs: DataFrame, ask: Ask, cache: DataFrame | None = None, page: str = "image_id") -> DataFrame:
+    """a, b, same: verdicts of an outside judge over the pairs a < b of different questions of one page.
+
+    A distinct pair is asked once, and not at all where cache(a, b, same) has it; the result can be the next call's cache once it is
+    written. Null questions aren't asked. A page has at most as many questions as it had calls.
+    """
+    q = pairs.filter("question is not null").select(page, "question").distinct()
+    both = q.withColumnRenamed("question", "a").join(q.withColumnRenamed("question", "b"), page).filter("a < b").select("a", "b").distinct()
+
+    def run(batches):
+        for some in batches:
+            yield some.assign(same=[bool(x) for x in ask(some["a"].tolist(), some["b"].tolist())])
+
+    schema = "a string, b string, same boolean"
+    if cache is None:
+        return both.mapInPandas(run, schema)
+    known = cache.groupBy("a", "b").agg(F.max("same").alias("same"))
+    return both.join(known, ["a", "b"], "left_anti").mapInPandas(run, schema).unionByName(both.join(known, ["a", "b"]))
+
+
+def by_verdicts() -> Judge:
+    """Judge by the verdicts given to f_paraphrase; equal questions are the same."""
+    link = lambda a, b: F.struct(F.least(a, b).alias("a"), F.greatest(a, b).alias("b"))
+    return lambda a, b: (a == b) | F.coalesce(F.array_contains("links", link(a, b)), F.lit(False))
+
+
+def _page_links(pairs: DataFrame, verdicts: DataFrame, page: str) -> DataFrame:
+    """page, links: the pairs of each page's questions that verdicts(a, b, same) call the same."""
+    q = pairs.select(page, "question").distinct()
+    both = q.withColumnRenamed("question", "a").join(q.withColumnRenamed("question", "b"), page).filter("a < b")
+    return both.join(verdicts.filter("same").select("a", "b").distinct(), ["a", "b"]).groupBy(page).agg(F.collect_set(F.struct("a", "b")).alias("links"))
+
+
+def judge_calls(pairs: DataFrame, page: str = "image_id") -> DataFrame:
+    """One row: pages, pairs, and comparisons that a paraphrase judge is asked for (pairs of pairs of one page)."""
+    each = pairs.groupBy(page).agg(F.count("*").alias("n"))
+    zero = lambda c: F.coalesce(c, F.lit(0)).cast("long")
+    return each.agg(F.count("*").alias("pages"), zero(F.sum("n")).alias("pairs"), zero(F.sum(F.expr("n * (n - 1) div 2"))).alias("comparisons"))
+
+
+def f_paraphrase(pairs: DataFrame, judge: Judge, keep: str = "first", closure: str = "transitive", page: str = "image_id", verdicts: DataFrame | None = None) -> DataFrame:
     """pairs with ``duplicate``: whether an other question of the page that paraphrases this one is kept instead.
 
     A page has at most as many pairs as it had calls, so its questions are compared inside one array.
     keep: first (by view and slot, ``parse`` before ``ocr``), longest (question), or none of a group; closure: transitive, or greedy (against kept ones).
+    A null question paraphrases none. verdicts: of external_verdicts, for the judge by_verdicts.
     """
     rank = F.when(F.col("view") == "parse", 0).otherwise(1) * 1000 + F.col("slot")
     rank = rank if keep != "longest" else F.struct(-F.length("question"), rank)
     groups = pairs.groupBy(page).agg(F.array_sort(F.collect_list(F.struct(rank.alias("rank"), "qa_id", "question"))).alias("qs"))
+    if verdicts is not None:
+        groups = groups.join(_page_links(pairs, verdicts, page), page, "left")
     qs = F.col("qs")
     if closure == "greedy":
-        kept = F.aggregate(qs, F.slice(qs, 1, 0), lambda done, q: F.when(F.exists(done, lambda d: judge(d.question, q.question)), done).otherwise(F.concat(done, F.array(q))))
+        kept = F.aggregate(qs, F.slice(qs, 1, 0), lambda done, q: F.when(F.exists(done, lambda d: F.coalesce(judge(d.question, q.question), F.lit(False))), done).otherwise(F.concat(done, F.array(q))))
         groups = groups.withColumn("kept", F.transform(kept, lambda q: q.qa_id))
     else:
         # Each question's least linked position, followed down to a root. Groups are tiny, the judge's matrix is made once.
-        linked = F.transform(qs, lambda q: F.transform(qs, lambda p: judge(p.question, q.question)))
+        linked = F.transform(qs, lambda q, i: F.transform(qs, lambda p, j: (i == j) | F.coalesce(judge(p.question, q.question), F.lit(False))))
         least = lambda m, ls: F.transform(m, lambda row: F.array_min(F.filter(ls, lambda _, j: F.get(row, j))))
         labels = bound(linked, lambda m: bound(least(m, F.transform(m, lambda _, i: i)), lambda one: bound(least(m, one), lambda two: least(m, two))))
         alone = lambda ls, i: F.size(F.filter(ls, lambda x: x == i)) == 1

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 from doccurate.operators import relational  # noqa: F401
-from doccurate.plans import ablations, workloads  # noqa: F401
+from doccurate.plans import ablations, measures, workloads  # noqa: F401
 from doccurate.plans.registry import ORACLES, QUERIES
 from doccurate.sources import records  # noqa: F401
 from doccurate.streaming import ingest  # noqa: F401

@@ -362,3 +362,56 @@ def test_filter_scores(spark):
     assert (r.tp, r.fp, r.fn, r.precision, r.recall, r.f1) == (2, 1, 1, 0.666667, 0.666667, 0.666667)
     empty = filters.filter_scores(rows.limit(0), F.col("bad") == 1).first()
     assert empty.tp == 0 and empty.f1 is None
+
+
+def test_gram_cosine(spark):
+    from collections import Counter
+    from hashlib import md5
+
+    def vector(t):
+        return Counter(int(md5(t[i : i + 3].encode()).hexdigest()[:8], 16) % 64 for i in range(len(t) - 2))
+
+    a, b = "where is the port", "where was the old port"
+    x, y = vector(a), vector(b)
+    want = sum(x[k] * y[k] for k in x) / math.sqrt(sum(v * v for v in x.values()) * sum(v * v for v in y.values()))
+    assert one(spark, text.gram_cosine(F.lit(a), F.lit(b))) == pytest.approx(want)
+    assert one(spark, text.gram_cosine(F.lit("ab"), F.lit(b))) is None
+    assert one(spark, filters.close_vectors()(F.lit(a), F.lit(a.upper()))) and not one(spark, filters.close_vectors()(F.lit(""), F.lit("")))
+    assert not one(spark, filters.close_edit()(F.lit("abc"), F.lit("abd"))) and one(spark, filters.close_edit(0.6)(F.lit("abc"), F.lit("abd")))
+
+
+def test_external_judge(spark):
+    """Distinct pairs are asked once, known ones not at all; verdicts rule as a judge in columns does."""
+    asked = spark.sparkContext.accumulator(0)
+
+    def ask(a, b):
+        asked.add(len(a))
+        return [x.lower() == y.lower() for x, y in zip(a, b)]
+
+    qs = [("p", "parse", 0, "Who?"), ("p", "parse", 1, "who?"), ("p", "ocr", 0, "WHO?"), ("p", "ocr", 1, "Where?"), ("r", "parse", 0, "Who?"), ("r", "ocr", 0, "who?"), ("r", "ocr", 1, None)]
+    rows = spark.createDataFrame([(f"{i}{v}{s}", i, v, s, q) for i, v, s, q in qs], "qa_id string, image_id string, view string, slot int, question string")
+    told = [tuple(r) for r in filters.external_verdicts(rows, ask).collect()]
+    assert asked.value == len(told) == 6 and sum(t[2] for t in told) == 3
+    cache = spark.createDataFrame(told, "a string, b string, same boolean")
+    assert sorted(map(tuple, filters.external_verdicts(rows, ask, cache).collect())) == sorted(told) and asked.value == 6
+    by_ask = filters.f_paraphrase(rows, filters.by_verdicts(), verdicts=cache)
+    assert {r.qa_id for r in by_ask.filter("duplicate").collect()} == {"pparse1", "pocr0", "rocr0"}
+    assert tuple(filters.judge_calls(rows).first()) == (2, 7, 9) and tuple(filters.judge_calls(rows.limit(0)).first()) == (0, 0, 0)
+    assert filters.external_verdicts(rows.limit(0), ask).count() == 0
+
+
+def test_hashed_students(spark):
+    data = [(str(i), "good fine words here" if i % 2 else "bad poor words there", i % 2) for i in range(300)] + [("n", None, 1), ("m", "x", None)]
+    rows = spark.createDataFrame(data, "key string, text string, label int")
+    found = {r.student: r for r in training.hashed_students(rows, seeds=2).collect()}
+    assert set(found) == {"seed0", "seed1", "mean"} and all(r.accuracy == 1.0 and r.majority < r.n for r in found.values())
+    assert training.hashed_students(rows.filter("label = 1"), seeds=2).count() == 0 and training.hashed_students(rows.limit(0), seeds=1).count() == 0
+
+
+def test_costs(spark):
+    from doccurate.operators import costs
+
+    build = lambda: spark.range(1000).groupBy((F.col("id") % 10).alias("k")).count()
+    name, n, took, speed, shuffled, spilled = costs.measured(spark, "x", build, 1000)
+    assert (name, n, spilled) == ("x", 10, 0) and took > 0 and speed > 10 and shuffled > 0
+    assert costs.as_table(spark, [costs.measured(spark, "none", lambda: spark.range(0))]).first().out_rows == 0
