@@ -9,7 +9,7 @@ with nothing exchanged. After ROUNDS rounds a symbol covers 8 words at most and
 Each window of ``width`` words picks the interior symbol whose name comes first in a hashed order
 (leftmost of equals). That symbol with LEFT words before its start and RIGHT after it is a phrase
 that every equal window has too. So phrases that occur once rule all their windows out, and only
-windows of repeated phrases are named and counted, exactly. Windows that touch a run of RUN or more equal
+windows of repeated phrases are counted, by 128-bit names, so that no two different windows meet. Windows that touch a run of RUN or more equal
 symbols, whose parse may reach further, go to that count directly; an equal window whose neighbours don't extend the run
 touches none, so phrases at all places that it could choose are sent for them too.
 
@@ -40,7 +40,7 @@ from doccurate.llm.token_store import mix
 ROUNDS, RUN, LEFT, RIGHT = 3, 4, 5, 13
 UNIT_BYTES, PART_BYTES = 4 << 20, 16 << 20
 _BASE = np.uint64(0x5851F42D4C957F2D)
-_BACK = np.uint64(pow(int(_BASE), -1, 1 << 64))
+_CHECK = np.uint64(0x2545F4914F6CDD1D)
 
 
 class _Names(dict):
@@ -56,6 +56,20 @@ class _Names(dict):
 _names = _Names()
 
 
+def _lane(names: np.ndarray, base: np.uint64) -> tuple[np.ndarray, np.ndarray]:
+    """Powers of an odd base, and running sums of the names by the powers of its inverse."""
+    with np.errstate(over="ignore"):
+        powers, back = np.full(len(names) + 1, base), np.full(len(names), np.uint64(pow(int(base), -1, 1 << 64)))
+        powers[:1] = back[:1] = 1
+        sums = np.add.accumulate(names * np.multiply.accumulate(back))
+        return np.multiply.accumulate(powers), np.concatenate([np.zeros(1, np.uint64), sums])
+
+
+def _of_lane(powers: np.ndarray, sums: np.ndarray, at: np.ndarray, length: int) -> np.ndarray:
+    with np.errstate(over="ignore"):
+        return mix((sums[at + length] - sums[at]) * powers[at], length)
+
+
 class Unit:
     """The words of some documents as names, with the parse and the windows over them."""
 
@@ -66,20 +80,17 @@ class Unit:
         self.starts = np.concatenate([[0], np.cumsum(self.lengths)])
         n = int(self.starts[-1])
         self.names = np.fromiter((_names[x] for w in self.words for x in w), np.uint64, n)
-        with np.errstate(over="ignore"):
-            powers = np.full(n + 1, _BASE)
-            powers[:1] = 1
-            self.powers = np.multiply.accumulate(powers)
-            back = np.full(n, _BACK)
-            back[:1] = 1
-            self.sums = np.concatenate([np.zeros(1, np.uint64), np.add.accumulate(self.names * np.multiply.accumulate(back))])
+        self.lane = _lane(self.names, _BASE)
         room = np.repeat(self.starts[1:], self.lengths) - np.arange(n)
         self.valid = np.flatnonzero(room >= width)
 
     def hashes(self, at: np.ndarray, length: int) -> np.ndarray:
         """A name for the ``length`` words from each position."""
-        with np.errstate(over="ignore"):
-            return mix((self.sums[at + length] - self.sums[at]) * self.powers[at], length)
+        return _of_lane(*self.lane, at, length)
+
+    def windows(self, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """128-bit names of the windows from these positions, as two halves; the second is of words named anew to another base."""
+        return self.hashes(at, self.width), _of_lane(*_lane(mix(self.names, 7), _CHECK), at, self.width)
 
     def parse(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """Names and starts of the last round's symbols, and a flag for each word inside a long run."""
@@ -143,22 +154,45 @@ class Unit:
         return self.hashes(starts - LEFT, LEFT + RIGHT)
 
 
-def _pack(values: np.ndarray, edges: np.ndarray, unit: int) -> Iterator[dict]:
-    """Sorted distinct values by range of values, with a bit for those that this unit has more than once."""
-    found, times = np.unique(values, return_counts=True)
-    cut = np.searchsorted(found, edges)
-    for k, (a, b) in enumerate(zip(cut[:-1].tolist(), cut[1:].tolist(), strict=True)):
-        if b > a:
-            yield {"part": k, "unit": unit, "names": found[a:b].tobytes(), "more": np.packbits(times[a:b] > 1).tobytes()}
+def _sorted(names: np.ndarray, checks: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+    """The order of names (of equal names, of checks), and a flag for the first of each distinct one in that order."""
+    order = np.argsort(names, kind="stable")
+    step = np.concatenate([[True], np.diff(names[order]) != 0])[: len(names)]
+    if checks is not None:
+        other = np.concatenate([[True], np.diff(checks[order]) != 0])[: len(names)]
+        if (other & ~step).any():  # a name that stands for two windows: rare
+            order = np.lexsort((checks, names))
+            step = np.concatenate([[True], (np.diff(names[order]) != 0) | (np.diff(checks[order]) != 0)])
+    return order, step
+
+
+def _numbers(names: np.ndarray, checks: np.ndarray | None = None) -> np.ndarray:
+    """For each name its number among the sorted distinct ones."""
+    order, step = _sorted(names, checks)
+    out = np.empty(len(names), np.int64)
+    out[order] = np.cumsum(step) - 1
+    return out
+
+
+def _pack(unit: int, edges: np.ndarray, names: np.ndarray, checks: np.ndarray | None = None) -> Iterator[dict]:
+    """Sorted distinct names by range of names, with a bit for those that this unit has more than once."""
+    order, step = _sorted(names, checks)
+    first = np.flatnonzero(step)
+    times, found = np.diff(np.append(first, len(names))), names[order[first]]
+    part = np.searchsorted(edges, found, side="right") - 1
+    cut = np.append(np.flatnonzero(np.diff(part, prepend=-1)), len(found)).tolist()
+    for a, b in zip(cut[:-1], cut[1:], strict=True):
+        told = None if checks is None else checks[order[first[a:b]]].tobytes()
+        yield {"part": int(part[a]), "unit": unit, "names": found[a:b].tobytes(), "checks": told, "more": np.packbits(times[a:b] > 1).tobytes()}
 
 
 def _edges(parts: int) -> np.ndarray:
-    """First value of each of ``parts`` equal ranges of 64-bit names, and the end."""
-    return np.array([*(k * (1 << 64) // parts for k in range(parts)), (1 << 64) - 1], np.uint64)
+    """First value of each of ``parts`` equal ranges of 64-bit names."""
+    return np.array([k * (1 << 64) // parts for k in range(parts)], np.uint64)
 
 
-_SENT = pa.schema([("part", pa.int32()), ("unit", pa.int64()), ("names", pa.binary()), ("more", pa.binary())])
-_SENT_SQL = "part int, unit long, names binary, more binary"
+_SENT = pa.schema([("part", pa.int32()), ("unit", pa.int64()), ("names", pa.binary()), ("checks", pa.binary()), ("more", pa.binary())])
+_SENT_SQL = "part int, unit long, names binary, checks binary, more binary"
 
 
 def _repeated(sent: DataFrame, parts: int) -> DataFrame:
@@ -169,9 +203,10 @@ def _repeated(sent: DataFrame, parts: int) -> DataFrame:
         if not rows:
             return
         values = [np.frombuffer(r[2], np.uint64) for r in rows]
-        more = [np.unpackbits(np.frombuffer(r[3], np.uint8), count=len(v)) for r, v in zip(rows, values, strict=True)]
-        _, back, times = np.unique(np.concatenate(values), return_inverse=True, return_counts=True)
-        twice = times + np.bincount(back, weights=np.concatenate(more)) >= 2
+        checks = None if rows[0][3] is None else np.concatenate([np.frombuffer(r[3], np.uint64) for r in rows])
+        more = [np.unpackbits(np.frombuffer(r[4], np.uint8), count=len(v)) for r, v in zip(rows, values, strict=True)]
+        back = _numbers(np.concatenate(values), checks)
+        twice = np.bincount(back) + np.bincount(back, weights=np.concatenate(more)) >= 2
         flags, at, out = twice[back], 0, []
         for (part, unit, *_), v in zip(rows, values, strict=True):
             out.append({"unit": unit, "part": part, "n": len(v), "bits": np.packbits(flags[at : at + len(v)]).tobytes()})
@@ -224,7 +259,7 @@ def repeated_words(spark: SparkSession, docs: DataFrame, width: int = 35, keep_t
             for number, blob in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
                 unit = Unit(texts(blob), width)
                 if len(unit.valid):
-                    if out := list(_pack(unit.phrases(unit.anchors()[1]), edges, number)):
+                    if out := list(_pack(number, edges, unit.phrases(unit.anchors()[1]))):
                         yield pa.RecordBatch.from_pylist(out, schema=_SENT)
 
     def candidates(batches):
@@ -238,12 +273,12 @@ def repeated_words(spark: SparkSession, docs: DataFrame, width: int = 35, keep_t
                     continue
                 chosen, some = unit.anchors()
                 names = unit.phrases(some)
-                again = _flags(told)[np.searchsorted(np.unique(names), names)] if len(some) else np.zeros(0, bool)
+                again = _flags(told)[_numbers(names)] if len(some) else np.zeros(0, bool)
                 hot = chosen < 0
                 if len(some):
                     hot |= again[np.minimum(np.searchsorted(some, chosen), len(some) - 1)] & (chosen >= 0)
                 if hot.any():
-                    out = [{k: v for k, v in x.items() if k != "unit"} for x in _pack(unit.hashes(unit.valid[hot], width), edges, number)]
+                    out = [{k: v for k, v in x.items() if k != "unit"} for x in _pack(number, edges, *unit.windows(unit.valid[hot]))]
                     yield pa.RecordBatch.from_pylist([{"unit": number, "windows": zlib.compress(np.packbits(hot).tobytes(), 1), "sent": out}], schema=schema)
 
     def finish(batches):
@@ -256,8 +291,7 @@ def repeated_words(spark: SparkSession, docs: DataFrame, width: int = 35, keep_t
                 edge = np.zeros(len(unit.names) + 1, np.int64)
                 if windows:
                     hot = unit.valid[np.unpackbits(np.frombuffer(zlib.decompress(windows), np.uint8), count=len(unit.valid)).astype(bool)]
-                    names = unit.hashes(hot, width)
-                    at = hot[_flags(told)[np.searchsorted(np.unique(names), names)]]
+                    at = hot[_flags(told)[_numbers(*unit.windows(hot))]]
                     np.add.at(edge, at, 1)
                     np.add.at(edge, at + width, -1)
                 gone, rows = np.cumsum(edge[:-1]) > 0, []
@@ -274,8 +308,8 @@ def repeated_words(spark: SparkSession, docs: DataFrame, width: int = 35, keep_t
 
     told = _repeated(units.mapInArrow(send_phrases, _SENT_SQL), parts)
     found = units.join(told, "unit", "left").select("unit", "docs", "told")
-    found = materialise(spark, found.mapInArrow(candidates, "unit long, windows binary, sent array<struct<part: int, names: binary, more: binary>>"), "windows")
-    sent = found.select("unit", F.inline("sent")).select("part", "unit", "names", "more")
+    found = materialise(spark, found.mapInArrow(candidates, "unit long, windows binary, sent array<struct<part: int, names: binary, checks: binary, more: binary>>"), "windows")
+    sent = found.select("unit", F.inline("sent")).select("part", "unit", "names", "checks", "more")
     told = found.select("unit", "windows").join(_repeated(sent, parts), "unit")
     kept = ", kept_text string" if keep_text else ""
     return units.join(told, "unit", "left").select("docs", "windows", "told").mapInArrow(finish, f"doc_id long, n_words long, n_removed long, kept_sha256 string, runs array<array<int>>{kept}")

@@ -608,3 +608,14 @@ def test_url_threshold_against_all_thresholds(spark):
         found = url_filter.calibrate(spark.createDataFrame(rows, "accepted int, rejected int, score double"), bins=5)
         assert gap(found) <= min(gap(t) for _, _, t in rows) + 1e-12
     assert url_filter.calibrate(spark.createDataFrame([(1, 0, 0.5)], "accepted int, rejected int, score double")) == 0.0
+
+
+def test_windows_of_equal_first_halves_are_told_apart(spark):
+    names, checks = np.array([5, 5, 9, 5, (1 << 64) - 1], np.uint64), np.array([1, 2, 3, 1, 4], np.uint64)
+    assert substring_dedup._numbers(names, checks).tolist() == [0, 1, 2, 0, 3]
+    assert substring_dedup._numbers(names).tolist() == [0, 0, 1, 0, 2]
+    edges = substring_dedup._edges(3)
+    sent = [r for unit, some in ((7, [0, 1]), (8, [1, 2, 4]), (9, [4])) for r in substring_dedup._pack(unit, edges, names[some], checks[some])]
+    rows = [(r["part"], r["unit"], bytearray(r["names"]), bytearray(r["checks"]), bytearray(r["more"])) for r in sent]
+    told = {r.unit: substring_dedup._flags(r.told).tolist() for r in substring_dedup._repeated(spark.createDataFrame(rows, substring_dedup._SENT_SQL), 3).collect()}
+    assert told == {7: [False, True], 8: [True, False, True], 9: [True]}  # (5, 2) and the last name are twice there, (5, 1) isn't
