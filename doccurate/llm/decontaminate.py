@@ -13,22 +13,29 @@ from __future__ import annotations
 
 import hashlib
 import re
+import uuid
 from collections import defaultdict
+from collections.abc import Iterator
 from itertools import count
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute
+import pyarrow.dataset as ds
+from pyarrow import fs
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from doccurate.llm.common import docs_of, materialise, slices, table
+from doccurate.llm.common import docs_of, shared_dir, slices, table
 from doccurate.llm.fm_index import FMIndex
+from doccurate.llm.token_store import _files
 
 #: Bytes to bytes: A-Z to lower case, and what isn't part of a word to a space.
 _FOLD = bytes(b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
 _WORD = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
 SHARD_BYTES, BLOCK_BYTES = 4 << 20, 8 << 20
+#: Shards of a task that are searched together for each block, where items fill several.
+GROUP = 8
 
 Phrases = dict[tuple[bytes, ...], list]
 
@@ -94,59 +101,71 @@ def _runs(flags: np.ndarray) -> list[list[int]]:
     return np.stack([np.flatnonzero(step == 1), np.flatnonzero(step == -1)], 1).tolist()
 
 
-_OUT = "n_words long, runs array<array<int>>, items array<string>"
+class Items:
+    """The phrases of the test items in blocks of about ``block_bytes`` of text: one is broadcast, several lie in the shared folder."""
+
+    def __init__(self, spark: SparkSession, items: DataFrame, width: int, block_bytes: int):
+        bench = items.select("item_id", F.col("text").cast("string").alias("text"))
+        total = bench.agg(F.sum(F.octet_length("text"))).first()[0] or 0
+        self.width, self.blocks, self.sent = width, max(1, -(-total // block_bytes)), None
+        if self.blocks == 1:
+            self.sent = spark.sparkContext.broadcast(phrases_of([tuple(r) for r in bench.collect()], width))
+            return
+        self.folder = f"{shared_dir(spark)}/items-{uuid.uuid4().hex}"
+        block = F.pmod(F.xxhash64(F.col("item_id").cast("string"), "text"), F.lit(self.blocks))
+        bench.withColumn("block", block).repartition(self.blocks, "block").write.partitionBy("block").parquet(self.folder)
+
+    def __iter__(self) -> Iterator[Phrases]:
+        """One block after another, read anew on each pass."""
+        if self.sent:
+            yield self.sent.value
+            return
+        system, root = _files(self.folder)
+        for k in range(self.blocks):
+            at = f"{root}/block={k}"
+            if system.get_file_info(at).type == fs.FileType.Directory:
+                rows = ds.dataset(at, filesystem=system, format="parquet").to_table(["item_id", "text"])
+                yield phrases_of(list(zip(*(c.to_pylist() for c in rows.columns), strict=True)), self.width)
+
+
+def _judged(batches: Iterator[pa.RecordBatch], items: Items) -> Iterator[tuple[pa.RecordBatch, list[int], list[np.ndarray], list[set]]]:
+    """Parts of the batches with the word count, the flags of hit words and the items of each document.
+
+    A part is indexed once, whatever the number of blocks; of several blocks each is read for GROUP parts together.
+    """
+    waiting, size = [], 1 if items.blocks == 1 else GROUP
+
+    def search():
+        shards = [Shard(part.column(part.schema.get_field_index("text")).cast(pa.binary()).to_pylist()) for part in waiting]
+        found = [([np.zeros(n, bool) for n in x.lengths], [set() for _ in x.lengths]) for x in shards]
+        for phrases in items:
+            for shard, (flags, some) in zip(shards, found, strict=True):
+                for k, (f, i) in enumerate(zip(*shard.hits(phrases), strict=True)):
+                    flags[k] |= f
+                    some[k] |= i
+        for part, shard, (flags, some) in zip(waiting, shards, found, strict=True):
+            yield part, shard.lengths, flags, some
+
+    for batch in batches:
+        for part in slices(batch, "text", SHARD_BYTES):
+            waiting.append(part)
+            if len(waiting) >= size:
+                yield from search()
+                waiting.clear()
+    yield from search()
 
 
-def _pass(rows: DataFrame, phrases: Phrases, keep_text: bool) -> DataFrame:
-    """Index the shards of rows(key columns..., text) and search them for the phrases."""
-    names = [c for c in rows.columns if keep_text or c != "text"]
-    sent = rows.sparkSession.sparkContext.broadcast(phrases)
+def find_contamination(spark: SparkSession, docs: DataFrame, items: DataFrame, width: int = 10, block_bytes: int = BLOCK_BYTES, keep_text: bool = False) -> DataFrame:
+    """doc_id (and text), n_words, runs of hit words ([from, to) word numbers) and the items of each document."""
+    phrases, names = Items(spark, items, width, block_bytes), ["doc_id", "text"] if keep_text else ["doc_id"]
 
     def run(batches):
-        for batch in batches:
-            for part in slices(batch, "text", SHARD_BYTES):
-                texts = part.column(part.schema.get_field_index("text"))
-                shard = Shard(texts.cast(pa.binary()).to_pylist())
-                flags, items = shard.hits(sent.value)
-                own = [part.column(part.schema.get_field_index(c)) for c in names]
-                out = [pa.array(shard.lengths, pa.int64()), pa.array([_runs(f) if f.any() else [] for f in flags], pa.list_(pa.list_(pa.int32()))), pa.array([sorted(map(str, x)) for x in items], pa.list_(pa.string()))]
-                yield pa.RecordBatch.from_arrays([*own, *out], [*names, "n_words", "runs", "items"])
-
-    kinds = dict(rows.dtypes)
-    return rows.mapInArrow(run, ", ".join([*(f"`{c}` {kinds[c]}" for c in names), _OUT]))
-
+        for part, lengths, flags, found in _judged(batches, phrases):
+            out = [pa.array(lengths, pa.int64()), pa.array([_runs(f) if f.any() else [] for f in flags], pa.list_(pa.list_(pa.int32()))), pa.array([sorted(map(str, x)) for x in found], pa.list_(pa.string()))]
+            yield pa.RecordBatch.from_arrays([*part.columns[: len(names)], *out], [*names, "n_words", "runs", "items"])
 
-def find_contamination(spark: SparkSession, docs: DataFrame, items: DataFrame, width: int = 10, block_bytes: int = BLOCK_BYTES, keep_text: bool = False) -> DataFrame:
-    """doc_id (and text), n_words, runs of hit words ([from, to) word numbers) and the items of each document.
-
-    Items are collected and broadcast in blocks of about block_bytes; beyond one block, each block
-    searches all documents, and what the blocks found is merged by row.
-    """
-    rows = docs_of(docs)
-    bench = items.select(F.col("item_id"), F.col("text").cast("string").alias("text"))
-    total = bench.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    blocks = max(1, -(-total // block_bytes))
-    if blocks == 1:
-        return _pass(rows, phrases_of([tuple(r) for r in bench.collect()], width), keep_text)
-    rows = materialise(spark, rows.withColumn("row", F.monotonically_increasing_id()), "docs")
-    return rows.select("row", "doc_id", *(["text"] if keep_text else [])).join(_by_row(rows, bench, blocks, width), "row").drop("row")
-
-
-def _by_row(rows: DataFrame, bench: DataFrame, blocks: int, width: int) -> DataFrame:
-    """row, n_words, runs and items of rows(row, text): each block of items searches all rows, runs are merged."""
-    found = None
-    for k in range(blocks):
-        some = bench.filter(F.pmod(F.xxhash64(F.col("item_id").cast("string")), F.lit(blocks)) == k).collect()
-        one = _pass(rows, phrases_of([tuple(r) for r in some], width), False).filter((F.size("runs") > 0) | (F.lit(k) == 0))
-        found = one if found is None else found.unionByName(one)
-    merged = found.groupBy("row").agg(F.max("n_words").alias("n_words"), F.flatten(F.collect_list("runs")).alias("runs"), F.array_sort(F.array_distinct(F.flatten(F.collect_list("items")))).alias("items"))
-    # Runs of different blocks can overlap: fold them in order.
-    fold = F.aggregate(
-        F.array_sort("runs"),
-        F.expr("cast(array() as array<array<int>>)"),
-        lambda done, x: F.when((F.size(done) > 0) & (F.get(F.get(done, F.size(done) - 1), F.lit(1)) >= F.get(x, F.lit(0))), F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.array(F.get(F.get(done, F.size(done) - 1), F.lit(0)), F.greatest(F.get(F.get(done, F.size(done) - 1), F.lit(1)), F.get(x, F.lit(1))))))).otherwise(F.concat(done, F.array(x))),
-    )
-    return merged.withColumn("runs", fold)
+    kinds = ["doc_id long", "text string"][: len(names)]
+    return docs_of(docs).mapInArrow(run, ", ".join([*kinds, "n_words long, runs array<array<int>>, items array<string>"]))
 
 
 def remove_spans(text: str | None, runs: list[list[int]]) -> str | None:
@@ -175,49 +194,18 @@ def cleaned(spark: SparkSession, docs: DataFrame, items: DataFrame, width: int =
 
     All items are judged on the text as it came, in however many blocks, and it is cut once.
     """
-    bench = items.select("item_id", F.col("text").cast("string").alias("text"))
-    total = bench.agg(F.sum(F.octet_length("text"))).first()[0] or 0
-    blocks = max(1, -(-total // block_bytes))
-    if blocks == 1:
-        return _cut(docs, phrases_of([tuple(r) for r in bench.collect()], width))
-    rows = materialise(spark, docs.withColumn("_row", F.monotonically_increasing_id()), "docs")
-    found = _by_row(rows.select(F.col("_row").alias("row"), "text"), bench, blocks, width)
-    return _cut_runs(rows.join(found.select(F.col("row").alias("_row"), F.col("runs").alias("_runs")), "_row", "left").select(*docs.columns, "_runs"), docs)
-
-
-def _cut_runs(rows: DataFrame, docs: DataFrame) -> DataFrame:
-    """docs with the runs of rows (the same columns, and _runs last) cut out."""
-    names, at = docs.columns, docs.columns.index("text")
-    counted = names.index("n_chars") if "n_chars" in names else None
-
-    def run(batches):
-        for batch in batches:
-            columns = list(batch.columns[:-1])
-            columns[at] = pa.array([remove_spans(t.as_py(), r) for t, r in zip(columns[at], batch.column(len(names)).to_pylist(), strict=True)], pa.string())
-            if counted is not None:
-                hit = pa.compute.fill_null(pa.compute.greater(pa.compute.list_value_length(batch.column(len(names))), 0), False)
-                fresh = pa.compute.utf8_length(columns[at]).cast(columns[counted].type)
-                columns[counted] = pa.compute.if_else(hit, fresh, columns[counted])
-            yield pa.RecordBatch.from_arrays(columns, names)
-
-    return rows.mapInArrow(run, docs.schema)
-
-
-def _cut(docs: DataFrame, phrases: Phrases) -> DataFrame:
-    sent, schema, at = docs.sparkSession.sparkContext.broadcast(phrases), docs.schema, docs.columns.index("text")
+    phrases, schema, at = Items(spark, items, width, block_bytes), docs.schema, docs.columns.index("text")
     counted = docs.columns.index("n_chars") if "n_chars" in docs.columns else None
 
     def run(batches):
-        for batch in batches:
-            for part in slices(batch, "text", SHARD_BYTES):
-                texts = part.column(at)
-                flags, _ = Shard(texts.cast(pa.binary()).to_pylist()).hits(sent.value)
-                columns = list(part.columns)
-                if any(f.any() for f in flags):
-                    cut = [remove_spans(t.as_py(), _runs(f)) if f.any() else t.as_py() for t, f in zip(texts, flags, strict=True)]
-                    columns[at] = pa.array(cut, pa.string())
-                    if counted is not None:
-                        columns[counted] = pa.compute.utf8_length(columns[at]).cast(columns[counted].type)
-                yield pa.RecordBatch.from_arrays(columns, part.schema.names)
+        for part, _, flags, _ in _judged(batches, phrases):
+            columns = list(part.columns)
+            if any(f.any() for f in flags):
+                columns[at] = pa.array([remove_spans(t.as_py(), _runs(f)) if f.any() else t.as_py() for t, f in zip(part.column(at), flags, strict=True)], pa.string())
+                if counted is not None:
+                    hit = pa.array([bool(f.any()) for f in flags])
+                    fresh = pa.compute.utf8_length(columns[at]).cast(columns[counted].type)
+                    columns[counted] = pa.compute.if_else(hit, fresh, columns[counted])
+            yield pa.RecordBatch.from_arrays(columns, part.schema.names)
 
     return docs.mapInArrow(run, schema)
