@@ -15,6 +15,7 @@ import io
 import json
 import uuid
 import zlib
+from collections.abc import Iterator
 from functools import lru_cache
 
 import numpy as np
@@ -22,10 +23,13 @@ import pyarrow as pa
 from pyarrow import fs
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from doccurate.llm.common import docs_of, shared_dir, table
 from doccurate.llm.tokens import rank_encoder
 
+#: Bytes of text to a shard, and bytes of ids that are read back at once.
+SHARD_BYTES, READ_BYTES = 256 << 20, 8 << 20
 _GOLDEN = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -100,7 +104,8 @@ class _Put:
 
 def write_store(spark: SparkSession, docs: DataFrame, vocabulary: str, folder: str, end_id: int, shards: int | None = None) -> dict:
     """Encode docs(doc_id, text) into shards of folder, ascending by doc_id over all shards; gives the manifest."""
-    n = shards or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    rows = docs_of(docs)
+    n = shards or max(int(spark.conf.get("spark.sql.shuffle.partitions")), (rows.agg(F.sum(F.octet_length("text"))).first()[0] or 0) // SHARD_BYTES)
     system, root = _files(folder)
     system.create_dir(root, recursive=True)
 
@@ -134,7 +139,9 @@ def write_store(spark: SparkSession, docs: DataFrame, vocabulary: str, folder: s
         yield pa.RecordBatch.from_pylist([{"shard": number, "docs": len(keys), "tokens": int(starts[-1]), "low": low, "high": high, "width": width}], schema=found)
 
     found = pa.schema([("shard", pa.int32()), ("docs", pa.int64()), ("tokens", pa.int64()), ("low", pa.int64()), ("high", pa.int64()), ("width", pa.int32())])
-    ordered = docs_of(docs).repartitionByRange(n, "doc_id").sortWithinPartitions("doc_id", "text")
+    # Rows of one key are split over shards by the start of their text, and equal ones by where they come from.
+    split = rows.select("doc_id", "text", F.substring("text", 1, 32).alias("head"), F.monotonically_increasing_id().alias("place"))
+    ordered = split.repartitionByRange(n, "doc_id", "head", "place").select("doc_id", "text").sortWithinPartitions("doc_id", "text")
     rows = ordered.mapInArrow(run, "shard int, docs long, tokens long, low long, high long, width int").collect()  # one row a shard
     made = sorted((r.asDict() for r in rows), key=lambda r: r["shard"])
     total = 0
@@ -162,6 +169,12 @@ class Shard:
         width = self.dtype.itemsize
         return np.frombuffer(self.file.read_at((end - start) * width, start * width), self.dtype).astype("<u4")
 
+    def ids_of(self, entries: np.ndarray) -> list[np.ndarray]:
+        """Ids of each of these entries, read at one go from the least to the greatest."""
+        low, high, width = int(self.starts[entries.min()]), int(self.starts[entries.max() + 1]), self.dtype.itemsize
+        whole = np.frombuffer(self.file.read_at((high - low) * width, low * width), self.dtype).astype("<u4")
+        return [whole[self.starts[e] - low : self.starts[e + 1] - low] for e in entries.tolist()]
+
     def entries(self, keys: np.ndarray) -> np.ndarray:
         """First entry of each key, -1 where the shard doesn't hold it."""
         slots, out = self.hash.slots(keys.view(np.uint64)), np.full(len(keys), -1, np.int64)
@@ -191,6 +204,16 @@ def lookup(folder: str, manifest: dict, key: int) -> list[np.ndarray]:
     return [x for s in manifest["shards"] if s["low"] is not None and s["low"] <= key <= s["high"] for x in _opened(folder, s["shard"], s["width"]).get(key)]
 
 
+def _blocks(entries: np.ndarray, starts: np.ndarray, ids: int) -> Iterator[np.ndarray]:
+    """Consecutive entries in blocks of about ``ids`` ids and 4,096 entries at most, one entry at least."""
+    first = 0
+    while first < len(entries):
+        end = int(np.searchsorted(starts, starts[entries[first]] + ids, side="right")) - 1
+        end = min(max(end, first + 1), first + 4096, len(entries))
+        yield entries[first:end]
+        first = end
+
+
 def read_store(spark: SparkSession, folder: str, manifest: dict) -> DataFrame:
     """doc_id, start, n_tokens and ids_crc32 of every document, read back from the files through their index."""
     shards = {s["shard"]: (s["before"], s["width"]) for s in manifest["shards"]}
@@ -209,9 +232,9 @@ def read_store(spark: SparkSession, folder: str, manifest: dict) -> DataFrame:
                     fresh = known & np.concatenate([[True], (keys[1:] != keys[:-1]) | ~known[:-1]])  # the first of equal keys
                     entry[fresh] = shard.entries(keys[fresh])
                     entry = np.where(known & ~fresh, np.arange(len(keys)), entry)
-                for lo in range(0, len(keys), 4096):
-                    part = entry[lo : lo + 4096].tolist()
-                    rows = [(int(keys[e]) if known[e] else None, before + int(starts[e]), int(starts[e + 1] - starts[e]), zlib.crc32(shard.ids(e))) for e in part]
+                for part in _blocks(entry, starts, READ_BYTES // width):
+                    payloads = shard.ids_of(part)
+                    rows = [(int(keys[e]) if known[e] else None, before + int(starts[e]), int(starts[e + 1] - starts[e]), zlib.crc32(x)) for e, x in zip(part.tolist(), payloads, strict=True)]
                     yield pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*rows, strict=True), schema.types, strict=True)], schema=schema)
 
     n = max(1, len(shards))

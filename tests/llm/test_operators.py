@@ -619,3 +619,20 @@ def test_windows_of_equal_first_halves_are_told_apart(spark):
     rows = [(r["part"], r["unit"], bytearray(r["names"]), bytearray(r["checks"]), bytearray(r["more"])) for r in sent]
     told = {r.unit: substring_dedup._flags(r.told).tolist() for r in substring_dedup._repeated(spark.createDataFrame(rows, substring_dedup._SENT_SQL), 3).collect()}
     assert told == {7: [False, True], 8: [True, False, True], 9: [True]}  # (5, 2) and the last name are twice there, (5, 1) isn't
+
+
+def test_token_store_splits_a_hot_key(spark, tmp_path):
+    texts = [f"{k % 7} words {k}" for k in range(300)] + ["same"] * 300
+    docs = spark.createDataFrame([(5, t) for t in texts] + [(k, f"doc {k}") for k in (1, 9)], "doc_id long, text string").repartition(4)
+    manifest = token_store.write_store(spark, docs, public_tokenizers.path("byte_bpe_50k.json"), str(tmp_path), 2, shards=6)
+    assert max(s["docs"] for s in manifest["shards"]) < 300
+    found = sorted(token_store.read_store(spark, str(tmp_path), manifest).collect(), key=lambda r: r.start)
+    assert [r.doc_id for r in found] == [1] + [5] * 600 + [9]
+    assert [r.start for r in found[1:]] == [r.start + r.n_tokens for r in found[:-1]]
+    assert len(token_store.lookup(str(tmp_path), manifest, 5)) == 600 and len(token_store.lookup(str(tmp_path), manifest, 9)) == 1
+
+
+def test_token_store_reads_in_blocks():
+    starts = np.array([0, 3, 3, 10, 50, 51])
+    blocks = [x.tolist() for x in token_store._blocks(np.arange(5), starts, 10)]
+    assert blocks == [[0, 1, 2], [3], [4]] and [x.tolist() for x in token_store._blocks(np.arange(5), starts, 1)] == [[0], [1], [2], [3], [4]]
