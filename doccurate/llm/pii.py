@@ -151,13 +151,21 @@ def _added(text: str, taken: list[tuple[int, int]]) -> list[Span]:
     return found
 
 
+def _place(span: tuple) -> tuple[int, int, int]:
+    return span[0], KINDS.index(span[2]), span[1]
+
+
+def base_and_all(text: str | None) -> tuple[list[Span], list[Span]]:
+    """The spans of the base patterns alone, and all spans, added cards and phones among them; in the order of find_spans."""
+    if not text:
+        return [], []
+    base = [(a, b, k, min(1.0, _score(text, a, k))) for a, b, k in base_spans(text)]
+    return sorted(base, key=_place), sorted(base + _added(text, [(a, b) for a, b, *_ in base]), key=_place)
+
+
 def find_spans(text: str | None) -> list[Span]:
     """All spans by start, then kind as in KINDS, each with its score (at most 1)."""
-    if not text:
-        return []
-    found = [(a, b, k, min(1.0, _score(text, a, k))) for a, b, k in base_spans(text)]
-    found += _added(text, [(a, b) for a, b, *_ in found])
-    return sorted(found, key=lambda x: (x[0], KINDS.index(x[2]), x[1]))
+    return base_and_all(text)[1]
 
 
 def redact(text: str | None, spans: list[Span]) -> str | None:
@@ -208,8 +216,7 @@ def redacted(docs: DataFrame) -> DataFrame:
 
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     def row(key, text):
-        spans = find_spans(text)
-        base = [s for s in spans if s[2] in KINDS[:4]]
+        base, spans = base_and_all(text)
         told = [f"{k}:{a}:{b}" for a, b, k, _ in base]
         counts = {f"n_{kind}": sum(s[2] == kind for s in base) for kind in KINDS[:4]}
         return {"doc_id": key, **counts, "base_sha256": hashlib.sha256(",".join(told).encode()).hexdigest(), "spans": ",".join(f"{k}:{a}:{b}" for a, b, k, _ in spans)}

@@ -636,3 +636,12 @@ def test_token_store_reads_in_blocks():
     starts = np.array([0, 3, 3, 10, 50, 51])
     blocks = [x.tolist() for x in token_store._blocks(np.arange(5), starts, 10)]
     assert blocks == [[0, 1, 2], [3], [4]] and [x.tolist() for x in token_store._blocks(np.arange(5), starts, 1)] == [[0], [1], [2], [3], [4]]
+
+
+def test_pii_counts_and_hash_are_of_base_spans_alone(spark, tmp_path):
+    text = "4524132264652876 4111 1111 1111 1111 or +1 269 555 3296 4111 1111 1111 1111"  # two cards and a phone hidden in matches that fail
+    spark.createDataFrame([(1, text), (2, "card 4111 1111 1111 1111"), (3, None)], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    found = {r.doc_id: r for r in pii.op6_pii(spark, str(tmp_path)).collect()}
+    none = hashlib.sha256(b"").hexdigest()
+    assert (found[1].n_card, found[1].n_phone, found[1].base_sha256) == (0, 0, none) and "card:" in found[1].spans
+    assert (found[2].n_card, found[2].base_sha256) == (1, hashlib.sha256(b"card:5:24").hexdigest()) and found[3].base_sha256 == none
