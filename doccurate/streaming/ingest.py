@@ -23,9 +23,14 @@ def event_stream(spark: SparkSession, sf_dir: str, delay: str = "10 minutes") ->
 
 
 def drained(spark: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
-    """All that a stream gives for the files there are, in a memory table."""
+    """All that a stream gives for the files there are: appended rows as files in the shared folder, other modes in a memory table,
+    which the driver holds (for results of few rows)."""
     name = f"drained_{uuid.uuid4().hex}"
     where = shared_folder(spark)
+    if mode == "append":
+        out = f"{where}/{name}-rows"
+        stream.writeStream.outputMode(mode).format("parquet").option("path", out).option("checkpointLocation", f"{where}/{name}").trigger(availableNow=True).start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(out)
     run = stream.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", f"{where.rstrip('/')}/{name}").trigger(availableNow=True).start()
     run.awaitTermination()
     return spark.table(name)
