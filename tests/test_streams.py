@@ -30,3 +30,7 @@ def found(spark, folder, name):
 def test_dedup(spark, folder):
     hour = 1704067200
     assert found(spark, folder, "op_stream_dedup") == sorted([(7, "view", hour), (8, "view", hour), (9, "signup", hour + 743 * 3600), (None, "view", hour + 743 * 3600), (70, "view", hour)], key=repr)
+
+
+def test_join_static(spark, folder):
+    assert found(spark, folder, "op_stream_join_static") == [(1, 1), (2, 1), (3, 1), (4, 2), (5, 2), (6, 3), (7, 3)]
