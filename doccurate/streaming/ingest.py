@@ -14,12 +14,25 @@ from doccurate.plans.registry import query
 from doccurate.sources.tables import shared_folder
 
 
-def event_stream(spark: SparkSession, sf_dir: str, delay: str = "10 minutes") -> DataFrame:
-    """Events as a stream with a UTC timestamp and a watermark."""
+#: Time of the row that closes a stream: later than any event.
+END = "9999-01-01 00:00:00"
+
+
+def event_stream(spark: SparkSession, sf_dir: str, delay: str = "10 minutes", closed: bool = False) -> DataFrame:
+    """Events as a stream with a UTC timestamp and a watermark.
+
+    closed: a row of nulls at END comes with the files there are, so that the watermark passes all events once they are read. That
+    holds where all files are one batch, as in ``drained``; in a later batch, events would be late.
+    """
     path = f"{sf_dir}/events.parquet"
     schema = spark.read.parquet(path).schema
     rows = spark.readStream.schema(schema).parquet(path if path.endswith("/") else path + "*")
-    return rows.withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", delay)
+    rows = rows.withColumn("ts", F.col("ts").cast("timestamp"))
+    if closed:
+        last = f"{shared_folder(spark)}/end-{uuid.uuid4().hex}"
+        spark.range(1).select(F.lit(END).cast("timestamp").alias("ts")).write.parquet(last)
+        rows = rows.unionByName(spark.readStream.schema("ts timestamp").parquet(last), allowMissingColumns=True)
+    return rows.withWatermark("ts", delay)
 
 
 def drained(spark: SparkSession, stream: DataFrame, mode: str = "append") -> DataFrame:
@@ -58,8 +71,11 @@ def sliding(spark, sf_dir):
 
 @query("op_stream_session", "WITH g AS (SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER w < INTERVAL 30 MINUTE THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), s AS (SELECT user_id, ts, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM g) SELECT floor(epoch(min(ts)))::BIGINT AS start, user_id, count(*) AS n FROM s GROUP BY user_id, k")
 def session(spark, sf_dir):
-    rows = event_stream(spark, sf_dir).groupBy(F.session_window("ts", "30 minutes").alias("w"), "user_id").agg(F.count("*").alias("n"))
-    return flat(drained(spark, rows, "complete"))
+    """Sessions are given as the watermark closes them; the row at END closes the last ones, and its own is never given.
+
+    Windows that touch are one session to Spark, and a gap of 30 minutes parts them here: so the gap is a microsecond less."""
+    rows = event_stream(spark, sf_dir, closed=True).groupBy(F.session_window("ts", "29 minutes 59 seconds 999 milliseconds 999 microseconds").alias("w"), "user_id").agg(F.count("*").alias("n"))
+    return drained(spark, flat(rows))
 
 
 @query("op_stream_dedup", "SELECT DISTINCT user_id, event_type, epoch(date_trunc('hour', ts))::BIGINT AS hour FROM events")

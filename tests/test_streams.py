@@ -34,3 +34,8 @@ def test_dedup(spark, folder):
 
 def test_join_static(spark, folder):
     assert found(spark, folder, "op_stream_join_static") == [(1, 1), (2, 1), (3, 1), (4, 2), (5, 2), (6, 3), (7, 3)]
+
+
+def test_session(spark, folder):
+    hour = 1704067200
+    assert found(spark, folder, "op_stream_session") == sorted([(hour, 7, 2), (hour + 3599, 7, 1), (hour + 600, 8, 2), (hour + 743 * 3600 + 3540, 9, 2), (hour + 743 * 3600 + 3599, None, 1), (hour + 1, 70, 1)], key=repr)
