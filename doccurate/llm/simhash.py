@@ -259,8 +259,8 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 ALIKE, OF = 4, 5
 #: 64-bit words of a parity mark; rows whose grams are counted at least, the share of all rows, the count and number of frequent grams.
 MARK, SAMPLE, SHARE, FREQUENT, MOST = 8, 20_000, 16, 3, 500_000
-#: Rows that each row of a gram is first compared with on whole sets.
-NEAREST = 3
+#: Rows that each row of a gram is first compared with on whole sets; bits in which fingerprints of the first links differ at most.
+NEAREST, RADIUS = 3, 4
 
 
 def folded(text: bytes | None) -> list[bytes]:
@@ -279,6 +279,14 @@ def shingles(found: list[bytes], words: int) -> np.ndarray:
     return np.unique(np.fromiter((xxhash.xxh64_intdigest(joined[a:b]) for a, b in zip(starts, ends, strict=True)), np.uint64, n))
 
 
+def majority(hashes: np.ndarray) -> int:
+    """The SimHash of a set of hashes: a bit is 1 where more than half of them have it; 0 of none."""
+    total = np.zeros(64, np.int64)
+    for k in range(0, len(hashes), CHUNK):
+        total += np.unpackbits(hashes[k : k + CHUNK].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
+    return int.from_bytes(np.packbits(2 * total > len(hashes), bitorder="little").tobytes(), "little")
+
+
 def alike(a: np.ndarray, b: np.ndarray) -> bool:
     """Whether two sets have a Jaccard similarity of ALIKE / OF at least, in whole numbers."""
     common = len(np.intersect1d(a, b, assume_unique=True))
@@ -304,14 +312,17 @@ def _may(a: np.ndarray, b: np.ndarray, from_a: np.ndarray, from_b: np.ndarray, d
 
 
 def _blocks_of(rows: np.ndarray, marks: np.ndarray, some: np.ndarray):
-    """i, j, distance, open: blocks of the rows ``some`` against all rows (rows: node, size, place, root of one gram)."""
-    _, size, place, _ = rows.T
+    """i, j, distance, open: blocks of the rows ``some`` against all rows (rows: node, size, place, root of one gram).
+
+    Pairs of one root are never open: nothing can come of them.
+    """
+    _, size, place, root = rows.T
     for k in range(0, len(some), DIRECT):
         i = some[k : k + DIRECT]
         for start in range(0, len(rows), HOT):
             j = np.arange(start, min(start + HOT, len(rows)))
             distance = _apart(marks[i][:, None], marks[j][None])
-            yield i, j, distance, _may(size[i][:, None], size[j][None], place[i][:, None], place[j][None], distance) & (i[:, None] != j[None])
+            yield i, j, distance, _may(size[i][:, None], size[j][None], place[i][:, None], place[j][None], distance) & (root[i][:, None] != root[j][None])
 
 
 def _opened(rows: np.ndarray, marks: np.ndarray) -> np.ndarray:
@@ -349,7 +360,7 @@ def _across(rows: np.ndarray, marks: np.ndarray) -> tuple[np.ndarray, np.ndarray
     _, group, times = np.unique(root, return_inverse=True, return_counts=True)
     left, right = [], []
     for i, j, _, may in _blocks_of(rows, marks, np.flatnonzero(group != times.argmax())):
-        x, y = np.nonzero(may & (root[i][:, None] != root[j][None]))
+        x, y = np.nonzero(may)
         left.append(i[x])
         right.append(j[y])
     return np.concatenate([*left, np.zeros(0, np.int64)]), np.concatenate([*right, np.zeros(0, np.int64)])
@@ -389,8 +400,8 @@ def _numbers(part: pa.Table) -> tuple[np.ndarray, np.ndarray]:
 def _pairs_of_two(rows: np.ndarray, marks: np.ndarray, heads: np.ndarray) -> np.ndarray:
     """First rows of the grams of two rows that are left open, all at once: most grams have two."""
     two = heads[:-1][np.diff(heads) == 2]
-    (_, a, from_a, _), (_, b, from_b, _) = rows[two].T, rows[two + 1].T
-    return two[_may(a, b, from_a, from_b, _apart(marks[two], marks[two + 1]))]
+    (_, a, from_a, p), (_, b, from_b, q) = rows[two].T, rows[two + 1].T
+    return two[_may(a, b, from_a, from_b, _apart(marks[two], marks[two + 1])) & (p != q)]
 
 
 def _proposed(shards: DataFrame, chosen) -> DataFrame:
@@ -434,20 +445,37 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, words: int, keep: Scratch) ->
 
     asked = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
     asked = keep(texts.join(asked, "node", "left_semi"), "asked")
+    keep.sweep()  # all texts were dealt out for it
     with_a = pairs.join(asked.select(F.col("node").alias("a"), F.col("text").alias("x")), "a")
     both = with_a.join(asked.select(F.col("node").alias("b"), F.col("text").alias("y")), "b")
     return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
-def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5) -> DataFrame:
+def by_fingerprints(spark: SparkSession, signed: DataFrame, texts: DataFrame, words: int, keep: Scratch) -> DataFrame:
+    """a > b: links of signed(node, fp) that fingerprints propose and whole sets confirm.
+
+    Nodes of one fingerprint are proposed with the least of them, and these along the forest that the vantage points give within RADIUS.
+    """
+    least = keep(signed.groupBy("fp").agg(F.min("node").alias("least")), "least")
+    forest = links(spark, least, RADIUS)
+    same = signed.join(least, "fp").filter("node > least").select(F.col("node").alias("a"), F.col("least").alias("b"))
+    ends = [least.select(F.col("fp").alias(c), F.col("least").alias(n)) for c, n in (("a", "x"), ("b", "y"))]
+    other = forest.join(ends[0], "a").join(ends[1], "b").select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b"))
+    return keep(_confirmed(keep(same.union(other), "proposed"), texts, words, keep), "linked")
+
+
+def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5, pool: DataFrame | None = None) -> DataFrame:
     """a > b: links of texts(node, text), distinct nodes, that connect whatever pairs of Jaccard >= ALIKE / OF connect, and such pairs only.
 
-    In one order of all grams, two sets that are alike share one of their first grams (prefixes). Any order
-    does; one by frequency in a sample keeps what many texts share out of the prefixes. First, each row's nearest rows in its
+    pool has the same texts and maybe others; rows to confirm are looked up there (texts by default).
+
+    SimHashes of the sets, within RADIUS by vantage points, propose the first links. What they miss is found exactly: in one order of all grams, two sets that are alike share one of their first grams (prefixes). Any order
+    does; one by frequency in a sample keeps what many texts share out of the prefixes. Each row's nearest rows of other groups in its
     gram's bucket are confirmed on whole sets; then all pairs of a bucket whose groups are still apart. So a group of many near
     copies costs a few confirmations a copy, and no pair that could join two groups is left out.
     """
-    share, keep = min(1.0, max(SAMPLE / max(count, 1), 1 / SHARE)), Scratch(spark)
+    share, early, keep = min(1.0, max(SAMPLE / max(count, 1), 1 / SHARE)), Scratch(spark), Scratch(spark)
+    pool = texts if pool is None else pool
 
     def grams(batches):
         for b in batches:
@@ -462,7 +490,7 @@ def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5
     def prefixes(batches):
         frequent, times = sent.value
         for b in batches:
-            sizes, firsts, marks = [], [], []
+            sizes, firsts, marks, fps = [], [], [], []
             for t in b.column(1).cast(pa.binary()).to_pylist():
                 own = shingles(folded(t), words)
                 rank = np.zeros(len(own), np.int64)
@@ -474,11 +502,17 @@ def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5
                 firsts.append(own[np.lexsort((own, rank))][:length].view(np.int64))
                 odd = np.bincount((mix(own, 3) >> np.uint64(32)).astype(np.int64) % (64 * MARK), minlength=64 * MARK) & 1
                 marks.append(np.packbits(odd.astype(bool)).tobytes())
+                fps.append(majority(own))
             ends = np.cumsum([0, *map(len, firsts)]).astype(np.int32)
             lists = pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate([np.zeros(0, np.int64), *firsts])))
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int32()), lists, pa.array(marks, pa.binary())], ["node", "size", "first", "mark"])
+            fps = pa.array(np.array(fps, np.uint64).view(np.int64))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(sizes, pa.int32()), lists, pa.array(marks, pa.binary()), fps], ["node", "size", "first", "mark", "fp"])
 
-    own = keep(texts.select("node", "text").mapInArrow(prefixes, "node long, size int, first array<long>, mark binary"), "prefixes")
+    own = early(texts.select("node", "text").mapInArrow(prefixes, "node long, size int, first array<long>, mark binary, fp long"), "prefixes")
+    keep.sweep()
+    linked = by_fingerprints(spark, own.select("node", "fp"), pool, words, keep)
+    keep.sweep()
+    groups = keep(components(spark, linked), "groups")
 
     def shared(part, gram):
         """Rows of grams that several nodes have, unless there are two and sizes or places rule them out."""
@@ -502,16 +536,19 @@ def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5
         yield from part.filter(pa.array(keep)).to_batches()
 
     spread = own.select("node", "size", F.posexplode("first").alias("place", "gram")).select("gram", "node", "size", "place")
-    spread = keep(_buckets(spread, shared, "gram long, node long, size int, place int"), "shared")
+    spread = early(_buckets(spread, shared, "gram long, node long, size int, place int"), "shared")
     keep.sweep()
-    marked = spread.join(own.select("node", "mark"), "node").select("gram", "node", "size", "place", F.col("node").alias("root"), "mark")
+    known = own.select("node", "mark").join(groups, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    marked = spread.join(known, "node").select("gram", "node", "size", "place", "root", "mark")
     spread = keep(_buckets(marked, opened, "gram long, node long, size int, place int, root long, mark binary"), "open")
+    early.drop()
+    keep.sweep()
+    near = keep(linked.union(_confirmed(keep(_proposed(spread, _nearest), "nearest"), pool, words, keep)), "near")
     keep.sweep()
-    near = keep(_confirmed(keep(_proposed(spread, _nearest), "nearest"), texts, words, keep), "near")
     roots = components(spark, near)
     apart = spread.drop("root").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     rest = keep(_proposed(apart, _across), "across")
-    found = materialise(spark, near.union(_confirmed(rest, texts, words, keep)), "found")
+    found = materialise(spark, near.union(_confirmed(rest, pool, words, keep)), "found")
     keep.drop()
     keep.sweep()
     sent.unpersist()
@@ -521,7 +558,8 @@ def near_links(spark: SparkSession, texts: DataFrame, count: int, words: int = 5
 def one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5) -> DataFrame:
     """docs without near copies: of each group of texts linked by a similarity of 0.8 or more, the row of least doc_id.
 
-    Links are exact Jaccard similarities of sets of word shingles (as 64-bit hashes), and none is missed. Null and
+    SimHash fingerprints by vantage points propose links, a prefix join finds what they miss. Links are exact Jaccard similarities
+    of sets of word shingles (as 64-bit hashes), and none is missed. Null and
     empty texts are one group; of repeated rows one stays, rows with a null id yield to others; a table without rows
     stays so; other columns are kept, whatever their names.
     """
@@ -538,9 +576,10 @@ def one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5) -> DataFra
     signed = docs.mapInArrow(sign, StructType([*docs.schema.fields]).add(node, LongType()))
     rows, keep = materialise(spark, signed.withColumn(row, F.monotonically_increasing_id()), "signed"), Scratch(spark)
     order = F.struct(F.col("doc_id").isNull().alias("lost"), F.col("doc_id").alias("id"), F.col(row).alias("at"))
-    nodes = keep(rows.groupBy(F.col(node).alias("node")).agg(F.min(order).alias("first")), "nodes")
-    texts = rows.join(nodes.select(F.col("first.at").alias(row)), row, "left_semi").select(F.col(node).alias("node"), F.col("text").cast("string").alias("text"))
-    roots = components(spark, near_links(spark, texts, nodes.count(), words))
+    nodes = keep(rows.groupBy(node).agg(F.min(order).alias("first")).select(F.col("first.at").alias("node"), "first"), "nodes")
+    pool = rows.select(F.col(row).alias("node"), F.col("text").cast("string").alias("text"))
+    texts = pool.join(nodes.select("node"), "node", "left_semi")  # a distinct text by its first row
+    roots = components(spark, near_links(spark, texts, nodes.count(), words, pool))
     kept = nodes.join(roots, "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("first").alias("first"))
     kept = materialise(spark, kept.select(F.col("first.at").alias(row)), "kept")
     keep.drop()

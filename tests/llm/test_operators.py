@@ -645,3 +645,17 @@ def test_pii_counts_and_hash_are_of_base_spans_alone(spark, tmp_path):
     none = hashlib.sha256(b"").hexdigest()
     assert (found[1].n_card, found[1].n_phone, found[1].base_sha256) == (0, 0, none) and "card:" in found[1].spans
     assert (found[2].n_card, found[2].base_sha256) == (1, hashlib.sha256(b"card:5:24").hexdigest()) and found[3].base_sha256 == none
+
+
+def test_near_duplicates_stage_links_by_fingerprints_first(spark, monkeypatch):
+    """Near copies are linked by SimHash alone; the prefix join is left with pairs of different groups."""
+    rng = random.Random(33)
+    say = lambda n: [f"w{rng.randint(0, 10**6)}" for _ in range(n)]
+    base, seen = say(900), []
+    texts = [[*base[:k], "other", *base[k + 1 :]] for k in (10, 400, 880)] + [say(60), say(60)]
+    proposed = simhash._proposed
+    monkeypatch.setattr(simhash, "_proposed", lambda shards, chosen: seen.append(shards.count()) or proposed(shards, chosen))
+    docs = spark.createDataFrame([(k, " ".join(t)) for k, t in enumerate(texts)], "doc_id long, text string")
+    assert sorted(r.doc_id for r in simhash.one_of_each(spark, docs).collect()) == [0, 3, 4] and seen == [0, 0]
+    hashes = np.array([0b101, 0b100, 0b110], np.uint64)
+    assert simhash.majority(hashes) == 0b100 and simhash.majority(hashes[:0]) == 0 and simhash.majority(hashes[1:]) == 0b100
