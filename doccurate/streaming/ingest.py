@@ -88,7 +88,8 @@ def dedup(spark, sf_dir):
 
 @query("op_stream_join_static", "SELECT event_id, c_nationkey FROM events JOIN customer ON user_id = c_custkey")
 def join_static(spark, sf_dir):
-    users = spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.col("c_custkey").alias("user_id"), "c_nationkey")
+    """Users grow with events, so they are dealt out: a broadcast of them would be built in the driver."""
+    users = spark.read.parquet(f"{sf_dir}/customer.parquet").select(F.col("c_custkey").alias("user_id"), "c_nationkey").hint("merge")
     return drained(spark, event_stream(spark, sf_dir).join(users, "user_id").select("event_id", "c_nationkey"))
 
 

@@ -3,6 +3,7 @@
 import pytest
 
 from doccurate.plans import catalogue
+from doccurate.streaming import ingest
 
 EVENTS = [
     (1, "2024-01-01 00:00:00", 7, "view"), (2, "2024-01-01 00:29:59", 7, "view"), (3, "2024-01-01 00:59:59", 7, "view"),  # a gap of 30 minutes parts sessions
@@ -36,6 +37,14 @@ def test_join_static(spark, folder):
     assert found(spark, folder, "op_stream_join_static") == [(1, 1), (2, 1), (3, 1), (4, 2), (5, 2), (6, 3), (7, 3)]
 
 
+def test_join_static_broadcasts_no_table(spark, folder, monkeypatch):
+    """Users are dealt out however small Spark takes them to be."""
+    plans, drained = [], ingest.drained
+    monkeypatch.setattr(ingest, "drained", lambda spark, stream: plans.append(stream._jdf.queryExecution().analyzed().toString()) or drained(spark, stream))
+    assert len(found(spark, folder, "op_stream_join_static")) == 7
+    assert "strategy=merge" in plans[0]
+
+
 def test_session(spark, folder):
     hour = 1704067200
     assert found(spark, folder, "op_stream_session") == sorted([(hour, 7, 2), (hour + 3599, 7, 1), (hour + 600, 8, 2), (hour + 743 * 3600 + 3540, 9, 2), (hour + 743 * 3600 + 3599, None, 1), (hour + 1, 70, 1)], key=repr)
