@@ -15,6 +15,7 @@ cut again by views on its remaining bits.
 
 from __future__ import annotations
 
+from functools import partial
 from itertools import combinations, islice
 
 import numpy as np
@@ -259,6 +260,8 @@ def op9_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
 ALIKE, OF = 4, 5
 #: 64-bit words of a parity mark; rows whose grams are counted at least, the share of all rows, the count and number of frequent grams.
 MARK, SAMPLE, SHARE, FREQUENT, MOST = 8, 20_000, 16, 3, 500_000
+#: Words of 64 bits, one for as many row numbers, that are broadcast at most.
+WORDS = 1 << 20
 #: Rows that each row of a gram is first compared with on whole sets; bits in which fingerprints of the first links differ at most.
 NEAREST, RADIUS = 3, 4
 
@@ -425,6 +428,22 @@ def _proposed(shards: DataFrame, chosen) -> DataFrame:
     return _buckets(shards, work, "a long, b long").filter("a > b").distinct()
 
 
+def among(rows: DataFrame, number: str, some: DataFrame, keep) -> DataFrame:
+    """The rows whose number is some's only column. Numbers are dense (from 0 in each partition that gave them), so the wanted ones
+    are sent as a bit a row: rows of long texts are not dealt out. More than WORDS words of bits are joined by number instead.
+
+    keep(df, name) writes a table that stays as long as the result is read.
+    """
+    at, bits = fresh(rows.columns, "_at", "_bits")
+    (own,) = some.columns
+    words = some.groupBy(F.shiftright(own, 6).alias(at)).agg(F.bit_or(F.expr(f"shiftleft(1L, cast(`{own}` & 63L as int))")).alias(bits))
+    words = keep(words, "bits")
+    if words.count() > WORDS:
+        return rows.join(some.select(F.col(own).alias(number)).distinct(), number, "left_semi")
+    told = rows.join(F.broadcast(words), F.shiftright(number, 6) == F.col(at))
+    return told.filter(F.expr(f"shiftright(`{bits}`, cast(`{number}` & 63L as int)) & 1L = 1L")).select(*rows.columns)
+
+
 def _confirmed(pairs: DataFrame, texts: DataFrame, words: int, keep: Scratch) -> DataFrame:
     """The pairs whose shingle sets are alike; texts: node, text. Only the texts of some pair are moved."""
 
@@ -443,11 +462,8 @@ def _confirmed(pairs: DataFrame, texts: DataFrame, words: int, keep: Scratch) ->
             told = pa.array([alike(set_of(p), set_of(q)) for p, q in zip(x, y, strict=True)], pa.bool_())
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1)], ["a", "b"]).filter(told)
 
-    asked = pairs.select(F.col("a").alias("node")).union(pairs.select(F.col("b").alias("node"))).distinct()
-    asked = keep(texts.join(asked, "node", "left_semi"), "asked")
-    keep.sweep()  # all texts were dealt out for it
-    with_a = pairs.join(asked.select(F.col("node").alias("a"), F.col("text").alias("x")), "a")
-    both = with_a.join(asked.select(F.col("node").alias("b"), F.col("text").alias("y")), "b")
+    with_a = pairs.join(among(texts, "node", pairs.select("a"), keep).select(F.col("node").alias("a"), F.col("text").alias("x")), "a")
+    both = with_a.join(among(texts, "node", pairs.select("b"), keep).select(F.col("node").alias("b"), F.col("text").alias("y")), "b")
     return both.select("a", "b", "x", "y").mapInArrow(run, "a long, b long")
 
 
@@ -578,9 +594,9 @@ def one_of_each(spark: SparkSession, docs: DataFrame, words: int = 5) -> DataFra
     order = F.struct(F.col("doc_id").isNull().alias("lost"), F.col("doc_id").alias("id"), F.col(row).alias("at"))
     nodes = keep(rows.groupBy(node).agg(F.min(order).alias("first")).select(F.col("first.at").alias("node"), "first"), "nodes")
     pool = rows.select(F.col(row).alias("node"), F.col("text").cast("string").alias("text"))
-    texts = pool.join(nodes.select("node"), "node", "left_semi")  # a distinct text by its first row
+    texts = among(pool, "node", nodes.select("node"), keep)  # a distinct text by its first row
     roots = components(spark, near_links(spark, texts, nodes.count(), words, pool))
     kept = nodes.join(roots, "node", "left").groupBy(F.coalesce("root", "node").alias("root")).agg(F.min("first").alias("first"))
     kept = materialise(spark, kept.select(F.col("first.at").alias(row)), "kept")
     keep.drop()
-    return rows.join(kept, row, "left_semi").select(*names)
+    return among(rows, row, kept, partial(materialise, spark)).select(*names)

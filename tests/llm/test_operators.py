@@ -6,6 +6,7 @@ import random
 import re
 import zlib
 from collections import Counter
+from functools import partial
 
 import numpy as np
 import pytest
@@ -659,3 +660,23 @@ def test_near_duplicates_stage_links_by_fingerprints_first(spark, monkeypatch):
     assert sorted(r.doc_id for r in simhash.one_of_each(spark, docs).collect()) == [0, 3, 4] and seen == [0, 0]
     hashes = np.array([0b101, 0b100, 0b110], np.uint64)
     assert simhash.majority(hashes) == 0b100 and simhash.majority(hashes[:0]) == 0 and simhash.majority(hashes[1:]) == 0b100
+
+
+def test_near_duplicates_stage_deals_out_no_text_to_pick_rows(spark, monkeypatch):
+    """Rows are picked by bits of their numbers, without a shuffle of them; beyond WORDS a join by number gives the same."""
+    numbers = spark.range(1000).selectExpr("id as _at", "'text' as _bits")
+    some = spark.range(1000).filter("id % 7 = 0 or id in (63, 64, 127)").union(spark.range(1)).selectExpr("id as which")
+    want = [k for k in range(1000) if k % 7 == 0 or k in (63, 64, 127)]
+    monkeypatch.setattr(simhash, "WORDS", 2)
+    assert sorted(r._at for r in simhash.among(numbers, "_at", some, partial(simhash.materialise, spark)).collect()) == want
+    monkeypatch.undo()
+    docs = spark.createDataFrame([(k, f"{k % 9} words of a text of its own") for k in range(20)], "doc_id long, text string")
+    before = spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")  # as for large tables
+    try:
+        assert sorted(r._at for r in simhash.among(numbers, "_at", some, partial(simhash.materialise, spark)).collect()) == want
+        left = simhash.one_of_each(spark, docs)
+        plan = left._jdf.queryExecution().executedPlan().toString()
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    assert "hashpartitioning" not in plan and sorted(r.doc_id for r in left.collect()) == list(range(9))
