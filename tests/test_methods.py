@@ -415,3 +415,33 @@ def test_costs(spark):
     name, n, took, speed, shuffled, spilled = costs.measured(spark, "x", build, 1000)
     assert (name, n, spilled) == ("x", 10, 0) and took > 0 and speed > 10 and shuffled > 0
     assert costs.as_table(spark, [costs.measured(spark, "none", lambda: spark.range(0))]).first().out_rows == 0
+
+
+def test_gram_join_writes_no_gram_texts(spark):
+    """What is written grows as the texts, not as their grams' texts; prefixes of hashes give the pairs, a null id yields to one."""
+    rng = random.Random(8)
+    base = [" ".join(f"w{rng.randint(0, 10**6)}" for _ in range(300)) for _ in range(20)]
+    near = [b.rsplit(" ", 20)[0] + " end" for b in base]
+    docs = spark.createDataFrame([(k, t) for k, t in enumerate(base + near)] + [(None, base[0]), (90, near[1]), (91, None), (92, "too short")], "doc_id long, text string").repartition(3)
+    written = []
+
+    def keep(df):
+        rows = spark.createDataFrame(df.collect(), df.schema)
+        written.append(sum(len(str(x)) for r in rows.collect() for c, x in r.asDict().items() if c not in ("row", "id", "fp")))
+        return rows
+
+    found = {(r.id, r.other): r.similarity for r in dedup.gram_join_pairs(docs, "doc_id", keep=keep).collect()}
+    assert set(found) == {(k, k + 20) for k in range(20)} and set(found.values()) == {round(276 / 297, 6)}
+    assert sum(written) < 2 * sum(len(t) for t in base + near)
+
+
+def test_clusters_read_written_pairs(spark, tmp_path, monkeypatch):
+    """Pairs are worked out once: clusters reads them in both directions from what is written."""
+    import __spark_entry__
+
+    docs = [(k, " ".join(f"w{i}" for i in range(k, k + 40))) for k in (0, 1, 100)]
+    spark.createDataFrame(docs, "doc_id long, text string").selectExpr("doc_id", "text", "'en' as lang", "'s' as source", "0L as n_chars").write.parquet(f"{tmp_path}/documents.parquet")
+    plans, clusters = [], dedup.clusters
+    monkeypatch.setattr(dedup, "clusters", lambda pairs, keep: plans.append(pairs._jdf.queryExecution().optimizedPlan().toString()) or clusters(pairs, keep))
+    assert {(r.node, r.root) for r in __spark_entry__.queries()["w07_clusters"](spark, str(tmp_path)).collect()} == {(0, 0), (1, 0)}
+    assert "Relation" in plans[0] and "Join" not in plans[0] and "MapInArrow" not in plans[0]
