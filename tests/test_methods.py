@@ -268,6 +268,23 @@ def test_clusters_use_links_that_no_band_proposes(spark, tmp_path):
     assert found == {(x, 2 * k) for k in range(600) for x in (2 * k, 2 * k + 1)}
 
 
+def test_clusters_hold_all_copies(spark, tmp_path):
+    """Every row of an equal text is in its cluster, also where the text has no other near copy; texts without grams and nulls are in none."""
+    import __spark_entry__
+
+    say = lambda k: " ".join(f"w{k}x{i}" for i in range(40))
+    near = say(1) + " end"
+    docs = [(1, say(1)), (7, say(1)), (9, near), (3, near), (4, say(4)), (5, say(4)), (6, say(4)), (8, say(8)), (20, "too short"), (21, "too short"), (22, ""), (23, ""), (24, None), (25, None), (None, say(8)), (30, "a b c d e"), (31, "a b c d e")]
+    docs += [(40 + k, say(40)) for k in range(50)] + [(40, say(40))]
+    spark.createDataFrame(docs, "doc_id long, text string").selectExpr("doc_id", "text", "'en' as lang", "'s' as source", "0L as n_chars").repartition(5).write.parquet(f"{tmp_path}/documents.parquet")
+    found = sorted((r.node, r.root) for r in __spark_entry__.queries()["w07_clusters"](spark, str(tmp_path)).collect())
+    assert found == [(1, 1), (3, 1), (4, 4), (5, 4), (6, 4), (7, 1), (9, 1), (30, 30), (31, 30), *((40 + k, 40) for k in range(50))]
+    pairs = dedup.gram_join_pairs(spark.read.parquet(f"{tmp_path}/documents.parquet"), "doc_id", copies=True)
+    links = sorted((r.id, r.other) for r in pairs.filter("id < 40").collect())
+    assert links == [(1, 3), (1, 7), (3, 9), (4, 5), (4, 6), (30, 31)]
+    assert pairs.filter("id >= 40").count() == 49 and pairs.filter("similarity < 1").count() == 1
+
+
 def test_vectors_against_all_pairs(spark):
     rng = random.Random(1)
     base = [[rng.gauss(0, 1) for _ in range(24)] for _ in range(30)]
